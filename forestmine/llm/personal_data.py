@@ -106,7 +106,8 @@ def with_spans(df: DataFrame, text: str = "text", to: str = "__pii") -> DataFram
     """Adds ``to``: a struct with an array of spans for each kind."""
     own = df.columns
     t = "__pii_text"
-    return df.withColumn(t, F.coalesce(F.col(text), F.lit(""))).withColumn(to, F.struct(*(_find(F.col(t), k).alias(k.name) for k in KINDS))).select(*own, to)
+    # A generator of one row, so that uses of the struct don't repeat what is below it.
+    return df.withColumn(t, F.coalesce(F.col(text), F.lit(""))).select(*own, F.explode(F.array(F.struct(*(_find(F.col(t), k).alias(k.name) for k in KINDS)))).alias(to))
 
 
 def all_spans(kinds: list[str], pii: str = "__pii") -> Column:

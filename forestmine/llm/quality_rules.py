@@ -60,16 +60,16 @@ def with_base(df: DataFrame, text: str = "text", to: str = "__q") -> DataFrame:
     lines = F.filter(F.split(F.col(t), "\n"), lambda x: F.length(F.translate(x, " " + _SPACES, "")) > 0)
     df = df.withColumn("__q_lines", lines)
     text_ = F.col(t)
-    df = df.withColumn(
-        to,
-        F.struct(
+    # A generator of one row: filters on the struct stay above it, so they don't repeat what is below.
+    return df.select(
+        *own,
+        F.explode(F.array(F.struct(
             n.cast("long").alias("n_words"), F.length(F.translate(text_, " " + _SPACES, "")).cast("long").alias("word_chars"), _count(text_, "#*$%&|<>").cast("long").alias("n_symbols"),
             (F.size("__q_lines") - F.size(F.array_distinct(F.col("__q_lines")))).cast("long").alias("n_dup_lines"), repeats.cast("long").alias("n_repeat_words"),
             F.size("__q_lines").alias("n_lines"), F.length(F.translate(text_, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "")).alias("no_upper"), F.length(text_).alias("n_chars"),
             _count(text_, "0123456789").alias("n_digits"), _count(text_, "|").alias("n_bars"), _count(text_, "!").alias("n_exclaims"),
-        ),
-    )
-    return df.select(*own, to)
+        ))).alias(to),
+    )
 
 
 def statistics(q: str = "__q") -> dict[str, Column]:
