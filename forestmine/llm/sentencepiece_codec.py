@@ -144,7 +144,9 @@ class Codec:
             if len(self.cache) + len(new) > CACHE:
                 self.cache.clear()
                 new = list(dict.fromkeys(words))
-            self.cache.update(zip(new, map(tuple, self.model.encode([w[1:] if w[0] == " " else w for w in new]))))
+            self.cache.update(zip(new, map(tuple, self.model.encode([w[1:] for w in new]))))
+            if " " in self.cache:  # one space at the end: the library would take what is left for an empty text
+                self.cache[" "] = (self.model.piece_to_id(MARK),)
             got = list(map(self.cache.__getitem__, words))
         return list(chain.from_iterable(got))
 

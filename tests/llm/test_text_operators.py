@@ -1,0 +1,237 @@
+"""Language model, token counts, quality rules, personal data, mixing and SentencePiece."""
+
+import hashlib
+import math
+import random
+import re
+import zlib
+from collections import Counter
+
+import pytest
+from pyspark.sql import functions as F
+
+from forestmine.llm import mixing, personal_data, quality_rules, sentencepiece_codec, suffix_tree_lm, token_counts
+from forestmine.llm.registry import tokenizer_path
+
+SPACE = re.compile(r"[^\x20\x09-\x0D]+")
+
+
+def lower(t):
+    return "".join(c.lower() if "A" <= c <= "Z" else c for c in t or "")
+
+
+def test_lm_base(docs, rows, empty):
+    out = lambda i: zlib.crc32((str(i) if i is not None else "").encode()) % 7 == 2
+    counts = Counter(x for r in rows if not out(r[0]) for x in [*SPACE.findall(lower(r[1])), None])
+    n, v = sum(counts.values()), len(counts)
+    wanted = []
+    for r in rows:
+        t = [*SPACE.findall(lower(r[1])), None]
+        wanted.append((r[0], out(r[0]), len(t), sum(counts[x] > 0 for x in t), n, round(sum(math.log10((counts[x] + 1) / (n + v + 1)) for x in t), 5)))
+    got = suffix_tree_lm.score_texts(docs).collect()
+    assert sorted(((*r[:5], round(r["base_score"], 5)) for r in got), key=str) == sorted(wanted, key=str)
+    assert all(r["score"] <= 0 for r in got)
+    assert suffix_tree_lm.score_texts(empty).count() == 0
+
+
+def test_lm_distributions_sum_to_one_and_contexts_help(spark):
+    rng = random.Random(6)
+    words, after = "a b c d e f".split(), {}
+    texts = []
+    for _ in range(400):
+        t = [rng.choice(words)]
+        for _ in range(20):
+            t.append(after.setdefault((t[-2:][0], t[-1]), rng.choice(words)) if rng.random() < 0.8 else rng.choice(words))
+        texts.append(" ".join(t))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    tree, counts = suffix_tree_lm.learn(df)
+    assert len(tree.contexts) == 2 and len(tree.left) > 5
+    import numpy as np
+
+    ids = np.arange(len(tree.words))
+    for s in range(len(tree.left)):
+        total = (10.0 ** tree.log10(np.full(len(ids), s), ids)).sum()
+        # What the known words leave is the root's share of unseen words.
+        assert total < 1 and total > 0.98
+    got = suffix_tree_lm.score_texts(df).filter("held_out").agg(F.sum("score"), F.sum("base_score")).first()
+    assert got[0] > got[1] * 0.8
+
+
+def test_token_counts(docs, rows, empty, spark):
+    path = tokenizer_path("byte_bpe_50k.json")
+    from tokenizers import Tokenizer
+
+    t = Tokenizer.from_file(path)
+    count = lambda x: len(t.encode(x or "", add_special_tokens=False).ids)
+    got = [tuple(r) for r in token_counts.count_tokens(docs, path).collect()]
+    wanted = [(r[0], len((r[1] or "").encode()), count(r[1]), count(r[1]) > 1024) for r in rows]
+    assert sorted(got, key=str) == sorted(wanted, key=str)
+    rng = random.Random(8)
+    odd = ["".join(rng.choice(["a", "B", " ", "  ", "\n", "\t", "'s", "é", "東", "\x1c", "\x85", "　", " ", "1", "٢", "!", "<|endoftext|>", "ß", "​", "😀"]) for _ in range(25)) for _ in range(300)]
+    df = spark.createDataFrame(list(enumerate(odd)), "doc_id long, text string")
+    assert {r["doc_id"]: r["n_tokens"] for r in token_counts.count_tokens(df, path).collect()} == {i: count(x) for i, x in enumerate(odd)}
+    assert token_counts.count_tokens(empty, path).count() == 0
+
+
+def plain_statistics(t):
+    t = t or ""
+    w = SPACE.findall(t)
+    grams = Counter(tuple(w[i : i + 5]) for i in range(len(w) - 4))
+    covered = {j for i in range(len(w) - 4) if grams[tuple(w[i : i + 5])] > 1 for j in range(i, i + 5)}
+    lines = [x for x in t.split("\n") if SPACE.search(x)]
+    return len(w), sum(map(len, w)), sum(c in "#*$%&|<>" for c in t), len(lines) - len(set(lines)), len(covered)
+
+
+def test_quality_statistics(docs, rows, empty, spark):
+    labels = spark.createDataFrame([(i, i % 2, 0) for i in range(5)] + [(None, 0, 0), (1, None, 0)], "doc_id long, quality int, toxic int")
+    got = quality_rules.quality(docs, labels).collect()
+    wanted = [(r[0], *plain_statistics(r[1])) for r in rows]
+    assert sorted((tuple(g[:6]) for g in got), key=str) == sorted(wanted, key=str)
+    for g in got:
+        assert g["base_failed"] == (g["n_words"] < 10 or 100 * g["n_repeat_words"] > 20 * g["n_words"])
+        assert not (g["base_failed"] and g["kept"])
+    assert quality_rules.quality(empty, labels).count() == 0
+    assert quality_rules.quality(docs, labels.filter("false")).filter("not kept and not base_failed").count() == 0
+    assert quality_rules.keep_good(docs, labels).columns == docs.columns
+
+
+def test_decision_list_is_precise_on_held_out_labels(spark):
+    d, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{x}.parquet") for x in ("documents", "labels"))
+    half = labels.filter("doc_id % 2 = 0")
+    rules = quality_rules.learn(d, half)
+    assert rules
+    judged = quality_rules.judge(d, rules).join(labels.filter("doc_id % 2 = 1"), "doc_id").filter("__rule > 0").groupBy("quality").count().collect()
+    n = {r["quality"]: r["count"] for r in judged}
+    assert n.get(0, 0) >= 0.9 * sum(n.values()) and n.get(0, 0) > 0
+
+
+def test_fit_covers_and_stops():
+    rows = [{**{s: 0.0 for s in quality_rules.STATISTICS}, "symbol_share": 0.5 if i % 4 == 0 else 0.01, "poor": int(i % 4 == 0), "fold": i} for i in range(200)]
+    rules = quality_rules.fit(rows)
+    assert len(rules) == 1 and rules[0].conditions[0][:2] == ("symbol_share", ">")
+    assert quality_rules.fit([{**r, "poor": 0} for r in rows]) == [] and quality_rules.fit([]) == []
+
+
+BASE = [
+    ("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"), ("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)"), ("card", r"[0-9]([\x20-]?[0-9])+"), ("phone", r"\+[0-9][\x20().0-9-]+[0-9]"),
+]
+
+
+def luhn(d):
+    return sum(x if i % 2 == 0 else (2 * x - 9 if 2 * x > 9 else 2 * x) for i, x in enumerate(map(int, reversed(d)))) % 10 == 0
+
+
+def base_spans(t):
+    out = []
+    for order, (kind, p) in enumerate(BASE):
+        for m in re.finditer(p, t, re.ASCII):
+            digits = re.sub(r"[^0-9]", "", m[0])
+            ok = {"email": True, "ip": kind == "ip" and all(int(x) <= 255 for x in m[0].split(".")), "card": 14 <= len(digits) <= 19 and luhn(digits), "phone": 10 <= len(digits) <= 15}[kind]
+            if ok:
+                out.append((m.start(), order, m.end(), kind))
+    return sorted(out)
+
+
+@pytest.fixture(scope="module")
+def personal(spark):
+    rng = random.Random(9)
+    parts = ["a@b.com", "x.y+z@mail-1.example.org", "a@b.com_x@y.com", "..@b.c", "10.0.0.1", "256.1.1.1", "1.2.3.4.5.6.7.8", "00012.1.1.1", "4111 1111 1111 1111", "4111-1111-1111-1112", "79927398713", "5500000000000004", "+1 (555) 010-2345", "+44 20 7946 0958.", "+1234", "é😀", " ", "x", "\n", "GB82 WEST 1234 5698 7654 32", "GB83WEST12345698765432", 'token = "f9ef9d9b9999a99d9d9c99bd99"', "0" * 40, "@", "+", "1"]
+    texts = ["".join(rng.choice(parts) + rng.choice(["", " ", ", "]) for _ in range(rng.randint(0, 12))) for _ in range(250)]
+    texts += [None, "", "9" * 5000, "a" * 5000 + "@", "a@b" + ".c" * 3000, "+1" + " 2" * 3000, " ".join(f"u{i}@h.org" for i in range(1200))]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    return texts, df
+
+
+def test_personal_data(personal):
+    texts, df = personal
+    got = {r["doc_id"]: r for r in personal_data.find_personal_data(df).collect()}
+    assert len(got) == len(texts)
+    for i, t in enumerate(texts):
+        spans = base_spans(t or "")
+        listed = ",".join(f"{k}:{a}:{b}" for a, _, b, k in spans)
+        assert [got[i][f"n_{k}"] for k in personal_data.BASE_KINDS] == [sum(s[3] == k for s in spans) for k in personal_data.BASE_KINDS], t[:200]
+        assert got[i]["base_sha256"] == hashlib.sha256(listed.encode()).hexdigest()
+        assert set(filter(None, listed.split(","))) <= set(got[i]["spans"].split(","))
+
+
+def test_confirmed_kinds_and_context(spark):
+    texts = ["IBAN GB82 WEST 1234 5698 7654 32.", "IBAN GB83 WEST 1234 5698 7654 32.", 'token = "f9ef9d9b9999a99d9d9c99bd99"', "commit f9ef9d9b9999a99d9d9c99bd99"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: (r["n_iban"], r["n_secret"]) for r in personal_data.find_personal_data(df).collect()}
+    assert got == {0: (1, 0), 1: (0, 0), 2: (0, 1), 3: (0, 0)}
+
+
+def test_redaction(personal, docs, empty):
+    texts, df = personal
+    clean = {r["doc_id"]: r["text"] for r in personal_data.redact(df).collect()}
+    spans = {r["doc_id"]: r["spans"] for r in personal_data.find_personal_data(df).collect()}
+    for i, t in enumerate(texts):
+        if t is None:
+            assert clean[i] is None
+            continue
+        out, at = "", 0
+        for k, a, b in (x.split(":") for x in filter(None, spans[i].split(","))):
+            if int(a) >= at:
+                out += t[at : int(a)] + f"[{k.upper()}]"
+            at = max(at, int(b))
+        assert clean[i] == out + t[at:]
+    assert personal_data.redact(docs).columns == docs.columns and personal_data.redact(empty).count() == 0
+
+
+def test_mixing_meets_targets(spark, docs, empty):
+    rows = [("a", "en", "p", 100), ("a", "de", "p", 50), ("b", "en", "q", 10), ("b", "de", "p", 30), ("c", "en", "q", 5), ("c", "de", "q", 80)]
+    cells = spark.createDataFrame(rows, "source string, lang string, topic string, weight long")
+    share = lambda d: spark.createDataFrame(list(d.items()), "value string, share double")
+    targets = {"source": share({"a": 0.2, "b": 0.3, "c": 0.5}), "lang": share({"en": 0.4, "de": 0.6}), "topic": share({"p": 0.4, "q": 0.6})}
+    f = {d: {r["value"]: r["factor"] for r in t.collect()} for d, t in mixing.rake(cells, targets, sweeps=40).items()}
+    weight = {r[:3]: r[3] * f["source"][r[0]] * f["lang"][r[1]] * f["topic"][r[2]] for r in rows}
+    for d, want in (("source", {"a": 0.2, "b": 0.3, "c": 0.5}), ("lang", {"en": 0.4, "de": 0.6})):
+        at = mixing.DIMENSIONS.index(d)
+        for value, share_ in want.items():
+            assert abs(sum(w for k, w in weight.items() if k[at] == value) / sum(weight.values()) - share_) < 1e-3
+    got = mixing.mix(docs).collect()
+    assert len(got) == docs.count() and all(0 <= r["ppm"] <= mixing.UNIT for r in got) and max(r["ppm"] for r in got) == mixing.UNIT
+    assert mixing.mix(empty).count() == 0 and mixing.sample(docs).columns == docs.columns
+
+
+def test_sentencepiece_ids_are_the_librarys(docs, rows, empty):
+    from sentencepiece import SentencePieceProcessor
+
+    path = tokenizer_path("piece_bpe_32k.model")
+    model = SentencePieceProcessor(model_file=path)
+    for chunk in (sentencepiece_codec.CHUNK, 100):
+        coded = sentencepiece_codec.encode(docs, path, chunk=chunk)
+        got = sorted(((r["doc_id"], r["text"], r["ids"]) for r in coded.collect()), key=str)
+        assert got == sorted(((r[0], r[1], model.encode(r[1] or "")) for r in rows), key=str)
+    back = sentencepiece_codec.decode(coded, path).collect()
+    assert all(r["decoded"] == model.decode(r["ids"]) for r in back)
+    assert sentencepiece_codec.encode(empty, path).count() == 0
+    trip = sentencepiece_codec.round_trip(docs, path).collect()
+    assert all(r["exact"] for r in trip)
+
+
+def test_sentencepiece_odd_texts():
+    c = sentencepiece_codec.Codec(tokenizer_path("piece_bpe_32k.model"))
+    rng = random.Random(10)
+    for _ in range(500):
+        t = "".join(rng.choice("ab  \n▁é東 .,0") for _ in range(rng.randint(0, 30)))
+        assert c.encode(t) == c.model.encode(t)
+
+
+def test_max_plus_scan_is_the_best_path():
+    m = sentencepiece_codec.Unigram({"a": -1.0, "b": -2.0, "ab": -2.5, "aba": -3.0, "bab": -3.1, "abab": -4.9})
+    score = lambda pieces: sum(m.pieces.get(p, m.unknown) for p in pieces)
+
+    def best(t):
+        table = [0.0] + [-math.inf] * len(t)
+        for i in range(len(t)):
+            for n, s in m.arcs(t, i):
+                table[i + n] = max(table[i + n], table[i] + s)
+        return table[-1]
+
+    rng = random.Random(11)
+    for _ in range(100):
+        t = "".join(rng.choice("abc") for _ in range(rng.randint(0, 40)))
+        for chunk in (1, 3, 1000):
+            got = sentencepiece_codec.segment(m, t, chunk)
+            assert "".join(got) == t and abs(score(got) - best(t)) < 1e-9
