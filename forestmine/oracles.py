@@ -28,7 +28,18 @@ _SESSIONS = f"""SELECT tree_id, ts, -1 AS event_id, 'session' AS label, 'infinit
  UNION ALL SELECT tree_id, ts, event_id, event_type, value, CASE event_type {_RANKS} ELSE 6 END FROM {_SESSION_EVENTS}"""
 _LEAVES = ", ".join(f"'{x}'" for x in LEAVES)
 
+_URL = r"^https?://(?:([^./]+)\.)?([^./]+\.example\.[a-z]+)/([^/?#]*)"
+_PAGES = f"""(SELECT page_id, regexp_extract(url, '{_URL}', 1) AS host, regexp_extract(url, '{_URL}', 3) AS lang, min(page_id) OVER (PARTITION BY regexp_extract(url, '{_URL}', 2)) AS tree_id,
+ CASE WHEN contains(url, '#') THEN 'anchor' WHEN contains(url, '?') THEN 'query' WHEN ends_with(url, '.html') THEN 'html' WHEN ends_with(url, '/') THEN 'slash' ELSE 'plain' END AS kind FROM pages WHERE regexp_matches(url, '{_URL}'))"""
+
 FORESTS = {
+    "urls": _numbered(
+        f"""SELECT DISTINCT tree_id, '' AS host, '' AS lang, -1 AS page, 0 AS level, 'site' AS label FROM {_PAGES}
+ UNION ALL SELECT DISTINCT tree_id, host, '', -1, 1, 'host:' || host FROM {_PAGES}
+ UNION ALL SELECT DISTINCT tree_id, host, lang, -1, 2, 'lang:' || lang FROM {_PAGES}
+ UNION ALL SELECT tree_id, host, lang, page_id, 3, 'page:' || kind FROM {_PAGES}""",
+        "host, lang, page, level",
+    ),
     "orders": _numbered(
         f"""SELECT o_orderkey AS tree_id, 0 AS pos, 0 AS level, 'O:' || o_orderstatus AS label FROM orders
  UNION ALL SELECT l_orderkey, pos, 1, 'F:' || l_returnflag FROM {_ITEMS} WHERE l_orderkey IN (SELECT o_orderkey FROM orders)

@@ -137,4 +137,21 @@ def outlines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return number(root.union(line).union(sent), ["i", "j"], "level", [0, 1, 2])
 
 
-FORESTS = {"orders": orders, "customers": customers, "regions": regions, "library": library, "sessions_rank": sessions_rank, "sessions_value": sessions_value, "conversations": conversations, "pages_flat": pages_flat, "outlines": outlines}
+#: Host prefix, registered domain and first path segment of a page's URL.
+_URL = r"^https?://(?:([^./]+)\.)?([^./]+\.example\.[a-z]+)/([^/?#]*)"
+
+
+def urls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One trie for each registered domain: site / host prefix / first path segment / page by kind. tree_id is the domain's least page_id."""
+    p = _t(spark, sf_dir, "pages").select("page_id", "url").filter(F.col("url").rlike(_URL))
+    part = lambda i: F.regexp_extract("url", _URL, i)
+    kind = F.when(F.contains("url", F.lit("#")), "anchor").when(F.contains("url", F.lit("?")), "query").when(F.col("url").endswith(".html"), "html").when(F.col("url").endswith("/"), "slash").otherwise("plain")
+    p = p.select("page_id", part(1).alias("host"), part(2).alias("domain"), part(3).alias("lang"), kind.alias("kind"))
+    p = p.join(p.groupBy("domain").agg(F.min("page_id").alias("tree_id")), "domain")
+    none, first = F.lit(""), F.lit(-1).cast("long")
+    row = lambda host, lang, page, level, label: p.select("tree_id", host.alias("host"), lang.alias("lang"), page.alias("page"), F.lit(level).alias("level"), label.alias("label"))
+    rows = row(none, none, first, 0, F.lit("site")).union(row(F.col("host"), none, first, 1, F.concat(F.lit("host:"), "host"))).union(row(F.col("host"), F.col("lang"), first, 2, F.concat(F.lit("lang:"), "lang"))).distinct()
+    return number(rows.union(row(F.col("host"), F.col("lang"), F.col("page_id"), 3, F.concat(F.lit("page:"), "kind"))), ["host", "lang", "page", "level"], "level", [0, 1, 2, 3])
+
+
+FORESTS = {"urls": urls, "orders": orders, "customers": customers, "regions": regions, "library": library, "sessions_rank": sessions_rank, "sessions_value": sessions_value, "conversations": conversations, "pages_flat": pages_flat, "outlines": outlines}

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from . import oracles, pattern
 from .functions import relations
 from .operators import baselines, joins, match, measures, mine, post
-from .sources import generator, tables
+from .sources import generator, nested, tables
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -133,6 +133,8 @@ def _mining() -> None:
     _add("mine_conversations_k3_classes", _miner(c, (1, 2), lambda v, m: mine.embedded(v, m, 3, schedule="classes")), sql)
     _add("mine_conversations_k3_decimal", _miner(c, (1, 2), lambda v, m: mine.embedded(v, m, 3, exact_counts="decimal").withColumn("support", F.col("support").cast("long"))), sql)
     _add("mine_sessions_full", _miner(tables.sessions_rank, (82, 100), lambda v, m: mine.embedded(v, m, 5)), None)
+    _add("mine_pages_nested_k6", _miner(nested.pages_nested, (4, 1), lambda v, m: mine.embedded(v, m, 6)), None)
+    _add("mine_pages_implied_k3", _miner(lambda s, d: nested.pages_nested(s, d, "implied"), (1, 1), lambda v, m: mine.embedded(v, m, 3)), None)
     _add("frequent_labels_orders", _of(tables.orders, lambda v: mine.frequent_labels(v, 1000)), f"SELECT label, count(*) AS support, count(DISTINCT tree_id) AS tree_support FROM ({oracles.forest('orders')}) GROUP BY label HAVING count(*) >= 1000")
 
 
@@ -170,8 +172,8 @@ def _shapes() -> None:
     assert math.comb(8, 4) == measures.star_size(9, 5)[0]
 
     def synthetic(spark: SparkSession, sf_dir: str) -> DataFrame:
-        tree = generator.master(spark, n_labels=20, vertices=80, depth=5, fan_out=6)
-        return generator.browsing_trees(tree, 200, 60)
+        tree = generator.master(spark, n_labels=10, vertices=40, depth=4, fan_out=5)
+        return generator.browsing_trees(tree, 100, 50)
 
     _add("synthetic_trees", synthetic, None)
     _add("mine_synthetic_k3", _miner(synthetic, (1, 1), lambda v, m: mine.embedded(v, m, 3)), None)
