@@ -183,7 +183,7 @@ def test_mixing_meets_targets(spark, docs, empty):
     cells = spark.createDataFrame(rows, "source string, lang string, topic string, weight long")
     share = lambda d: spark.createDataFrame(list(d.items()), "value string, share double")
     targets = {"source": share({"a": 0.2, "b": 0.3, "c": 0.5}), "lang": share({"en": 0.4, "de": 0.6}), "topic": share({"p": 0.4, "q": 0.6})}
-    f = {d: {r["value"]: r["factor"] for r in t.collect()} for d, t in mixing.rake(cells, targets, sweeps=40).items()}
+    f = {d: {r["value"]: r["factor"] for r in t.collect()} for d, t in mixing.rake(cells, targets, sweeps=15).items()}
     weight = {r[:3]: r[3] * f["source"][r[0]] * f["lang"][r[1]] * f["topic"][r[2]] for r in rows}
     for d, want in (("source", {"a": 0.2, "b": 0.3, "c": 0.5}), ("lang", {"en": 0.4, "de": 0.6})):
         at = mixing.DIMENSIONS.index(d)
