@@ -98,6 +98,15 @@ def pairs_by_slice(r: DataFrame, packed: DataFrame) -> DataFrame:
     return j.withColumn("c", attach_depth(F.col("rp"), F.col("x_lo")))
 
 
+def pairs_binned(r: DataFrame, v: DataFrame, width: int) -> DataFrame:
+    """As pairs_by_join for forests of a few giant trees: both sides are dealt by (tree, bin of preorder numbers), so one tree spreads over many tasks."""
+    x = _side(v).withColumn("x_bin", F.floor(F.col("x_lo") / width))
+    first, last = F.floor((F.col("lo") + 1) / width), F.floor(F.col("rp")[0] / width)
+    spread = r.filter(F.col("lo") < F.col("rp")[0]).withColumn("bin", F.explode(F.sequence(first, last)))
+    j = spread.join(x, (F.col("tree_id") == F.col("x_tree")) & (F.col("bin") == F.col("x_bin")) & (F.col("x_lo") > F.col("lo")) & (F.col("x_lo") <= F.col("rp")[0])).drop("x_tree", "x_bin", "bin")
+    return j.withColumn("c", attach_depth(F.col("rp"), F.col("x_lo")))
+
+
 def attach(pairs: DataFrame, merge_mode: str = "canonical") -> DataFrame:
     """Pairs to records of candidates: (prefix_id, c, label, tree_id, lo, hi, rp, mult).
 

@@ -23,6 +23,8 @@ PATTERNS = "pattern_id long, code string, size int, prefix_id long, attach_depth
 CANDIDATE = joins.CANDIDATE
 #: Rows of a level's allowed or frequent list that are broadcast; longer lists are joined by shuffle.
 BROADCAST_ROWS = 2_000_000
+#: Preorder numbers in a bin of the binned plan.
+BIN = 4096
 
 
 @dataclass
@@ -36,9 +38,11 @@ class Kernel:
 
 
 def compact_kernel(v: DataFrame, plan: str, merge: str) -> Kernel:
-    """The record joins. plan: 'join' (range), 'packed' (slices), 'cumulative' (running totals) or 'local' (a tree's work in Python)."""
+    """The record joins. plan: 'join' (range), 'packed' (slices), 'binned' (giant trees), 'cumulative' (running totals) or 'local' (a tree's work in Python)."""
     if plan == "join":
         return Kernel(joins.singletons, lambda r: joins.pairs_by_join(r, v), lambda j: joins.attach(j, merge))
+    if plan == "binned":
+        return Kernel(joins.singletons, lambda r: joins.pairs_binned(r, v, BIN), lambda j: joins.attach(j, merge))
     if plan == "packed":
         packed = pack(v).persist()
         return Kernel(joins.singletons, lambda r: joins.pairs_by_slice(r, packed), lambda j: joins.attach(j, merge))
@@ -85,9 +89,11 @@ class Trace:
     levels: list[dict] = field(default_factory=list)
 
 
-def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None = None, rule: str = "prefix", support: str = "occurrence", roots: list[str] | None = None, trace: Trace | None = None, exact_counts: str = "long") -> DataFrame:
+def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None = None, rule: str = "prefix", support: str = "occurrence", roots: list[str] | None = None, trace: Trace | None = None, exact_counts: str = "long", checkpoint: str | None = None) -> DataFrame:
     """All frequent patterns: the PATTERNS columns.
 
+    checkpoint: a folder that gets each level's patterns and state; a later call with it goes on after the last whole level.
+
     rule: 'prefix' (the prefix is frequent), 'class' (a sibling is too), 'all' (every
     one-vertex-removed pattern is) or 'none' (support only; needs max_size).
     roots: only patterns with these root labels. Threshold by occurrences or trees.
@@ -112,6 +118,11 @@ def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None =
     # What the rules look up: frequent patterns of the last level, whatever their root.
     known = {nodes for nodes in level.values()} | {((pt.escape(x), 0),) for x in labels}
     size = 1
+    if checkpoint:
+        done = _restore(spark, checkpoint, rows, kernel, state)
+        if done:
+            size, rows, level, state = done
+            known = set(level.values())
     while level and (max_size is None or size < max_size):
         size += 1
         pairs = kernel.grow(state)
@@ -144,6 +155,11 @@ def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None =
             marks = spark.createDataFrame(new, "prefix_id long, c int, label string, pattern_id long")
             marks = F.broadcast(marks) if len(new) <= BROADCAST_ROWS else marks
             after = grown.join(marks, CANDIDATE).select("pattern_id", *kernel.state).persist()
+            if checkpoint:
+                after.write.mode("overwrite").parquet(f"{checkpoint}/state-{size}")
+                spark.createDataFrame([(*r[:6], str(r[6]), *r[7:]) for r in rows], PATTERNS.replace("decimal(38,0)", "string")).coalesce(1).write.mode("overwrite").parquet(f"{checkpoint}/patterns-{size}")
+                after.unpersist()
+                after = spark.read.parquet(f"{checkpoint}/state-{size}").repartition("tree_id").persist()
             after.count()
             state.unpersist()
             state = after
@@ -152,6 +168,22 @@ def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None =
     return _result(spark, rows, minsup, measure, exact_counts)
 
 
+def _restore(spark: SparkSession, folder: str, start: list[tuple], kernel: Kernel, state: DataFrame) -> tuple | None:
+    """The last level whose patterns and state were both written whole: size, pattern rows, the level's patterns, state."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    fs = path.getFileSystem(spark._jsc.hadoopConfiguration())
+    there = lambda name: fs.exists(spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/{name}/_SUCCESS"))
+    size = 1
+    while there(f"state-{size + 1}") and there(f"patterns-{size + 1}"):
+        size += 1
+    if size == 1:
+        return None
+    rows = [tuple(int(x) if i == 6 else x for i, x in enumerate(r)) for r in spark.read.parquet(f"{folder}/patterns-{size}").orderBy("pattern_id").collect()]
+    state.unpersist()
+    level = {r[0]: pt.parse(r[1]) for r in rows if r[2] == size}
+    return size, rows, level, spark.read.parquet(f"{folder}/state-{size}").repartition("tree_id").persist()
+
+
 def _allowed(level: dict, labels: set[str], known: set, rule: str) -> list[tuple[int, int, str]]:
     """(prefix_id, c, label) that a rule lets through, from the frequent patterns of the level."""
     out = []
@@ -173,7 +205,7 @@ def _result(spark: SparkSession, rows: list[tuple], minsup: int, measure: str, e
     return df if exact_counts == "decimal" else df.withColumn("support", F.col("support").cast("long"))
 
 
-def embedded(v: DataFrame, minsup: int, max_size: int | None = None, rule: str = "prefix", support: str = "occurrence", merge: str = "canonical", plan: str = "join", exact_counts: str = "long", schedule: str = "levels", batch: int = 1, shrunk: bool = True, trace: Trace | None = None) -> DataFrame:
+def embedded(v: DataFrame, minsup: int, max_size: int | None = None, rule: str = "prefix", support: str = "occurrence", merge: str = "canonical", plan: str = "join", exact_counts: str = "long", schedule: str = "levels", batch: int = 1, shrunk: bool = True, trace: Trace | None = None, checkpoint: str | None = None) -> DataFrame:
     """The compact miner.
 
     schedule 'classes' mines the patterns of ``batch`` root labels at a time, which
@@ -184,7 +216,7 @@ def embedded(v: DataFrame, minsup: int, max_size: int | None = None, rule: str =
     merge_records = merge
     try:
         if schedule == "levels" or rule == "all":
-            return levelwise(v, minsup, compact_kernel(v, plan, merge_records), max_size, rule, support, None, trace, exact_counts)
+            return levelwise(v, minsup, compact_kernel(v, plan, merge_records), max_size, rule, support, None, trace, exact_counts, checkpoint)
         names = [r["label"] for r in keep.orderBy("label").collect()]
         parts = [levelwise(v, minsup, compact_kernel(v, plan, merge_records), max_size, rule, support, names[i : i + batch], trace, exact_counts) for i in range(0, len(names), batch)]
         out = parts[0] if parts else levelwise(v, minsup, compact_kernel(v, plan, merge_records), 1, rule, support)

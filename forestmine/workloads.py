@@ -127,7 +127,7 @@ def _mining() -> None:
         _add(f"baseline_rightmost_set_{name}", _miner(f, minsup, lambda v, m, k=k: baselines.rightmost_set(v, m, k)), f"SELECT size, code, tree_support AS support, tree_support FROM ({by_tree})")
     c, sql = tables.conversations, oracles.mine(oracles.forest("conversations"), (1, 2), 3)
     _add("baseline_horizontal_conversations_k3", _miner(c, (1, 2), lambda v, m: baselines.horizontal(v, m, 3)), sql)
-    for plan in ("packed", "cumulative", "local"):
+    for plan in ("packed", "binned", "cumulative", "local"):
         _add(f"mine_conversations_k3_{plan}", _miner(c, (1, 2), lambda v, m, plan=plan: mine.embedded(v, m, 3, plan=plan)), sql)
     _add("mine_conversations_k3_literal", _miner(c, (1, 2), lambda v, m: mine.embedded(v, m, 3, merge="literal")), sql)
     _add("mine_conversations_k3_classes", _miner(c, (1, 2), lambda v, m: mine.embedded(v, m, 3, schedule="classes")), sql)
@@ -208,6 +208,15 @@ def _post() -> None:
     feats = " UNION ALL ".join(f"SELECT tree_id, '{x}' AS code, n_occ FROM ({oracles.count_pattern(oracles.forest('conversations'), x)})" for x in codes)
     _add("pattern_features", _of(c, lambda v: post.features(v, codes)), feats)
 
+    near = f"WITH f AS ({feats}), n AS (SELECT tree_id, count(*) AS n FROM f GROUP BY tree_id), q AS (SELECT tree_id AS query_id, code FROM f WHERE tree_id % 10 = 0), b AS (SELECT query_id, tree_id, count(*) AS common FROM q JOIN f USING (code) WHERE query_id <> tree_id GROUP BY ALL), s AS (SELECT b.*, n.n + m.n - common AS \"union\" FROM b JOIN n ON n.tree_id = b.tree_id JOIN n m ON m.tree_id = b.query_id) SELECT query_id, tree_id, common, \"union\", row_number() OVER (PARTITION BY query_id ORDER BY common / \"union\" DESC, tree_id) AS rank FROM s QUALIFY rank <= 5"
+
+    def neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+        f = post.features(c(spark, sf_dir), codes)
+        found = post.jaccard_neighbours(f, f.filter("tree_id % 10 = 0").select("tree_id").distinct(), 5)
+        return found.withColumn("rank", F.col("rank").cast("long"))
+
+    _add("pattern_neighbours", neighbours, near)
+
     order_codes = ["O:F@0 F:R@1", "O:O@0 F:N@1", "O:F@0 F:A@1"]
     order_feats = " UNION ALL ".join(f"SELECT tree_id, '{x}' AS code, n_occ FROM ({oracles.count_pattern(oracles.forest('orders'), x)})" for x in order_codes)
     attrs = lambda s, d: s.read.parquet(f"{d}/orders.parquet").join(s.read.parquet(f"{d}/customer.parquet"), F.col("o_custkey") == F.col("c_custkey")).select(F.col("o_orderkey").alias("tree_id"), F.col("c_mktsegment").alias("segment"), F.col("o_orderpriority").alias("priority"))

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from forestmine import pattern as pt
 from forestmine.functions import relations
 from forestmine.operators import baselines, encode, joins, match, measures, mine, post
-from forestmine.sources import codec, generator, nested
+from forestmine.sources import codec, generator, nested, store
 
 
 def random_tree(rng, n, labels="ab"):
@@ -104,6 +104,18 @@ def test_plans_and_baselines_find_the_same_patterns(forest):
     assert base == mined(baselines.full_match(forest, 12, 4)) == mined(baselines.horizontal(forest, 12, 4))
 
 
+def test_binned_plan_checkpoint_and_store(spark, forest, tmp_path, monkeypatch):
+    monkeypatch.setattr(mine, "BIN", 2)
+    base = mined(mine.embedded(forest, 12, 3))
+    assert base == mined(mine.embedded(forest, 12, 3, plan="binned"))
+    folder = str(tmp_path / "levels")
+    mine.embedded(forest, 12, 3, checkpoint=folder)
+    assert base == mined(mine.embedded(forest, 12, 3, checkpoint=folder))
+    store.save(forest, str(tmp_path / "store"), 3)
+    assert sorted(map(str, store.load(spark, str(tmp_path / "store")).collect())) == sorted(map(str, forest.select("tree_id", "lo", "hi", "depth", "label").collect()))
+    assert {r["label"] for r in store.load(spark, str(tmp_path / "store"), ["b"]).collect()} == {"b"}
+
+
 def test_rules_nest_and_tree_support_makes_them_equal(forest):
     by = {rule: mined(mine.embedded(forest, 12, 4, rule=rule)) for rule in ("prefix", "class", "all")}
     assert by["all"] <= by["class"] <= by["prefix"]
