@@ -211,7 +211,7 @@ def _post() -> None:
     near = f"WITH f AS ({feats}), n AS (SELECT tree_id, count(*) AS n FROM f GROUP BY tree_id), q AS (SELECT tree_id AS query_id, code FROM f WHERE tree_id % 10 = 0), b AS (SELECT query_id, tree_id, count(*) AS common FROM q JOIN f USING (code) WHERE query_id <> tree_id GROUP BY ALL), s AS (SELECT b.*, n.n + m.n - common AS \"union\" FROM b JOIN n ON n.tree_id = b.tree_id JOIN n m ON m.tree_id = b.query_id) SELECT query_id, tree_id, common, \"union\", row_number() OVER (PARTITION BY query_id ORDER BY common / \"union\" DESC, tree_id) AS rank FROM s QUALIFY rank <= 5"
 
     def neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
-        f = post.features(c(spark, sf_dir), codes)
+        f = post.features(c(spark, sf_dir), codes).persist()
         found = post.jaccard_neighbours(f, f.filter("tree_id % 10 = 0").select("tree_id").distinct(), 5)
         return found.withColumn("rank", F.col("rank").cast("long"))
 
