@@ -5,14 +5,17 @@ circle of 2^32 places, coordinate k is the least image under ``pi`` of the place
 turned by k steps. Bands of coordinates propose, full shingle sets decide.
 
 Copies with equal sets collapse first (partial minimum per set fingerprint). In a
-band's bucket every member is held against the bucket's least member, so a group
-of n copies costs n checks. Only buckets whose members are still in different
-components after that are paired, under a bit-sketch test of the signatures that
-keeps far texts from ever being rows.
+band's bucket every member is held against the bucket's most popular member, the
+one that shares most buckets with others: of copies changed from one text that is
+the text they come from, so a group of n copies costs n checks. Buckets whose
+members are still in different components take their next leader; what is open
+after that is paired across components, under a test of signature bits that keeps
+far texts from ever being rows.
 """
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -26,10 +29,13 @@ from .components import components
 
 #: Bands and rows: a pair at 0.8 is missed with (1 - 0.8^5)^36 < 1e-6.
 BANDS, ROWS = 36, 5
-#: Signature bits that may differ of BANDS * ROWS: at similarity 0.8 they are 18 with deviation 4.
-FAR_BITS = 50
+#: Low bits of each coordinate that are kept, as bit planes of 192. Coordinates that may differ in them of BANDS * ROWS: at similarity 0.8 they are 34 with deviation 5.2.
+PLANES, WORDS, FAR = 4, 3, 62
+#: Leaders that an open bucket has before its other members are paired.
+ROUNDS = 2
 
-_SKETCH = "id long, n long, fp1 long, fp2 long, s0 long, s1 long, s2 long, bands array<long>"
+_BITS = [f"s{i}" for i in range(PLANES * WORDS)]
+_SKETCH = f"id long, n long, fp1 long, fp2 long, {', '.join(f'{c} long' for c in _BITS)}, bands array<long>"
 
 
 def shingle_sets(column: pa.Array, k: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
@@ -81,15 +87,18 @@ def _sketch(k: int):
                 sig = signatures(hashes, offsets, BANDS * ROWS)
                 total = [np.concatenate(([np.uint64(0)], np.cumsum(_text.mix64(hashes ^ np.uint64(salt)), dtype=np.uint64))) for salt in (0x5851F42D4C957F2D, 0x14057B7EF767814F)]
                 fp = [(t[offsets[1:]] - t[offsets[:-1]]).view(np.int64) for t in total]
-                bits = np.zeros((rows, 192), np.uint8)
-                bits[:, : BANDS * ROWS] = sig & 1
-                sketch = np.packbits(bits, axis=1).view(np.int64)
+                planes = []
+                for plane in range(PLANES):
+                    bits = np.zeros((rows, 64 * WORDS), np.uint8)
+                    bits[:, : BANDS * ROWS] = (sig >> np.uint32(plane)) & np.uint32(1)
+                    planes.append(np.packbits(bits, axis=1).view(np.int64))
+                sketch = np.concatenate(planes, axis=1)
                 key = np.broadcast_to(np.arange(1, BANDS + 1, dtype=np.uint64) * np.uint64(0xA0761D6478BD642F), (rows, BANDS)).copy()
                 for r in range(ROWS):
                     key = _text.mix64(key ^ sig[:, r::ROWS]) + np.uint64(r + 1)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column("doc_id").slice(row, rows), pa.array(n), pa.array(fp[0]), pa.array(fp[1]), *(pa.array(np.ascontiguousarray(sketch[:, i])) for i in range(3)), pa.ListArray.from_arrays(pa.array(np.arange(0, rows * BANDS + 1, BANDS, dtype=np.int32)), pa.array(key.ravel().view(np.int64)))],
-                    names=["id", "n", "fp1", "fp2", "s0", "s1", "s2", "bands"],
+                    [batch.column("doc_id").slice(row, rows), pa.array(n), pa.array(fp[0]), pa.array(fp[1]), *(pa.array(np.ascontiguousarray(sketch[:, i])) for i in range(len(_BITS))), pa.ListArray.from_arrays(pa.array(np.arange(0, rows * BANDS + 1, BANDS, dtype=np.int32)), pa.array(key.ravel().view(np.int64)))],
+                    names=["id", "n", "fp1", "fp2", *_BITS, "bands"],
                 )
 
     return run
@@ -122,9 +131,21 @@ def verify(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFram
 
 def _near(a: str, b: str, percent: int) -> Column:
     """Not ruled out by sizes or by signature bits."""
-    differ = sum((F.bit_count(F.col(f"{a}.s{i}").bitwiseXOR(F.col(f"{b}.s{i}"))) for i in range(3)), F.lit(0))
+    differ = F.lit(0)
+    for word in range(WORDS):
+        either = [F.col(f"{a}.s{plane * WORDS + word}").bitwiseXOR(F.col(f"{b}.s{plane * WORDS + word}")) for plane in range(PLANES)]
+        differ = differ + F.bit_count(functools.reduce(lambda x, y: x.bitwiseOR(y), either))
     n, m = F.col(f"{a}.n"), F.col(f"{b}.n")
-    return (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (differ <= FAR_BITS)
+    return (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (differ <= FAR)
+
+
+def _relabel(label: DataFrame, links: DataFrame) -> DataFrame:
+    """(id, component) after more links between ids; ids without a link so far are their own component."""
+    ends = links.join(label.toDF("src", "ca"), "src", "left").join(label.toDF("dst", "cb"), "dst", "left")
+    joined = components(ends.select(F.coalesce("ca", "src").alias("src"), F.coalesce("cb", "dst").alias("dst"))).toDF("component", "final")
+    # Components that came in as single ids have no row yet.
+    nodes = label.union(joined.join(label.select("component").distinct(), "component", "left_anti").select(F.col("component").alias("id"), "component"))
+    return materialize(nodes.join(joined, "component", "left").select("id", F.coalesce("final", "component").alias("component")), "components")
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
@@ -142,33 +163,37 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     some = sketch.filter("n > 0 and id is not null")
     # Equal sets: linked to the least id that has the set.
     classes = some.groupBy("fp1", "fp2", "n").agg(F.min("id").alias("rep"))
-    members = materialize(some.join(classes, ["fp1", "fp2", "n"]).select("id", "rep", "n", "s0", "s1", "s2", F.when(F.col("id") == F.col("rep"), F.col("bands")).alias("bands")), "members")
-    equal = members.filter("id <> rep").select(F.col("id").alias("src"), F.col("rep").alias("dst"))
+    members = materialize(some.join(classes, ["fp1", "fp2", "n"]).select("id", "rep", "n", *_BITS, F.when(F.col("id") == F.col("rep"), F.col("bands")).alias("bands")), "members")
     reps = members.filter("id = rep")
-    sizes = reps.select("id", "n", "s0", "s1", "s2")
+    label = members.filter("id <> rep").select("id", F.col("rep").alias("component")).distinct()
+    label = materialize(label.union(label.select(F.col("component").alias("id"), "component").distinct()), "components")
+    sizes = reps.select("id", "n", *_BITS)
 
     bands = reps.select("id", F.explode("bands").alias("key"))
-    leaders = bands.groupBy("key").agg(F.min("id").alias("leader"), F.max("id").alias("top")).filter("leader <> top").drop("top")
-    shared = materialize(bands.join(leaders, "key"), "shared")
-    stars = shared.filter("id <> leader").select(F.col("id").alias("src"), F.col("leader").alias("dst")).distinct()
-    stars = stars.join(sizes.alias("a"), F.col("src") == F.col("a.id")).join(sizes.alias("b"), F.col("dst") == F.col("b.id")).filter(_near("a", "b", percent)).select("src", "dst")
-    links = materialize(verify(materialize(stars, "stars"), texts, k, percent), "links")
-
-    # Buckets that still hold more than one component: their other pairs across components.
-    found = materialize(components(links.union(equal)), "components")
-    label = found.select(F.col("node").alias("id"), "component")
-    marked = shared.join(label, "id", "left").withColumn("component", F.coalesce("component", "id"))
-    open_keys = marked.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("key")
-    open_rows = materialize(marked.join(open_keys, "key").filter("id <> leader").join(sizes, "id").select("key", "id", "component", "n", "s0", "s1", "s2"), "open")
-    a, b = open_rows.alias("a"), open_rows.alias("b")
+    counted = bands.groupBy("key").agg(F.count(F.lit(1)).alias("k")).filter("k > 1")
+    shared = materialize(bands.join(counted, "key"), "shared")
+    popular = shared.groupBy("id").agg(F.sum("k").alias("popular"))
+    rows = shared.join(popular, "id").select("key", "id", "popular")
+    for _ in range(ROUNDS):
+        marked = materialize(rows.join(label, "id", "left").select("key", "id", "popular", F.coalesce("component", "id").alias("component")), "rows")
+        leader = F.max(F.struct("popular", (-F.col("id")).alias("least"), F.col("component"))).alias("leader")
+        keys = marked.groupBy("key").agg(leader, F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("key", (-F.col("leader.least")).alias("leader"), F.col("leader.component").alias("its"))
+        met = materialize(marked.join(keys, "key").filter("id <> leader"), "met")
+        stars = met.filter("component <> its").select(F.col("id").alias("src"), F.col("leader").alias("dst")).distinct()
+        stars = stars.join(sizes.alias("a"), F.col("src") == F.col("a.id")).join(sizes.alias("b"), F.col("dst") == F.col("b.id")).filter(_near("a", "b", percent)).select("src", "dst")
+        stars = materialize(stars, "stars")
+        if not stars.isEmpty():
+            label = _relabel(label, materialize(verify(stars, texts, k, percent), "links"))
+        rows = met.select("key", "id", "popular")  # a leader has met all of its bucket
+
+    marked = rows.join(label, "id", "left").select("key", "id", F.coalesce("component", "id").alias("component"))
+    keys = marked.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("key")
+    left = materialize(marked.join(keys, "key").join(sizes, "id"), "left")
+    a, b = left.alias("a"), left.alias("b")
     across = a.join(b, (F.col("a.key") == F.col("b.key")) & (F.col("a.component") != F.col("b.component")) & (F.col("a.id") < F.col("b.id")) & _near("a", "b", percent)).select(F.col("a.id").alias("src"), F.col("b.id").alias("dst")).distinct()
     across = materialize(across, "across")
     if not across.isEmpty():
-        more = verify(across, texts, k, percent)
-        joined = components(materialize(more, "links").join(label.toDF("src", "ca"), "src", "left").join(label.toDF("dst", "cb"), "dst", "left").select(F.coalesce("ca", "src").alias("src"), F.coalesce("cb", "dst").alias("dst")))
-        joined = joined.select(F.col("node").alias("component"), F.col("component").alias("final"))
-        nodes = label.union(joined.join(label.select("component").distinct(), "component", "left_anti").select(F.col("component").alias("id"), "component"))
-        label = materialize(nodes.join(joined, "component", "left").select("id", F.coalesce("final", "component").alias("component")), "components")
+        label = _relabel(label, materialize(verify(across, texts, k, percent), "links"))
     return (
         sketch.select("id", "n").join(label.distinct(), "id", "left")
         .select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component_id"))
