@@ -1,15 +1,17 @@
 """Mixing sources to target weights by iterative proportional fitting.
 
 Token weights are summed into cells (source, language, topic), the only pass over
-texts. Raking then scales one marginal at a time to its target: a factor table
-for each dimension is refitted from the cells times the other factors. A
-document's calibrated probability is its cell's factor over the largest one, and
+texts. Raking then scales one marginal at a time to its target: the factors of a
+dimension are refitted from the cells times the other factors. A document's calibrated probability is its cell's factor over the largest one, and
 it is drawn by a hash of its id.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import functools
+from collections.abc import Iterable
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ._spark import materialize
@@ -19,6 +21,8 @@ DIMENSIONS = ["source", "lang", "topic"]
 #: Default targets: each dimension's own shares to these powers (1 leaves them, 0 makes them equal). Rounds over all dimensions.
 TEMPER = {"source": 0.7, "lang": 0.9, "topic": 1.0}
 SWEEPS = 6
+#: Cells that are raked within one task; more are raked by shuffles.
+ONE_TASK_CELLS = 100_000
 #: Probabilities are in millionths.
 UNIT = 1_000_000
 
@@ -41,45 +45,89 @@ def _with_cells(docs: DataFrame) -> DataFrame:
     return docs.withColumns({"__source": F.coalesce(F.col("source").cast("string"), F.lit("")), "__lang": F.coalesce(F.col("lang").cast("string"), F.lit("")), "__topic": topic(text), "__tokens": F.size(words(text)).cast("long")})
 
 
-def rake(cells: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int = SWEEPS) -> dict[str, DataFrame]:
-    """Factors of each dimension: (value, factor), so that cells' weights times factors meet the targets.
+def _fit_in_one_task(cells: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int) -> DataFrame:
+    """cells with f_source, f_lang and f_topic: every scaling is a window over one dimension, and one partition serves them all without a shuffle."""
+    fitted = cells.coalesce(1)
+    for d in DIMENSIONS:
+        given, by = targets.get(d) if targets else None, Window.partitionBy(d)
+        if given is not None:
+            fitted = fitted.join(_shares(given).toDF(d, f"t_{d}"), d, "left")
+            continue
+        marked = fitted.withColumns({"__w": F.sum("weight").over(by).cast("double"), "__first": F.row_number().over(by.orderBy(*(e for e in DIMENSIONS if e != d))) == 1})
+        power = F.when(F.col("__w") > 0, F.pow("__w", F.lit(TEMPER[d]))).otherwise(0.0)
+        marked = marked.withColumn("__p", power).withColumn("__all", F.sum(F.when(F.col("__first"), F.col("__p"))).over(Window.partitionBy()))
+        fitted = marked.withColumn(f"t_{d}", F.when(F.col("__all") > 0, F.col("__p") / F.col("__all")).otherwise(0.0)).drop("__w", "__first", "__p", "__all")
+    fitted = fitted.coalesce(1).withColumns({f"f_{d}": F.lit(1.0) for d in DIMENSIONS})
+    for _ in range(sweeps):
+        for d in DIMENSIONS:
+            now = F.sum(_product(e for e in DIMENSIONS if e != d)).over(Window.partitionBy(d))
+            fitted = fitted.withColumn("__now", now).withColumn(f"f_{d}", _factor(F.col("__now"), F.col(f"t_{d}"))).drop("__now")
+    return fitted.select(*cells.columns, *(f"f_{d}" for d in DIMENSIONS))
 
-    cells: source, lang, topic, weight. targets: (value, share) of dimensions;
-    the rest is tempered. A value without a target, or without weight, gets factor 0.
-    """
+
+def _fit_by_tables(cells: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int) -> DataFrame:
+    """The same by shuffles with partial sums: a table of factors for each dimension, refitted in turn."""
     wanted, factors = {}, {}
     for d in DIMENSIONS:
         own = cells.groupBy(F.col(d).alias("value")).agg(F.sum("weight").cast("double").alias("weight"))
         given = targets.get(d) if targets else None
         if given is None:
             given = own.select("value", F.when(F.col("weight") > 0, F.pow("weight", F.lit(TEMPER[d]))).otherwise(0.0).alias("share"))
-        total = given.agg(F.coalesce(F.sum("share"), F.lit(1.0)).alias("all")).first()["all"] or 1.0
-        wanted[d] = materialize(given.select("value", (F.col("share") / F.lit(float(total))).alias("share")), "target")
+        wanted[d] = materialize(_shares(given), "target")
         factors[d] = materialize(own.select("value", F.lit(1.0).alias("factor")), "factor")
     for _ in range(sweeps):
         for d in DIMENSIONS:
-            others = cells
-            product = F.col("weight").cast("double")
-            for e in DIMENSIONS:
-                if e != d:
-                    others = others.join(factors[e].toDF(e, f"f_{e}"), e)
-                    product = product * F.col(f"f_{e}")
-            sums = others.groupBy(F.col(d).alias("value")).agg(F.sum(product).alias("now"))
-            factors[d] = materialize(sums.join(wanted[d], "value", "left").select("value", F.when((F.col("now") > 0) & F.col("share").isNotNull(), F.col("share") / F.col("now")).otherwise(0.0).alias("factor")), "factor")
-    return factors
+            others, rest = cells, [e for e in DIMENSIONS if e != d]
+            for e in rest:
+                others = others.join(factors[e].toDF(e, f"f_{e}"), e)
+            sums = others.groupBy(F.col(d).alias("value")).agg(F.sum(_product(rest)).alias("now"))
+            factors[d] = materialize(sums.join(wanted[d], "value", "left").select("value", _factor(F.col("now"), F.col("share")).alias("factor")), "factor")
+    for d in DIMENSIONS:
+        cells = cells.join(factors[d].toDF(d, f"f_{d}"), d)
+    return cells
+
+
+def _shares(given: DataFrame) -> DataFrame:
+    """(value, share) with shares that sum to 1."""
+    total = given.agg(F.sum("share").alias("all")).first()["all"] or 1.0
+    return given.select("value", (F.col("share") / F.lit(float(total))).alias("share"))
+
+
+def _product(dimensions: Iterable[str]) -> Column:
+    return functools.reduce(lambda x, d: x * F.col(f"f_{d}"), dimensions, F.col("weight").cast("double"))
+
+
+def _factor(now: Column, share: Column) -> Column:
+    return F.when((now > 0) & share.isNotNull(), share / now).otherwise(0.0)
+
+
+def fit(cells: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int = SWEEPS) -> DataFrame:
+    """cells (source, lang, topic, weight; one row each) with f_source, f_lang, f_topic, written once.
+
+    The cells are counted first: ONE_TASK_CELLS of them fit one task, more are
+    fitted by shuffles. Both compute the same factors.
+    """
+    way = _fit_in_one_task if cells.count() <= ONE_TASK_CELLS else _fit_by_tables
+    return materialize(way(cells, targets, sweeps), "fitted")
+
+
+def rake(cells: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int = SWEEPS) -> dict[str, DataFrame]:
+    """Factors of each dimension: (value, factor), so that cells' weights times factors meet the targets.
+
+    cells: source, lang, topic, weight. targets: (value, share) of dimensions;
+    the rest is tempered. A value without a target, or without weight, gets factor 0.
+    """
+    fitted = fit(cells, targets, sweeps)
+    return {d: fitted.groupBy(F.col(d).alias("value")).agg(F.first(f"f_{d}").alias("factor")) for d in DIMENSIONS}
 
 
 def probabilities(docs: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int = SWEEPS) -> DataFrame:
     """docs' columns, __source, __lang, __topic, __tokens, __ppm (probability in millionths) and __selected."""
     marked = _with_cells(docs)
     cells = marked.groupBy("__source", "__lang", "__topic").agg(F.sum("__tokens").alias("weight")).toDF("source", "lang", "topic", "weight")
-    cells = materialize(cells, "cells")
-    factors = rake(cells, targets, sweeps)
+    fitted = fit(materialize(cells, "cells"), targets, sweeps)
     product = F.col("f_source") * F.col("f_lang") * F.col("f_topic")
-    rated = cells
-    for d in DIMENSIONS:
-        rated = rated.join(factors[d].toDF(d, f"f_{d}"), d)
-    rated = materialize(rated.select(*(F.col(d).alias(f"__{d}") for d in DIMENSIONS), F.when(F.col("weight") > 0, product).alias("__factor")), "rated")
+    rated = fitted.select(*(F.col(d).alias(f"__{d}") for d in DIMENSIONS), F.when(F.col("weight") > 0, product).alias("__factor"))
     most = rated.agg(F.max("__factor").alias("most")).first()["most"] or 1.0
     # Documents of cells without a token get probability 0: they have no weight to calibrate.
     joined = marked.join(rated, ["__source", "__lang", "__topic"])

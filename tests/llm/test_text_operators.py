@@ -178,6 +178,16 @@ def test_redaction(personal, docs, empty):
     assert personal_data.redact(docs).columns == docs.columns and personal_data.redact(empty).count() == 0
 
 
+def test_mixing_fits_alike_in_one_task_and_by_shuffles(spark, monkeypatch):
+    rows = [("a", "en", "p", 100), ("a", "de", "p", 50), ("b", "en", "q", 10), ("c", "", "q", 0)]
+    cells = spark.createDataFrame(rows, "source string, lang string, topic string, weight long")
+    few = sorted(mixing.fit(cells, sweeps=2).collect())
+    monkeypatch.setattr(mixing, "ONE_TASK_CELLS", 0)
+    many = sorted(mixing.fit(cells, sweeps=2).select(few[0].__fields__).collect())
+    assert [r[:4] for r in few] == [r[:4] for r in many] == sorted(rows)
+    assert all(abs(x - y) < 1e-9 for r, s in zip(few, many) for x, y in zip(r[4:], s[4:]))
+
+
 def test_mixing_meets_targets(spark, docs, empty):
     rows = [("a", "en", "p", 100), ("a", "de", "p", 50), ("b", "en", "q", 10), ("b", "de", "p", 30), ("c", "en", "q", 5), ("c", "de", "q", 80)]
     cells = spark.createDataFrame(rows, "source string, lang string, topic string, weight long")
