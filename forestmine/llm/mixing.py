@@ -1,7 +1,6 @@
 """Mixing sources to target weights by iterative proportional fitting.
 
-Token weights are summed into cells (source, language, topic), the only pass over
-texts. Raking then scales one marginal at a time to its target: the factors of a
+Token weights are summed into cells (source, language, topic). Raking then scales one marginal at a time to its target: the factors of a
 dimension are refitted from the cells times the other factors. A document's calibrated probability is its cell's factor over the largest one, and
 it is drawn by a hash of its id.
 """
@@ -15,7 +14,6 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ._spark import materialize
-from .quality_rules import words
 
 DIMENSIONS = ["source", "lang", "topic"]
 #: Default targets: each dimension's own shares to these powers (1 leaves them, 0 makes them equal). Rounds over all dimensions.
@@ -23,6 +21,8 @@ TEMPER = {"source": 0.7, "lang": 0.9, "topic": 1.0}
 SWEEPS = 6
 #: Cells that are raked within one task; more are raked by shuffles.
 ONE_TASK_CELLS = 100_000
+#: A token is a word: a run of characters other than space and tab to carriage return.
+WORD = r"[^\x20\x09-\x0D]+"
 #: Probabilities are in millionths.
 UNIT = 1_000_000
 
@@ -30,8 +30,8 @@ UNIT = 1_000_000
 def topic(text: Column) -> Column:
     """A topic by surface: symbols for over 5 % of # * $ % & | < >, numbers for over 5 % of digits, headline for over 40 % of capitals, else prose."""
     n = F.length(text)
-    of = lambda characters: n - F.length(F.translate(text, characters, ""))
-    return F.when(20 * of("#*$%&|<>") > n, "symbols").when(20 * of("0123456789") > n, "numbers").when(10 * of("ABCDEFGHIJKLMNOPQRSTUVWXYZ") > 4 * n, "headline").otherwise("prose")
+    of = lambda characters: F.regexp_count(text, F.lit(f"[{characters}]"))
+    return F.when(20 * of("#*$%&|<>") > n, "symbols").when(20 * of("0-9") > n, "numbers").when(10 * of("A-Z") > 4 * n, "headline").otherwise("prose")
 
 
 def draw(doc_id: Column) -> Column:
@@ -42,7 +42,7 @@ def draw(doc_id: Column) -> Column:
 def _with_cells(docs: DataFrame) -> DataFrame:
     """Adds __source, __lang, __topic (null as empty) and __tokens (words)."""
     text = F.coalesce("text", F.lit(""))
-    return docs.withColumns({"__source": F.coalesce(F.col("source").cast("string"), F.lit("")), "__lang": F.coalesce(F.col("lang").cast("string"), F.lit("")), "__topic": topic(text), "__tokens": F.size(words(text)).cast("long")})
+    return docs.withColumns({"__source": F.coalesce(F.col("source").cast("string"), F.lit("")), "__lang": F.coalesce(F.col("lang").cast("string"), F.lit("")), "__topic": topic(text), "__tokens": F.regexp_count(text, F.lit(WORD)).cast("long")})
 
 
 def _fit_in_one_task(cells: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int) -> DataFrame:
@@ -123,7 +123,11 @@ def rake(cells: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps:
 
 def probabilities(docs: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int = SWEEPS) -> DataFrame:
     """docs' columns, __source, __lang, __topic, __tokens, __ppm (probability in millionths) and __selected."""
-    marked = _with_cells(docs)
+    return _rated(_with_cells(docs), targets, sweeps)
+
+
+def _rated(marked: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int = SWEEPS) -> DataFrame:
+    """marked (documents with cells and tokens) with __ppm and __selected."""
     cells = marked.groupBy("__source", "__lang", "__topic").agg(F.sum("__tokens").alias("weight")).toDF("source", "lang", "topic", "weight")
     fitted = fit(materialize(cells, "cells"), targets, sweeps)
     product = F.col("f_source") * F.col("f_lang") * F.col("f_topic")
@@ -132,7 +136,7 @@ def probabilities(docs: DataFrame, targets: dict[str, DataFrame] | None = None,
     # Documents of cells without a token get probability 0: they have no weight to calibrate.
     joined = marked.join(rated, ["__source", "__lang", "__topic"])
     ppm = F.round(F.coalesce("__factor", F.lit(0.0)) / F.lit(most) * UNIT).cast("long")
-    return joined.select(*docs.columns, "__source", "__lang", "__topic", "__tokens", ppm.alias("__ppm")).withColumn("__selected", draw(F.col("doc_id")) < F.col("__ppm"))
+    return joined.select(*marked.columns, ppm.alias("__ppm")).withColumn("__selected", draw(F.col("doc_id")) < F.col("__ppm"))
 
 
 def mix(docs: DataFrame, targets: dict[str, DataFrame] | None = None) -> DataFrame:
@@ -142,7 +146,9 @@ def mix(docs: DataFrame, targets: dict[str, DataFrame] | None = None) -> DataFra
     text has no token and adds no weight. A repeated row adds its weight each time
     and shares its id's draw; a null id draws as the empty text. An empty table gives no rows.
     """
-    p = probabilities(docs.select(F.col("doc_id").cast("long"), "text", "source", "lang"), targets)
+    # Without texts the marked rows are small: they are written, so that texts are read once.
+    marked = _with_cells(docs.select(F.col("doc_id").cast("long"), "text", "source", "lang")).select("doc_id", "__source", "__lang", "__topic", "__tokens")
+    p = _rated(materialize(marked, "marked"), targets)
     return p.select("doc_id", F.col("__source").alias("source"), F.col("__lang").alias("lang"), F.col("__topic").alias("topic"), F.col("__tokens").alias("n_tokens"), F.col("__ppm").alias("ppm"), F.col("__selected").alias("selected"))
 
 
