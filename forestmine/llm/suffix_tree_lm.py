@@ -1,22 +1,27 @@
 """A probabilistic suffix tree over words, and a unigram base, for scoring texts.
 
 Learning: words are counted over all training documents. A context (the words
-before, most recent last) is a candidate if it makes up P_CONTEXT of all
-tokens, and stays in the tree if its next-word distribution diverges from that
-of the context one word shorter. Its distribution keeps next words that make up
-P_NEXT of all tokens, discounts them, and gives what is left to the shorter
-context, down to add-one unigrams; so each state's distribution sums to one.
-
-Scoring walks each text with the longest retained suffix as state. Words frequent
-enough to be in the broadcast table are scored where they are read; other words
-leave their number of uses, are joined with the word counts and add to both sums.
-
-Broadcast sizes are bounded by the shares, not by the data: at most 1 / P_WORD
-words, 1 / P_CONTEXT contexts and 1 / P_NEXT next words a depth.
+before, most recent last) is a candidate if it occurs MIN_CONTEXT times, and stays
+in the tree if its next-word distribution diverges from that of the context one word
+shorter. Its distribution keeps next words that follow it MIN_NEXT times,
+discounts them, and gives what is left to the shorter context, down to add-one
+unigrams; so each state's distribution sums to one. Both supports are absolute: what
+is gathered grows with the corpus.
+
+Runs of words are known by a 64-bit hash. Each depth's runs are counted in buckets of
+keys and joined with the depth before; the tree is a table by key. Written as factors,
+a text's log10 probability is its unigram base plus a weight for each run
+in it (a run's gain as a next word, and what it leaves as a context). So runs are
+looked up one by one: the HOT most frequent ones where they are read, others leave
+their number of uses and are joined with the table, as rare words are with the word counts.
+
+Broadcast sizes are bounded whatever the data: at most 1 / P_WORD words, HOT runs and
+two filters of FILTER_BITS, which only spare rows.
 """
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -27,9 +32,17 @@ from pyspark.sql import functions as F
 from . import _text
 from ._spark import materialize
 
-P_WORD, P_CONTEXT, P_NEXT = 1e-6, 5e-4, 2e-6
+#: Share of tokens from which a word's root probability is broadcast.
+P_WORD = 1e-6
+#: Times that a context must occur, and a next word after it.
+MIN_CONTEXT, MIN_NEXT = 16, 4
 #: Longest context in words; nats an occurrence by which a context must differ; discount of kept counts.
-DEPTH, DIVERGENCE, DISCOUNT = 2, 0.02, 0.75
+DEPTH, DIVERGENCE, DISCOUNT = 3, 0.02, 0.75
+#: Nats in all, besides one for each next word, by which a context must differ: less comes by chance once in about 1e5 contexts or more often.
+CHANCE = 10
+#: Runs broadcast at most; bits of a filter (a power of two) and tasks that fill it; runs packed at once; runs meant for a bucket.
+HOT, FILTER_BITS, FILTER_TASKS, RUNS_AT_ONCE, RUNS_IN_BUCKET = 2_000_000, 1 << 27, 6, 1_000_000, 1_000_000
+_ODD = np.uint64(0x9E3779B97F4A7C15)
 #: The end token: no word's hash counts as it but by a 64-bit collision.
 END = np.uint64(0x1F83D9ABFB41BD6B)
 
@@ -86,163 +99,308 @@ def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield from tally.flush()
 
 
+def _extend(key: np.ndarray, tokens: np.ndarray) -> np.ndarray:
+    """Keys of runs of words that are one word longer."""
+    return _text.mix64(key * _ODD + tokens)
+
+
+def _runs(tokens: np.ndarray, row: np.ndarray, most: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """For each length up to ``most``: keys of the runs that end at each token, and where they lie in one row."""
+    key, inside = tokens, np.ones(len(tokens), bool)
+    yield key, inside
+    for d in range(1, most):
+        longer = np.zeros(len(tokens), np.uint64)
+        longer[1:] = _extend(key[:-1], tokens[1:])
+        inside = inside.copy()
+        inside[:d] = False
+        inside[d:] &= row[d:] == row[:-d]
+        key = longer
+        yield key, inside
+
+
+def _probes(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Two places in a filter."""
+    k = _text.mix64(keys)
+    return (k & np.uint64(FILTER_BITS - 1)).astype(np.int64), ((k >> np.uint64(32)) & np.uint64(FILTER_BITS - 1)).astype(np.int64)
+
+
+def _may_hold(bits: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """Whether a filter may hold the keys; never false for a key that it holds."""
+    a, b = _probes(keys)
+    return ((bits[a >> 3] >> (a & 7).astype(np.uint8)) & (bits[b >> 3] >> (b & 7).astype(np.uint8)) & 1).astype(bool)
+
+
+def _mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    bits = np.zeros(FILTER_BITS, bool)
+    for batch in batches:
+        for at in _probes(batch.column(0).to_numpy().view(np.uint64)):
+            bits[at] = True
+    yield pa.RecordBatch.from_arrays([pa.array([pa.compress(np.packbits(bits, bitorder="little").tobytes(), "zstd", asbytes=True)], "binary")], names=["bits"])
+
+
+def _filter(keys: DataFrame) -> np.ndarray:
+    """A filter of fixed size over (key): it only spares rows, what it lets through by chance finds no partner."""
+    bits = np.zeros(FILTER_BITS // 8, np.uint8)
+    for r in keys.coalesce(FILTER_TASKS).mapInArrow(_mark, "bits binary").toLocalIterator():
+        bits |= np.frombuffer(pa.decompress(bytes(r["bits"]), FILTER_BITS // 8, "zstd", asbytes=True), np.uint8)
+    return bits
+
+
+def _find(keys: np.ndarray, wanted: np.ndarray, values: np.ndarray, none=-1) -> np.ndarray:
+    if not len(keys):
+        return np.full(len(wanted), none, values.dtype)
+    at = np.minimum(np.searchsorted(keys, wanted), len(keys) - 1)
+    return np.where(keys[at] == wanted, values[at], none)
+
+
+class _Places:
+    """Places in sorted hashed keys: their leading bits lead to the few keys that share them."""
+
+    def __init__(self, keys: np.ndarray):
+        bits = max(1, int(len(keys)).bit_length())
+        self.keys, self.shift = keys, np.uint64(64 - bits)
+        self.start = np.searchsorted(keys >> self.shift, np.arange((1 << bits) + 1).astype(np.uint64)).astype(np.int32)
+
+    def find(self, wanted: np.ndarray) -> np.ndarray:
+        """Places of keys, -1 for those not there."""
+        slot = (wanted >> self.shift).astype(np.int64)
+        out, at, end = np.full(len(wanted), -1, np.int64), self.start[slot], self.start[slot + 1]
+        open_ = np.flatnonzero(at < end)
+        at, end, wanted = at[open_], end[open_], wanted[open_]
+        while len(open_):
+            hit = self.keys[at] == wanted
+            out[open_[hit]] = at[hit]
+            at = at + 1
+            more = ~hit & (at < end)
+            open_, at, end, wanted = open_[more], at[more], end[more], wanted[more]
+        return out
+
+
 class Tree:
-    """What is broadcast. Words are numbered in order of hash; state 0 is the root.
+    """The hot part of the tree, which is broadcast: frequent words, and runs of words with their weights.
 
-    step[depth] maps context keys to states; next keys (state and word) have kept probabilities.
+    A run's weight is what each occurrence adds to a text's log10 probability: as a next word
+    after a context (nexts) and as a context (lefts). State 0 is the root; contexts[depth] maps keys to states.
     """
 
     def __init__(self, words: np.ndarray, counts: np.ndarray, total: int, kinds: int):
         order = np.argsort(words)
         self.words, self.total, self.kinds = words[order], total, kinds
         self.root = np.log10((counts[order] + 1.0) / (total + kinds + 1.0))
-        self.counts = counts[order]
-        self.contexts: list[tuple[np.ndarray, np.ndarray]] = []  # by depth: sorted keys, states
-        self.parent = np.zeros(1, np.int64)
-        self.left = np.zeros(1)  # share that a state gives to its parent
-        self.keys, self.chance = np.zeros(0, np.int64), np.zeros(0)
-
-    def number(self, tokens: np.ndarray) -> np.ndarray:
-        """Numbers of words, -1 for those not in the table."""
-        return _find(self.words, tokens, np.arange(len(self.words)))
-
-    def states(self, ids: np.ndarray, row: np.ndarray, depth: int | None = None) -> np.ndarray:
-        """For each token, the state of the longest retained context before it (or of just that depth)."""
-        state = np.full(len(ids), 0 if depth is None else -1, np.int64)
-        key = np.full(len(ids), 0, np.int64)
-        alive = np.ones(len(ids), bool)
-        for d, (keys, states) in enumerate(self.contexts, 1):
-            key, alive = self.context_keys(ids, row, d, key, alive)
-            found = _find(keys, key, states)
-            hit = alive & (found >= 0)
-            if depth in (None, d):
-                state[hit] = found[hit]
-        return state
-
-    def context_keys(self, ids: np.ndarray, row: np.ndarray, d: int, key: np.ndarray, alive: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Adds the word d places back: keys of contexts of d words, and where they lie in the row and the table."""
-        back = np.full(len(ids), -1, np.int64)
-        back[d:] = np.where(row[d:] == row[:-d], ids[:-d], -1)
-        return key * np.int64(len(self.words) + 1) + back + 1, alive & (back >= 0)
+        self.keys, self.nexts, self.lefts = np.zeros(0, np.uint64), np.zeros(0), np.zeros(0)
+        self.contexts: list[tuple[np.ndarray, np.ndarray]] = []
+        self.state_keys, self.parent, self.left = np.zeros(1, np.uint64), np.zeros(1, np.int64), np.ones(1)
+        self.cold = np.zeros(FILTER_BITS // 8, np.uint8)
+
+    def fill(self, hot: pa.Table) -> None:
+        """From (key, nexts, lefts, depth, suffix); with a context all its suffixes are hot, as they are more frequent."""
+        column = lambda name, kind: hot[name].to_numpy().astype(kind)
+        key = column("key", np.int64).view(np.uint64)
+        order = np.argsort(key)
+        self.keys, self.nexts, self.lefts = key[order], column("nexts", float)[order], column("lefts", float)[order]
+        depth, suffix = column("depth", np.int64)[order], column("suffix", np.int64).view(np.uint64)[order]
+        stays = np.flatnonzero(self.lefts < 0)
+        stays = stays[np.argsort(depth[stays], kind="stable")]
+        number = np.zeros(len(self.keys), np.int64)
+        number[stays] = np.arange(1, len(stays) + 1)
+        above = _find(self.keys, suffix, np.arange(len(self.keys)))
+        up = np.where(depth > 1, above, -1)[stays]
+        for _ in range(int(depth.max(initial=0))):  # past suffixes that did not stay
+            skip = (up >= 0) & (number[up] == 0)
+            up[skip] = np.where(depth[up[skip]] > 1, above[up[skip]], -1)
+        self.parent = np.concatenate(([0], np.where(up >= 0, number[up], 0)))
+        self.state_keys, self.left = np.concatenate((self.state_keys, self.keys[stays])), np.concatenate((self.left, 10.0 ** self.lefts[stays]))
+        for d in range(1, int(depth[stays].max(initial=0)) + 1):
+            at = stays[depth[stays] == d]
+            self.contexts.append((np.sort(self.keys[at]), number[at][np.argsort(self.keys[at])]))
 
     def log10(self, state: np.ndarray, ids: np.ndarray) -> np.ndarray:
-        """log10 P(word | state); for words not in the table, without the root's term."""
-        out = np.where(ids >= 0, self.root[np.maximum(ids, 0)], 0.0)
-        if len(self.left) > 1:
-            # States by depth, the shortest first: each level mixes what its parent gave.
-            chain = [state]
-            while (above := self.parent[chain[-1]]).any():
-                chain.append(above)
-            chance = 10.0**out
-            for s in reversed(chain):
-                inside = s > 0
-                kept = _find(self.keys, s * np.int64(len(self.words) + 1) + ids, self.chance, 0.0)
-                chance = np.where(inside, np.where(ids >= 0, kept, 0.0) + self.left[s] * chance, chance)
-            out = np.log10(chance)
+        """log10 P(word | state) for words of the table."""
+        out = self.root[ids]
+        while state.any():
+            out = out + np.where(state > 0, np.log10(self.left[state]) + _find(self.keys, _extend(self.state_keys[state], self.words[ids]), self.nexts, 0.0), 0.0)
+            state = self.parent[state]
         return out
 
 
-def _find(keys: np.ndarray, wanted: np.ndarray, values: np.ndarray, none=-1) -> np.ndarray:
-    if not len(keys):
-        return np.full(len(wanted), none, values.dtype)
-    at = np.minimum(np.searchsorted(keys, wanted), len(keys) - 1)
-    return np.where(keys[at] == wanted, values[at], none)
+def _count_runs(shared, words: int, buckets: int):
+    """Runs of ``words`` words, counted and packed: a row for each bucket of keys.
 
+    Their context may be frequent, and the run without its oldest word, which is no rarer, may be a next word itself.
+    """
 
-def _count_next(shared, depth: int):
-    """Numbers of (context of ``depth`` words, next word), both from the table; the context without its oldest word is retained or the root."""
+    def flush(parts: list[tuple[np.ndarray, ...]]) -> Iterator[pa.RecordBatch]:
+        key, ctx, short, last = (np.concatenate(x) for x in zip(*parts))
+        order = np.argsort(key)
+        key, new = key[order], np.concatenate(([True], np.diff(key[order]) != 0))
+        count = np.diff(np.concatenate((np.flatnonzero(new), [len(key)]))).astype(np.uint32)
+        key, at = key[new], order[new]
+        order = np.argsort(ctx[at])
+        bucket = (key[order] >> np.uint64(64 - buckets.bit_length() + 1)).astype(np.uint16 if buckets <= 1 << 16 else np.uint32)
+        by = np.argsort(bucket, kind="stable")
+        order, edges = order[by], np.searchsorted(bucket[by], np.arange(buckets + 1))
+        at, count = at[order], count[order]
+        rows = []
+        for b, (x, y) in enumerate(zip(edges, edges[1:])):
+            if y > x:
+                c = ctx[at[x:y]]
+                planes = [np.diff(c, prepend=np.uint64(0)), np.where(np.diff(c, prepend=c[:1] + np.uint64(1)) != 0, short[at[x:y]], np.uint64(0)), last[at[x:y]], count[x:y]]
+                data = b"".join(np.ascontiguousarray(p.view(np.uint8).reshape(y - x, -1).T).tobytes() for p in planes)
+                rows.append((b, int(y - x), pa.compress(data, "zstd", asbytes=True)))
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(("int32", "int32", "binary"))], names=["bucket", "n", "payload"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        (tree, allowed), tally = shared.value, _Tally()
+        (contexts, suffixes), parts, size = shared.value, [], 0
         for batch in batches:
             for w, tokens, first in _tokens(batch.column("text")):
-                ids = tree.number(tokens)
                 row = np.repeat(np.arange(w.rows), np.diff(first))
-                key, alive = np.zeros(len(ids), np.int64), np.ones(len(ids), bool)
-                for d in range(1, depth + 1):
-                    key, alive = tree.context_keys(ids, row, d, key, alive)
-                at = _find(allowed, key, np.arange(len(allowed)))
-                use = alive & (at >= 0)
-                yield from tally.add(at[use] * np.int64(len(tree.words) + 1) + ids[use] + 1)
-        yield from tally.flush()
+                keys = list(_runs(tokens, row, words))
+                at = np.flatnonzero(keys[-1][1])
+                at = at[_may_hold(contexts, keys[-2][0][at - 1])]
+                at = at[_may_hold(suffixes, keys[-2][0][at])]
+                short = keys[-3][0][at - 1] if words > 2 else np.zeros(len(at), np.uint64)
+                parts.append((keys[-1][0][at], keys[-2][0][at - 1], short, tokens[at]))
+                size += len(at)
+                if size >= RUNS_AT_ONCE:
+                    yield from flush(parts)
+                    parts, size = [], 0
+        if size:
+            yield from flush(parts)
 
     return run
 
 
-def learn(docs: DataFrame, depth: int = DEPTH) -> tuple[Tree, DataFrame]:
-    """From (text) of all training documents: the tree, and the table of word counts (h, c)."""
+def _sum_runs(words: int):
+    """A bucket's packed counts to (key, ctx, pkey, c) of runs that occur MIN_NEXT times; pkey is the run without its oldest word."""
+
+    def run(group: pa.Table) -> pa.Table:
+        parts = []
+        for n, payload in zip(group["n"].to_pylist(), group["payload"].to_pylist()):
+            data = np.frombuffer(pa.decompress(payload, 28 * n, "zstd", asbytes=True), np.uint8)
+            wide = [np.ascontiguousarray(data[8 * n * i : 8 * n * (i + 1)].reshape(8, n).T).view(np.uint64).ravel() for i in range(3)]
+            ctx, first = np.cumsum(wide[0], dtype=np.uint64), np.concatenate(([True], wide[0][1:] != 0))
+            short = wide[1][first][np.cumsum(first) - 1]
+            parts.append((ctx, short, wide[2], np.ascontiguousarray(data[24 * n :].reshape(4, n).T).view(np.uint32).ravel().astype(np.int64)))
+        ctx, short, last, count = (np.concatenate(x) for x in zip(*parts))
+        key = _extend(ctx, last)
+        order = np.argsort(key)
+        start = np.flatnonzero(np.concatenate(([True], np.diff(key[order]) != 0)))
+        c = np.add.reduceat(count[order], start)
+        at, c = order[start][c >= MIN_NEXT], c[c >= MIN_NEXT]
+        pkey = _extend(short[at], last[at]) if words > 2 else last[at]
+        return pa.Table.from_arrays([pa.array(x.view(np.int64)) for x in (key[at], ctx[at], pkey, c)], names=["key", "ctx", "pkey", "c"])
+
+    return run
+
+
+def _levels(docs: DataFrame, counts: DataFrame, n: int, v: int, depth: int) -> DataFrame | None:
+    """The whole tree: (key, c, nexts, lefts, depth, suffix), a row for each run of words that is a context or a next word."""
+    spark, found = docs.sparkSession, []
+    # Runs of the last length: how often, their probability after their context, and the run without its oldest word.
+    last = counts.select(F.col("h").alias("key"), "c", ((F.col("c") + 1) / F.lit(n + v + 1.0)).alias("p"), F.lit(0).cast("long").alias("pkey")).filter(f"key <> {int(END.view(np.int64))}")
+    end = counts.filter(f"h = {int(END.view(np.int64))}").select(F.col("h").alias("key"), "c", ((F.col("c") + 1) / F.lit(n + v + 1.0)).alias("p"))
+    buckets = 1 << max(6, int(n // RUNS_IN_BUCKET).bit_length())
+    for d in range(1, depth + 1):
+        contexts = last.filter(F.col("c") >= MIN_CONTEXT)
+        above = last.select("key", "c", "p") if d > 1 else last.select("key", "c", "p").union(end)
+        shared = spark.sparkContext.broadcast((_filter(contexts.select("key")), _filter(above.filter(F.col("c") >= MIN_NEXT).select("key"))))
+        packed = docs.select("text").mapInArrow(_count_runs(shared, d + 1, buckets), "bucket int, n int, payload binary")
+        runs = packed.groupBy("bucket").applyInArrow(_sum_runs(d + 1), "key long, ctx long, pkey long, c long")
+        runs = materialize(runs, "runs")
+        shared.destroy()
+        del packed
+        spark._jvm.System.gc()  # lets Spark remove the shuffle files of the packed runs
+        runs = runs.join(contexts.select(F.col("key").alias("ctx"), F.col("c").alias("t"), F.col("pkey").alias("suffix")), "ctx")
+        runs = materialize(runs.join(above.select(F.col("key").alias("pkey"), F.col("p").alias("above")), "pkey"), "levels")
+        share = F.expr(f"(c - {DISCOUNT}D) / t")
+        heads = runs.groupBy("ctx").agg(F.first("t").alias("t"), F.first("suffix").alias("suffix"), F.sum(F.expr("c * ln(c / t / above)")).alias("gain"), F.sum(share).alias("kept"), F.count("c").alias("kinds"), F.sum("c").alias("c"), F.sum("above").alias("above"))
+        # The other next words count as one. A context must differ by more than its next words could by chance.
+        gain = F.col("gain") + F.expr("if(c < t, (t - c) * ln((t - c) / t / greatest(1 - above, 1e-12D)), 0D)")
+        stays = gain >= F.greatest(DIVERGENCE * F.col("t"), CHANCE + F.col("kinds"))
+        heads = materialize(heads.select("ctx", "t", "suffix", F.when(stays, 1 - F.col("kept")).otherwise(1.0).alias("left"), stays.alias("stays")), "heads")
+        last = runs.join(heads.select("ctx", "left", "stays"), "ctx").withColumn("p", F.when(F.col("stays"), share + F.col("left") * F.col("above")).otherwise(F.col("above")))
+        last = materialize(last.select("key", "c", "p", "pkey", F.when(F.col("stays"), F.log10(F.col("p") / (F.col("left") * F.col("above")))).otherwise(0.0).alias("nexts")), "tree")
+        zero = F.lit(0).cast("long")
+        found.append(heads.select(F.col("ctx").alias("key"), F.col("t").alias("c"), F.lit(0.0).alias("nexts"), F.log10("left").alias("lefts"), F.lit(d).cast("long").alias("depth"), "suffix"))
+        found.append(last.filter("nexts <> 0").select("key", "c", "nexts", F.lit(0.0).alias("lefts"), zero.alias("depth"), zero.alias("suffix")))
+        if last.isEmpty():
+            break
+    if not found:
+        return None
+    both = functools.reduce(DataFrame.union, found).groupBy("key")
+    return materialize(both.agg(F.max("c").alias("c"), *(F.sum(x).alias(x) for x in ("nexts", "lefts")), *(F.max(x).alias(x) for x in ("depth",)), F.sum("suffix").alias("suffix")), "weights")
+
+
+def _grow(docs: DataFrame, depth: int) -> tuple[Tree, DataFrame, DataFrame | None]:
+    """The hot part, the word counts (h, c), and the weights (h, weight) of the rest; None if there is no rest."""
     spark = docs.sparkSession
     sum_up = lambda df: df.groupBy("h").agg(F.sum("c").alias("c"))
     counts = materialize(sum_up(docs.select("text").mapInArrow(_count_words, "h long, c long")), "words")
     size = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("c").alias("v")).first()
     frequent = counts.filter(F.col("c") >= max(1, P_WORD * size.n)).toArrow()
     tree = Tree(frequent["h"].to_numpy().astype(np.int64).view(np.uint64), frequent["c"].to_numpy().astype(np.int64), size.n, size.v)
-    base = np.int64(len(tree.words) + 1)
-    # Candidates of the first depth: frequent words, the end excluded (nothing follows it).
-    number = np.flatnonzero((tree.counts >= max(2, P_CONTEXT * size.n)) & (tree.words != END))
-    allowed = number + 1
-    for d in range(1, depth + 1):
-        if not len(allowed):
-            break
-        shared = spark.sparkContext.broadcast((tree, allowed))
-        found = materialize(sum_up(docs.select("text").mapInArrow(_count_next(shared, d), "h long, c long")), "next")
-        # Rows that hold no word of the table (h % base = 0) still count towards their context.
-        heads = found.groupBy(F.expr(f"h div {int(base)}").alias("s")).agg(F.sum("c").alias("c")).toArrow()
-        nexts = found.filter((F.col("h") % int(base) != 0) & (F.col("c") >= max(2, P_NEXT * size.n))).toArrow()
-        of = np.zeros(len(allowed))
-        of[heads["s"].to_numpy().astype(np.int64)] = heads["c"].to_numpy()
-        h, c = nexts["h"].to_numpy().astype(np.int64), nexts["c"].to_numpy().astype(float)
-        s, word = h // base, h % base - 1
-        # The context one word shorter: without its oldest word, the key's last digit.
-        short = allowed // base if d > 1 else np.zeros(len(allowed), np.int64)
-        parent = _find(tree.contexts[-1][0], short, tree.contexts[-1][1], 0) if d > 1 else np.zeros(len(allowed), np.int64)  # a retained shorter context or, failing that, the root
-        above = 10.0 ** tree.log10(parent[s], word)
-        gain = np.bincount(s, c * np.log(c / of[s] / above), len(allowed))
-        stay = (gain >= DIVERGENCE * np.maximum(of, 1)) & (of > 0)
-        new = np.cumsum(stay) - 1 + len(tree.left)
-        use = stay[s]
-        chance = np.maximum(c - DISCOUNT, 0) / of[s]
-        left = 1 - np.bincount(s[use], chance[use], len(allowed))[stay]
-        keys = np.concatenate((tree.keys, new[s[use]] * base + word[use]))
-        order = np.argsort(keys)
-        tree.keys, tree.chance = keys[order], np.concatenate((tree.chance, chance[use]))[order]
-        tree.parent, tree.left = np.concatenate((tree.parent, parent[stay])), np.concatenate((tree.left, left))
-        order = np.argsort(allowed[stay])
-        tree.contexts.append((allowed[stay][order], new[stay][order]))
-        # Contexts of the next depth: a word before a retained context, frequent enough as a run of words.
-        ok = (c >= P_CONTEXT * size.n) & (word >= 0) & (tree.words[np.maximum(word, 0)] != END)
-        follow = (word + 1) * base ** np.int64(d) if float(base) ** (d + 1) < 2**62 else None
-        if follow is None:
+    weights = _levels(docs, counts, size.n, size.v, depth) if size.n else None
+    if weights is None:
+        return tree, counts, None
+    # The least count from which HOT runs are enough: powers of two keep the histogram small.
+    steps = {r["step"]: r["count"] for r in weights.groupBy(F.floor(4 * F.log2("c")).alias("step")).count().collect()}
+    room, least = HOT, max(steps, default=0) + 1
+    for step in sorted(steps, reverse=True):
+        room -= steps[step]
+        if room < 0:
             break
-        # Reading back from the next token: the newest word is the key's first digit.
-        allowed = np.unique((follow + allowed[s])[ok])
-    return tree, counts
+        least = step
+    hot = F.floor(4 * F.log2("c")) >= least
+    tree.fill(weights.filter(hot).select("key", "nexts", "lefts", "depth", "suffix").toArrow())
+    cold = weights.filter(~hot).select(F.col("key").alias("h"), (F.col("nexts") + F.col("lefts")).alias("weight")).filter("weight <> 0")
+    if cold.isEmpty():
+        return tree, counts, None
+    tree.cold = _filter(cold.select("h"))
+    return tree, counts, cold
+
+
+def learn(docs: DataFrame, depth: int = DEPTH) -> tuple[Tree, DataFrame]:
+    """From (text) of all training documents: the tree's hot part, and the table of word counts (h, c)."""
+    return _grow(docs, depth)[:2]
+
+
+def _uses(row: np.ndarray, keys: np.ndarray, rows: int) -> pa.ListArray:
+    """(row, key) pairs as a list of (h, uses) for each row."""
+    order = np.argsort(keys)
+    order = order[np.argsort(row[order].astype(np.uint16 if rows <= 1 << 16 else np.uint32), kind="stable")]
+    row, keys = row[order], keys[order]
+    new = np.concatenate(([True], (row[1:] != row[:-1]) | (keys[1:] != keys[:-1]))) if len(keys) else np.zeros(0, bool)
+    uses = np.diff(np.concatenate((np.flatnonzero(new), [len(new)]))) if len(new) else np.zeros(0, np.int64)
+    bound = np.searchsorted(row[new], np.arange(rows + 1)).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(bound), pa.StructArray.from_arrays([pa.array(keys[new].view(np.int64)), pa.array(uses.astype(np.int64))], names=["h", "uses"]))
 
 
-def _score(shared):
+def _score(shared, depth: int, cold: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tree, row_id = shared.value, 0
+        tree = shared.value
+        weights, words, runs = tree.nexts + tree.lefts, _Places(tree.words), _Places(tree.keys)
         for batch in batches:
             doc = batch.column("doc_id").to_pylist()
             for w, tokens, first in _tokens(batch.column("text")):
-                ids = tree.number(tokens)
+                ids = words.find(tokens)
                 row = np.repeat(np.arange(w.rows), np.diff(first))
-                logs = tree.log10(tree.states(ids, row), ids)
                 base = np.where(ids >= 0, tree.root[np.maximum(ids, 0)] if len(tree.root) else 0.0, 0.0)
-                at = first[:-1]
-                known = np.add.reduceat((ids >= 0).astype(np.int64), at)
-                rare = ids < 0
-                pairs = np.stack((row[rare].astype(np.uint64), tokens[rare]))
-                order = np.lexsort(pairs[::-1])
-                pairs = pairs[:, order]
-                new = np.concatenate(([True], (pairs[:, 1:] != pairs[:, :-1]).any(0))) if pairs.shape[1] else np.zeros(0, bool)
-                uses = np.diff(np.concatenate((np.flatnonzero(new), [len(new)]))) if len(new) else np.zeros(0, np.int64)
-                pairs = pairs[:, new]
-                bound = np.searchsorted(pairs[0], np.arange(w.rows + 1, dtype=np.uint64)).astype(np.int32)
-                misses = pa.ListArray.from_arrays(pa.array(bound), pa.StructArray.from_arrays([pa.array(pairs[1].view(np.int64)), pa.array(uses.astype(np.int64))], names=["h", "uses"]))
+                logs, rest = base, [(row[:0], tokens[:0])]
+                for key, inside in _runs(tokens, row, depth + 1):
+                    at = np.flatnonzero(inside)
+                    found = runs.find(key[at])
+                    hit = found >= 0
+                    gain = np.zeros(len(tokens))
+                    gain[at[hit]] = weights[found[hit]]
+                    logs = logs + gain
+                    if cold:
+                        at = at[~hit]
+                        at = at[_may_hold(tree.cold, key[at])]
+                        rest.append((row[at], key[at]))
+                at, rare = first[:-1], ids < 0
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(doc[w.row : w.row + w.rows], "int64"), pa.array(np.diff(first).astype(np.int64)), pa.array(known), pa.array(np.add.reduceat(base, at)), pa.array(np.add.reduceat(logs, at)), misses],
-                    names=["doc_id", "n_tokens", "n_known", "base_score", "score", "misses"],
+                    [pa.array(doc[w.row : w.row + w.rows], "int64"), pa.array(np.diff(first).astype(np.int64)), pa.array(np.add.reduceat((ids >= 0).astype(np.int64), at)), pa.array(np.add.reduceat(base, at)), pa.array(np.add.reduceat(logs, at)), _uses(row[rare], tokens[rare], w.rows), _uses(*(np.concatenate(x) for x in zip(*rest)), w.rows)],
+                    names=["doc_id", "n_tokens", "n_known", "base_score", "score", "misses", "runs"],
                 )
 
     return run
@@ -261,15 +419,22 @@ def score_texts(docs: DataFrame, training: Column | None = None, depth: int = DE
     """
     out = held_out(F.col("doc_id"))
     learnt = docs.filter(~out if training is None else training).select("text")
-    tree, counts = learn(learnt, depth)
+    tree, counts, cold = _grow(learnt, depth)
     shared = docs.sparkSession.sparkContext.broadcast(tree)
-    schema = "doc_id long, n_tokens long, n_known long, base_score double, score double, misses array<struct<h long, uses long>>"
-    scored = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_score(shared), schema)
+    schema = "doc_id long, n_tokens long, n_known long, base_score double, score double, misses array<struct<h long, uses long>>, runs array<struct<h long, uses long>>"
+    scored = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_score(shared, depth, cold is not None), schema)
     scored = materialize(scored.withColumn("rid", F.monotonically_increasing_id()), "scored")
     rare = scored.select("rid", F.inline("misses")).join(counts, "h", "left")
     chance = F.log10((F.coalesce("c", F.lit(0)) + 1) / F.lit(float(tree.total + tree.kinds + 1)))
     sums = rare.groupBy("rid").agg(F.sum(F.when(F.col("c") > 0, F.col("uses")).otherwise(0)).alias("more"), F.sum(F.col("uses") * chance).alias("add"))
-    return scored.join(sums, "rid", "left").select(
+    if cold is None:
+        more = F.lit(0.0)
+        scored = scored.join(sums, "rid", "left")
+    else:
+        part = scored.select("rid", F.inline("runs")).join(cold, "h").groupBy("rid").agg(F.sum(F.col("uses") * F.col("weight")).alias("runs_add"))
+        more = F.coalesce("runs_add", F.lit(0.0))
+        scored = scored.drop("runs").join(sums, "rid", "left").join(part, "rid", "left")
+    return scored.select(
         "doc_id", out.alias("held_out"), "n_tokens", (F.col("n_known") + F.coalesce("more", F.lit(0))).alias("n_known"), F.lit(int(tree.total)).cast("long").alias("train_tokens"),
-        (F.col("base_score") + F.coalesce("add", F.lit(0.0))).alias("base_score"), (F.col("score") + F.coalesce("add", F.lit(0.0))).alias("score"),
+        (F.col("base_score") + F.coalesce("add", F.lit(0.0))).alias("base_score"), (F.col("score") + F.coalesce("add", F.lit(0.0)) + more).alias("score"),
     )

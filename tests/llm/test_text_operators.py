@@ -57,6 +57,30 @@ def test_lm_distributions_sum_to_one_and_contexts_help(spark):
     assert got[0] > got[1] * 0.8
 
 
+def test_lm_contexts_grow_with_the_corpus(spark, monkeypatch):
+    # Each pair of words always has its own next word; none is a large share of the tokens.
+    rng = random.Random(7)
+    pairs = [(f"x{i}", f"y{i % 50}", f"z{i}") for i in range(3000)]
+    texts = [" ".join(w for p in rng.sample(pairs, 60) for w in (*p, f"f{rng.randrange(5000)}")) for _ in range(1400)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    contexts = lambda d: sum(len(k) for k, _ in suffix_tree_lm.learn(d)[0].contexts)
+    assert contexts(df) > 6000 and contexts(df) > 5 * contexts(df.filter("doc_id < 140"))
+    score = lambda: {r["doc_id"]: (r["score"], r["base_score"]) for r in suffix_tree_lm.score_texts(df).collect()}
+    hot = score()
+    assert sum(s for s, _ in hot.values()) > 0.7 * sum(b for _, b in hot.values())
+    # Runs that are not broadcast give the same scores by the join.
+    monkeypatch.setattr(suffix_tree_lm, "HOT", 500)
+    cold = score()
+    assert all(abs(hot[i][0] - cold[i][0]) < 1e-6 and hot[i][1] == cold[i][1] for i in hot)
+
+
+def test_lm_keeps_three_word_contexts(spark):
+    texts = [f"{a} m n {'pq'[a == 'u']} r{i % 9}" for i in range(60) for a in "uv"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    tree, _ = suffix_tree_lm.learn(df)
+    assert len(tree.contexts) == 3
+
+
 def test_token_counts(docs, rows, empty, spark):
     path = tokenizer_path("byte_bpe_50k.json")
     from tokenizers import Tokenizer
