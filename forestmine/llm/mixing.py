@@ -8,18 +8,24 @@ it is drawn by a hash of its id.
 from __future__ import annotations
 
 import functools
-from collections.abc import Iterable
+import math
+import warnings
+from collections.abc import Callable, Iterable
 
-from pyspark.sql import Column, DataFrame, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ._spark import materialize
 
 DIMENSIONS = ["source", "lang", "topic"]
-#: Default targets: each dimension's own shares to these powers (1 leaves them, 0 makes them equal). Rounds over all dimensions.
+#: Default targets: each dimension's own shares to these powers (1 leaves them, 0 makes them equal).
 TEMPER = {"source": 0.7, "lang": 0.9, "topic": 1.0}
-SWEEPS = 6
-#: Cells that are raked within one task; more are raked by shuffles.
+#: SWEEPS are made at least; then raking goes on until no marginal's share is off by more than TOLERANCE.
+SWEEPS, TOLERANCE, STALL = 6, 1e-5, 1000
+#: Cells that are raked on the driver; more are raked by shuffles.
 ONE_TASK_CELLS = 100_000
 #: A token is a word: a run of characters other than space and tab to carriage return.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -45,27 +51,78 @@ def _with_cells(docs: DataFrame) -> DataFrame:
     return docs.withColumns({"__source": F.coalesce(F.col("source").cast("string"), F.lit("")), "__lang": F.coalesce(F.col("lang").cast("string"), F.lit("")), "__topic": topic(text), "__tokens": F.regexp_count(text, F.lit(WORD)).cast("long")})
 
 
-def _fit_in_one_task(cells: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int) -> DataFrame:
-    """cells with f_source, f_lang and f_topic: every scaling is a window over one dimension, and one partition serves them all without a shuffle."""
-    fitted = cells.coalesce(1)
+class _Progress:
+    """When raking ends: after a given number of rounds, else once all marginals are met.
+
+    Targets that no factors meet are found by the error: it is looked at each time the rounds have doubled,
+    and must have fallen by a tenth from STALL rounds on. The error left is then reported by a warning.
+    """
+
+    def __init__(self, sweeps: int | None):
+        self.sweeps, self.rounds, self.due, self.last = sweeps, 0, SWEEPS, math.inf
+
+    def more(self, error: Callable[[], float]) -> bool:
+        """Whether another round is due; error gives the largest distance of a marginal's share from its target."""
+        if self.sweeps is not None or self.rounds < SWEEPS:
+            self.rounds += 1
+            return self.rounds <= (SWEEPS if self.sweeps is None else self.sweeps)
+        now = error()
+        if now <= TOLERANCE:
+            return False
+        if self.rounds == self.due:
+            if self.rounds >= STALL and now > 0.9 * self.last:
+                warnings.warn(f"Raking stopped after {self.rounds} rounds: no factors meet the targets; a marginal is off by {now:.2g}.", RuntimeWarning, stacklevel=2)
+                return False
+            self.due, self.last = 2 * self.due, now
+        self.rounds += 1
+        return True
+
+
+def _fit_on_driver(cells: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int | None) -> DataFrame:
+    """cells with f_source, f_lang and f_topic. A few cells are gathered; rounds then cost next to nothing, however many it takes."""
+    got = cells.select(*DIMENSIONS, "weight").toArrow()
+    weight = got["weight"].to_numpy().astype(float)
+    at, share, factor = {}, {}, {}
     for d in DIMENSIONS:
-        given, by = targets.get(d) if targets else None, Window.partitionBy(d)
-        if given is not None:
-            fitted = fitted.join(_shares(given).toDF(d, f"t_{d}"), d, "left")
-            continue
-        marked = fitted.withColumns({"__w": F.sum("weight").over(by).cast("double"), "__first": F.row_number().over(by.orderBy(*(e for e in DIMENSIONS if e != d))) == 1})
-        power = F.when(F.col("__w") > 0, F.pow("__w", F.lit(TEMPER[d]))).otherwise(0.0)
-        marked = marked.withColumn("__p", power).withColumn("__all", F.sum(F.when(F.col("__first"), F.col("__p"))).over(Window.partitionBy()))
-        fitted = marked.withColumn(f"t_{d}", F.when(F.col("__all") > 0, F.col("__p") / F.col("__all")).otherwise(0.0)).drop("__w", "__first", "__p", "__all")
-    fitted = fitted.coalesce(1).withColumns({f"f_{d}": F.lit(1.0) for d in DIMENSIONS})
-    for _ in range(sweeps):
+        coded = got[d].combine_chunks().dictionary_encode()
+        values, at[d] = coded.dictionary.to_pylist(), coded.indices.to_numpy(zero_copy_only=False)
+        given = targets.get(d) if targets else None
+        if given is None:
+            own = np.bincount(at[d], weight, len(values))
+            share[d] = np.where(own > 0, own ** TEMPER[d], 0.0)
+            share[d] = share[d] / (share[d].sum() or 1.0)
+        else:
+            wanted = {r["value"]: r["share"] for r in _shares(given).collect()}
+            share[d] = np.array([wanted.get(v) or 0.0 for v in values])
+        factor[d] = np.ones(len(values))
+
+    def sums(d: str) -> np.ndarray:
+        product = weight.copy()
+        for e in DIMENSIONS:
+            if e != d:
+                product *= factor[e][at[e]]
+        return np.bincount(at[d], product, len(share[d]))
+
+    def error() -> float:
+        most = 0.0
         for d in DIMENSIONS:
-            now = F.sum(_product(e for e in DIMENSIONS if e != d)).over(Window.partitionBy(d))
-            fitted = fitted.withColumn("__now", now).withColumn(f"f_{d}", _factor(F.col("__now"), F.col(f"t_{d}"))).drop("__now")
-    return fitted.select(*cells.columns, *(f"f_{d}" for d in DIMENSIONS))
+            now, want = sums(d) * factor[d], share[d]
+            if now.sum() > 0 and want.sum() > 0:
+                most = max(most, float(np.abs(now / now.sum() - want / want.sum()).max()))
+        return most
+
+    progress = _Progress(sweeps)
+    while progress.more(error):
+        for d in DIMENSIONS:
+            now = sums(d)
+            factor[d] = np.divide(share[d], now, out=np.zeros(len(now)), where=now > 0)
+    schema = T.StructType([cells.select(*DIMENSIONS, "weight").schema[c] for c in [*DIMENSIONS, "weight"]] + [T.StructField(f"f_{d}", T.DoubleType()) for d in DIMENSIONS])
+    for d in DIMENSIONS:
+        got = got.append_column(f"f_{d}", pa.array(factor[d][at[d]], "double"))
+    return cells.sparkSession.createDataFrame(got, schema)
 
 
-def _fit_by_tables(cells: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int) -> DataFrame:
+def _fit_by_tables(cells: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int | None) -> DataFrame:
     """The same by shuffles with partial sums: a table of factors for each dimension, refitted in turn."""
     wanted, factors = {}, {}
     for d in DIMENSIONS:
@@ -75,7 +132,20 @@ def _fit_by_tables(cells: DataFrame, targets: dict[str, DataFrame] | None, sweep
             given = own.select("value", F.when(F.col("weight") > 0, F.pow("weight", F.lit(TEMPER[d]))).otherwise(0.0).alias("share"))
         wanted[d] = materialize(_shares(given), "target")
         factors[d] = materialize(own.select("value", F.lit(1.0).alias("factor")), "factor")
-    for _ in range(sweeps):
+
+    def error() -> float:
+        most, fitted = 0.0, cells
+        for d in DIMENSIONS:
+            fitted = fitted.join(factors[d].toDF(d, f"f_{d}"), d)
+        for d in DIMENSIONS:
+            sums = fitted.groupBy(F.col(d).alias("value")).agg(F.sum(_product(DIMENSIONS)).alias("now")).join(wanted[d], "value", "left").select("now", F.coalesce("share", F.lit(0.0)).alias("share"))
+            all_ = sums.agg(F.sum("now").alias("now"), F.sum("share").alias("share")).first()
+            if (all_["now"] or 0) > 0 and all_["share"] > 0:
+                most = max(most, sums.agg(F.max(F.abs(F.col("now") / F.lit(all_["now"]) - F.col("share") / F.lit(all_["share"])))).first()[0])
+        return most
+
+    progress = _Progress(sweeps)
+    while progress.more(error):
         for d in DIMENSIONS:
             others, rest = cells, [e for e in DIMENSIONS if e != d]
             for e in rest:
@@ -101,17 +171,18 @@ def _factor(now: Column, share: Column) -> Column:
     return F.when((now > 0) & share.isNotNull(), share / now).otherwise(0.0)
 
 
-def fit(cells: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int = SWEEPS) -> DataFrame:
+def fit(cells: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int | None = None) -> DataFrame:
     """cells (source, lang, topic, weight; one row each) with f_source, f_lang, f_topic, written once.
 
-    The cells are counted first: ONE_TASK_CELLS of them fit one task, more are
-    fitted by shuffles. Both compute the same factors.
+    The cells are counted first: ONE_TASK_CELLS of them are fitted on the driver, more
+    by shuffles. Both compute the same factors. Without ``sweeps``, rounds go on until each
+    marginal's shares are within TOLERANCE of its target (see _Progress).
     """
-    way = _fit_in_one_task if cells.count() <= ONE_TASK_CELLS else _fit_by_tables
+    way = _fit_on_driver if cells.count() <= ONE_TASK_CELLS else _fit_by_tables
     return materialize(way(cells, targets, sweeps), "fitted")
 
 
-def rake(cells: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int = SWEEPS) -> dict[str, DataFrame]:
+def rake(cells: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int | None = None) -> dict[str, DataFrame]:
     """Factors of each dimension: (value, factor), so that cells' weights times factors meet the targets.
 
     cells: source, lang, topic, weight. targets: (value, share) of dimensions;
@@ -121,12 +192,12 @@ def rake(cells: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps:
     return {d: fitted.groupBy(F.col(d).alias("value")).agg(F.first(f"f_{d}").alias("factor")) for d in DIMENSIONS}
 
 
-def probabilities(docs: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int = SWEEPS) -> DataFrame:
+def probabilities(docs: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int | None = None) -> DataFrame:
     """docs' columns, __source, __lang, __topic, __tokens, __ppm (probability in millionths) and __selected."""
     return _rated(_with_cells(docs), targets, sweeps)
 
 
-def _rated(marked: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int = SWEEPS) -> DataFrame:
+def _rated(marked: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int | None = None) -> DataFrame:
     """marked (documents with cells and tokens) with __ppm and __selected."""
     cells = marked.groupBy("__source", "__lang", "__topic").agg(F.sum("__tokens").alias("weight")).toDF("source", "lang", "topic", "weight")
     fitted = fit(materialize(cells, "cells"), targets, sweeps)

@@ -212,6 +212,23 @@ def test_mixing_fits_alike_in_one_task_and_by_shuffles(spark, monkeypatch):
     assert all(abs(x - y) < 1e-9 for r, s in zip(few, many) for x, y in zip(r[4:], s[4:]))
 
 
+def test_mixing_goes_on_until_targets_are_met(spark):
+    # Each source is nearly one language: six rounds leave a marginal off by points.
+    rows = [(s, v, "p", 100_000 if s == "a" and v == "x" else 3000 if (s, v) in (("b", "y"), ("c", "z")) else 3) for s in "abc" for v in "xyz"]
+    cells = spark.createDataFrame(rows, "source string, lang string, topic string, weight long")
+    targets = {"source": spark.createDataFrame([("a", 0.3), ("b", 0.3), ("c", 0.4)], "value string, share double"), "lang": spark.createDataFrame([("x", 0.4), ("y", 0.3), ("z", 0.3)], "value string, share double")}
+
+    def off(**more):
+        weight = {r[:3]: r[3] * r[4] * r[5] * r[6] for r in mixing.fit(cells, targets, **more).collect()}
+        share = lambda at, v: sum(w for k, w in weight.items() if k[at] == v) / sum(weight.values())
+        return max(abs(share(0, "a") - 0.3), abs(share(0, "c") - 0.4), abs(share(1, "x") - 0.4))
+
+    assert off(sweeps=mixing.SWEEPS) > 1e-3 and off() <= mixing.TOLERANCE
+    apart = spark.createDataFrame([("a", "x", "p", 9), ("b", "y", "p", 1)], "source string, lang string, topic string, weight long")
+    with pytest.warns(RuntimeWarning, match="no factors meet"):
+        mixing.fit(apart)
+
+
 def test_mixing_meets_targets(spark, docs, empty):
     rows = [("a", "en", "p", 100), ("a", "de", "p", 50), ("b", "en", "q", 10), ("b", "de", "p", 30), ("c", "en", "q", 5), ("c", "de", "q", 80)]
     cells = spark.createDataFrame(rows, "source string, lang string, topic string, weight long")
