@@ -7,8 +7,9 @@ repeated if a smaller doc_id holds the same hash. The bucket's distinct hashes
 then become a run of the next level, and runs of a level are compacted once
 there are enough of them.
 
-A fingerprint is 64 bits (two different windows of N collide with N^2 / 2^65);
-documents check proposals against their own words again when they drop them.
+A fingerprint is 64 bits and goes with a second, independent hash of the same words (16 bits, from
+other word hashes): windows count as equal only if both are. Two different windows of N
+are taken for one with N^2 / 2^81; the words themselves are not compared.
 Inside a block repeats are settled where they are met, so a passage that a third
 of all documents hold reaches its bucket once for each block, not document.
 """
@@ -17,6 +18,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from dataclasses import replace
 
 import numpy as np
 import pyarrow as pa
@@ -32,9 +34,21 @@ BLOCK_BYTES, BUCKET_WINDOWS = 8 << 20, 1_000_000
 #: Runs that stand side by side before the next batch's merge compacts them into one.
 FANOUT = 4
 
+#: Mixed into words' bytes for the second hash.
+_OTHER = np.uint64(0xA24BAED4963EE407)
+#: A repeated window as a document gets it.
+_PAIR = np.dtype([("h", np.uint64), ("s", np.uint16)])
+
 _ROWS = "kind string, bucket int, doc_id long, payload binary, docs binary"
 
 
+def _second(w: _text.Words, window: int) -> np.ndarray:
+    """A second hash of each window, from second hashes of the words' bytes."""
+    hashes = _text.span_hashes(_text.mix64(w.raw.astype(np.uint64) + _OTHER), w.start, w.end)
+    other, _ = replace(w, hash=hashes).windows(window)
+    return (other >> np.uint64(48)).astype(np.uint16)
+
+
 def _pack(values: np.ndarray) -> bytes:
     """Sorted 64-bit values as differences, byte plane by byte plane: the high planes are zeros and compress away."""
     return np.ascontiguousarray(np.diff(values, prepend=np.uint64(0)).view(np.uint8).reshape(-1, 8).T).tobytes()
@@ -44,6 +58,17 @@ def _unpack(data: bytes) -> np.ndarray:
     return np.cumsum(np.ascontiguousarray(np.frombuffer(data, np.uint8).reshape(8, -1).T).view(np.uint64).ravel(), dtype=np.uint64)
 
 
+def _unpack_both(data: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Packed values and the second hashes behind them."""
+    n = len(data) // 10
+    return _unpack(data[: 8 * n]), np.frombuffer(data[8 * n :], np.uint16)
+
+
+def _differs(h: np.ndarray, s: np.ndarray) -> np.ndarray:
+    """Where another window begins, in order of both hashes."""
+    return np.concatenate(([True], (h[1:] != h[:-1]) | (s[1:] != s[:-1])))
+
+
 def _pack_ids(ids: np.ndarray) -> bytes:
     """Ids as a sorted dictionary and planes of places in it."""
     known, at = np.unique(ids, return_inverse=True)
@@ -63,13 +88,14 @@ def _unpack_ids(data: bytes) -> np.ndarray:
     return known[at.view(np.uint32).ravel()]
 
 
-def _by_doc(ids: np.ndarray, hashes: np.ndarray) -> Iterator[tuple[int, bytes]]:
+def _by_doc(ids: np.ndarray, hashes: np.ndarray, second: np.ndarray) -> Iterator[tuple[int, bytes]]:
     order = np.argsort(ids, kind="stable")
-    ids, hashes = ids[order], hashes[order]
+    ids, pairs = ids[order], np.empty(len(order), _PAIR)
+    pairs["h"], pairs["s"] = hashes[order], second[order]
     cuts = np.flatnonzero(np.diff(ids)) + 1
     for a, b in zip(np.concatenate(([0], cuts)), np.concatenate((cuts, [len(ids)]))):
         if b > a:
-            yield int(ids[a]), hashes[a:b].tobytes()
+            yield int(ids[a]), pairs[a:b].tobytes()
 
 
 def _rows(rows: list[tuple]) -> pa.RecordBatch:
@@ -80,22 +106,23 @@ def _rows(rows: list[tuple]) -> pa.RecordBatch:
 def _blocks(window: int, buckets: int):
     """Text rows to blocks (one for each bucket and some MB of text) and to repeats that the block itself shows."""
 
-    def flush(hashes: list[np.ndarray], ids: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
-        h, d = np.concatenate(hashes), np.concatenate(ids)
-        order = np.lexsort((d, h))
-        h, d = h[order], d[order]
-        new = np.concatenate(([True], h[1:] != h[:-1]))
+    def flush(hashes: list[np.ndarray], second: list[np.ndarray], ids: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        h, s, d = np.concatenate(hashes), np.concatenate(second), np.concatenate(ids)
+        order = np.lexsort((d, s, h))
+        h, s, d = h[order], s[order], d[order]
+        new = _differs(h, s)
         least = d[np.flatnonzero(new)][np.cumsum(new) - 1]
-        late = (d > least) & np.concatenate(([True], (h[1:] != h[:-1]) | (d[1:] != d[:-1])))
-        h_new, d_new = h[new], d[new]
+        late = (d > least) & (new | np.concatenate(([True], d[1:] != d[:-1])))
+        h_new, s_new, d_new = h[new], s[new], d[new]
         bound = np.searchsorted(h_new, np.arange(1, buckets).astype(np.uint64) * np.uint64((1 << 64) // buckets if buckets > 1 else 0))
         edges = [0, *bound.tolist(), len(h_new)]
-        rows = [("block", b, None, _pack(h_new[x:y]), _pack_ids(d_new[x:y])) for b, (x, y) in enumerate(zip(edges, edges[1:])) if y > x]
-        rows += [("repeat", doc % buckets, doc, got, None) for doc, got in _by_doc(d[late], h[late])]
+        rows = [("block", b, None, _pack(h_new[x:y]) + s_new[x:y].tobytes(), _pack_ids(d_new[x:y])) for b, (x, y) in enumerate(zip(edges, edges[1:])) if y > x]
+        rows += [("repeat", doc % buckets, doc, got, None) for doc, got in _by_doc(d[late], h[late], s[late])]
         yield _rows(rows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes: list[np.ndarray] = []
+        second: list[np.ndarray] = []
         ids: list[np.ndarray] = []
         size = 0
         for batch in batches:
@@ -103,14 +130,15 @@ def _blocks(window: int, buckets: int):
             for w in _text.words(batch.column("text"), lower=False):
                 h, first = w.windows(window)
                 hashes.append(h)
+                second.append(_second(w, window))
                 ids.append(np.repeat(doc[w.row : w.row + w.rows].astype(np.int64), np.diff(first)))
                 size += len(w.raw)
                 if size >= BLOCK_BYTES:
                     if sum(map(len, hashes)):
-                        yield from flush(hashes, ids)
-                    hashes, ids, size = [], [], 0
+                        yield from flush(hashes, second, ids)
+                    hashes, second, ids, size = [], [], [], 0
         if sum(map(len, hashes)):
-            yield from flush(hashes, ids)
+            yield from flush(hashes, second, ids)
 
     return run
 
@@ -119,26 +147,27 @@ def _merge(keep: bool, compact: bool):
     """All blocks and runs of a bucket: repeats, and a run of the batch's new hashes (compacted: of all hashes) with the least id that holds each."""
 
     def run(group: pa.Table) -> pa.Table:
-        out, hashes, ids, fresh = [], [], [], []
+        out, hashes, second, ids, fresh = [], [], [], [], []
         bucket = group.column("bucket")[0].as_py()
         for kind, doc, payload, docs in zip(*(group.column(c).to_pylist() for c in ("kind", "doc_id", "payload", "docs"))):
             if kind == "repeat":
                 out.append(("repeat", bucket, doc, payload, None))
             else:
-                hashes.append(_unpack(payload))
+                for part, got in zip((hashes, second), _unpack_both(payload)):
+                    part.append(got)
                 ids.append(_unpack_ids(docs))
                 fresh.append(np.full(len(hashes[-1]), kind == "block"))
         if hashes:
-            h, d, f = np.concatenate(hashes), np.concatenate(ids), np.concatenate(fresh)
-            order = np.lexsort((d, h))
-            h, d, f = h[order], d[order], f[order]
-            new = np.concatenate(([True], h[1:] != h[:-1]))
+            h, s, d, f = np.concatenate(hashes), np.concatenate(second), np.concatenate(ids), np.concatenate(fresh)
+            order = np.lexsort((d, s, h))
+            h, s, d, f = h[order], s[order], d[order], f[order]
+            new = _differs(h, s)
             least = d[np.flatnonzero(new)][np.cumsum(new) - 1]
             late = f & (d > least)
-            out += [("repeat", bucket, doc, got, None) for doc, got in _by_doc(d[late], h[late])]
+            out += [("repeat", bucket, doc, got, None) for doc, got in _by_doc(d[late], h[late], s[late])]
             if keep:
                 new &= f | compact
-                out.append(("run", bucket, None, _pack(h[new]), _pack_ids(d[new])))
+                out.append(("run", bucket, None, _pack(h[new]) + s[new].tobytes(), _pack_ids(d[new])))
         return pa.Table.from_batches([_rows(out)])
 
     return run
@@ -154,7 +183,7 @@ class FingerprintIndex:
         self.turn = 0
 
     def add(self, batch: DataFrame, keep: bool = True) -> DataFrame:
-        """Index (doc_id, text), later than all before it. Returns (doc_id, payload): hashes of the doc's repeated windows."""
+        """Index (doc_id, text), later than all before it. Returns (doc_id, payload): both hashes of the doc's repeated windows."""
         blocks = batch.select(F.col("doc_id").cast("long"), "text").filter("doc_id is not null").mapInArrow(_blocks(self.window, self.buckets), _ROWS)
         for path in self.runs:
             blocks = blocks.union(self.spark.read.schema(_ROWS).parquet(f"{path}/kind=run").select(F.lit("run"), "bucket", "doc_id", "payload", "docs"))
@@ -163,6 +192,8 @@ class FingerprintIndex:
         compact = len(self.runs) + 1 >= FANOUT
         blocks.groupBy("bucket").applyInArrow(_merge(keep, compact), _ROWS).write.partitionBy("kind").option("compression", "zstd").parquet(path)
         written = self.spark.read.schema(_ROWS).parquet(path)
+        del blocks
+        self.spark._jvm.System.gc()  # lets Spark remove the batch's shuffle files
         if keep:
             self.runs = [path] if compact else [*self.runs, path]
         return written.filter("kind = 'repeat'").select("doc_id", "payload")
@@ -179,15 +210,19 @@ def _remove(window: int):
             found = batch.column("payloads")
             for w in _text.words(batch.column("text"), lower=False):
                 h, first = w.windows(window)
+                second = None
                 counts, raw = w.counts(), w.raw.tobytes()
                 removed, digest, texts = [], [], []
                 for i in range(w.rows):
                     kept = raw[w.offsets[i] : w.offsets[i + 1]].split()
                     gone, got = 0, found[w.row + i].as_py()
                     if got:
-                        repeated = np.isin(h[first[i] : first[i + 1]], np.frombuffer(b"".join(got), np.uint64))
+                        second = _second(w, window) if second is None else second
+                        own, pairs = slice(first[i], first[i + 1]), np.frombuffer(b"".join(got), _PAIR)
+                        at = np.flatnonzero(np.isin(h[own], pairs["h"]))
+                        known = set(pairs.tolist())
+                        at = at[np.array([p in known for p in zip(h[own][at].tolist(), second[own][at].tolist())], bool)]
                         step = np.zeros(counts[i] + 1, np.int64)
-                        at = np.flatnonzero(repeated)
                         np.add.at(step, at, 1)
                         np.add.at(step, at + window, -1)
                         covered = np.cumsum(step)[:-1] > 0

@@ -178,3 +178,21 @@ def test_top_k_prunes_and_handles_huge_numbers():
         for q in range(4):
             full = sorted((-int(sum(int(a) * int(b) for a, b in zip(queries[q], r))), i) for i, r in enumerate(rows))[:7]
             assert sorted((-int(s), int(i)) for o, i, s in zip(of, ids, score) if o == q) == full
+
+
+def test_windows_of_one_hash_but_other_words_are_no_repeats():
+    import numpy as np
+    import pyarrow as pa
+
+    h, one, other = np.array([7], np.uint64), np.array([1], np.uint16), np.array([2], np.uint16)
+    block = lambda doc, second: ("block", 0, None, substring_dedup._pack(h) + second.tobytes(), substring_dedup._pack_ids(np.array([doc], np.int64)))
+    found = lambda *rows: [r for r in substring_dedup._merge(False, False)(pa.Table.from_batches([substring_dedup._rows(list(rows))])).to_pylist() if r["kind"] == "repeat"]
+    assert [r["doc_id"] for r in found(block(1, one), block(2, one))] == [2] and not found(block(1, one), block(2, other))
+    text = " ".join(f"w{i}" for i in range(13))
+    (w,) = substring_dedup._text.words(pa.array([text]), lower=False)
+    pair = np.empty(1, substring_dedup._PAIR)
+    pair["h"] = w.windows(13)[0]
+    for change, gone in ((0, 13), (1, 0)):
+        pair["s"] = substring_dedup._second(w, 13) ^ np.uint16(change)
+        batch = pa.RecordBatch.from_arrays([pa.array([5]), pa.array([text]), pa.array([[pair.tobytes()]])], names=["doc_id", "text", "payloads"])
+        assert next(iter(substring_dedup._remove(13)(iter([batch])))).column("n_removed").to_pylist() == [gone]
