@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,14 +15,16 @@ BROADCAST_IDS = 1_000_000
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; a local one only where that is unset (tests)."""
+    """The folder named by spark.checkpoint.dir. Where that is unset, the context's own, or, with a local master only, a temporary one."""
     where = spark.conf.get("spark.checkpoint.dir", None)
     if not where:
         known = spark.sparkContext._jsc.sc().getCheckpointDir()
-        where = known.get() if known.isDefined() else tempfile.mkdtemp(prefix="forestmine-")
         if not known.isDefined():
-            spark.sparkContext.setCheckpointDir(where)
-            where = spark.sparkContext._jsc.sc().getCheckpointDir().get()
+            if not spark.sparkContext.master.startswith("local["):
+                raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="forestmine-"))
+            known = spark.sparkContext._jsc.sc().getCheckpointDir()
+        where = known.get()
     return where.rstrip("/")
 
 
@@ -33,7 +37,17 @@ def materialize(df: DataFrame, name: str, by: str | None = None) -> DataFrame:
     path, schema = fresh_path(df.sparkSession, name), df.schema
     writer = df.write.option("compression", "zstd")
     (writer.partitionBy(by) if by else writer).parquet(path)
-    return df.sparkSession.read.schema(schema).parquet(path)
+    out = df.sparkSession.read.schema(schema).parquet(path)
+    out._written = path
+    return out
+
+
+def discard(*tables: DataFrame | None) -> None:
+    """Delete tables that materialize wrote and nothing reads any more."""
+    for df in tables:
+        path = getattr(df, "_written", None)
+        if path:
+            remove_path(df.sparkSession, path)
 
 
 def remove_path(spark: SparkSession, path: str) -> None:
@@ -42,6 +56,20 @@ def remove_path(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
+@contextlib.contextmanager
+def small_batches(spark: SparkSession, rows: int = 512, size: str = "4m") -> Iterator[None]:
+    """Within, tables are handed to Python in batches of so many rows and bytes: workers and the buffers beside the heap stay small."""
+    own = {"spark.sql.execution.arrow.maxRecordsPerBatch": str(rows), "spark.sql.execution.arrow.maxBytesPerBatch": size}
+    before = {k: spark.conf.get(k, None) for k in own}
+    for k, v in own.items():
+        spark.conf.set(k, v)
+    try:
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str = "documents") -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
