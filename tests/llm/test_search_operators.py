@@ -127,16 +127,28 @@ def test_substring_dedup(docs, rows, empty):
     assert substring_dedup.dedup_substrings(empty).count() == 0
 
 
-def test_index_keeps_history_and_compacts(spark, docs, rows, monkeypatch):
-    monkeypatch.setattr(substring_dedup, "FANOUT", 2)
-    index = substring_dedup.FingerprintIndex(spark, buckets=8)
-    got = []
-    for low, high in ((0, 10), (10, 25), (25, 1000)):
-        part = docs.filter(f"doc_id >= {low} and doc_id < {high}")
-        got += substring_dedup.dedup_substrings(part, batches=1, index=index).drop("kept_text").collect()
-    assert len(index.runs) == 1
+def test_index_keeps_history_and_compacts(spark, docs, rows, empty, monkeypatch):
     wanted = [r for r in remove_repeats([r for r in rows if r[0] is not None])]
-    assert sorted((tuple(r) for r in got), key=str) == sorted(wanted, key=str)
+    for fanout, windows, runs, buckets in ((2, 1_000_000, 1, 8), (3, 500, 2, 32), (9, 1_000_000, 4, 8)):
+        monkeypatch.setattr(substring_dedup, "FANOUT", fanout)
+        monkeypatch.setattr(substring_dedup, "BUCKET_WINDOWS", windows)
+        index = substring_dedup.FingerprintIndex(spark, buckets=8)
+        got = []
+        for low, high in ((0, 10), (10, 25), (25, 38), (38, 1000)):
+            part = docs.filter(f"doc_id >= {low} and doc_id < {high}")
+            got += substring_dedup.dedup_substrings(part, batches=1, index=index).drop("kept_text").collect()
+        assert len(index.runs) == runs and index.buckets >= buckets
+        assert sorted((tuple(r) for r in got), key=str) == sorted(wanted, key=str)
+        assert index.add(empty).count() == 0
+        index.drop()
+
+
+def test_a_run_is_read_without_a_shuffle(spark, docs):
+    index = substring_dedup.FingerprintIndex(spark, buckets=8)
+    index.add(docs)
+    run = index._run(index.runs[0])
+    plan = run.groupBy("bucket").cogroup(run.groupBy("bucket")).applyInArrow(substring_dedup._compact(8, 1), substring_dedup._ROWS)._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan
     index.drop()
 
 
@@ -186,7 +198,7 @@ def test_windows_of_one_hash_but_other_words_are_no_repeats():
 
     h, one, other = np.array([7], np.uint64), np.array([1], np.uint16), np.array([2], np.uint16)
     block = lambda doc, second: ("block", 0, None, substring_dedup._pack(h) + second.tobytes(), substring_dedup._pack_ids(np.array([doc], np.int64)))
-    found = lambda *rows: [r for r in substring_dedup._merge(False, False)(pa.Table.from_batches([substring_dedup._rows(list(rows))])).to_pylist() if r["kind"] == "repeat"]
+    found = lambda *rows: [r for r in substring_dedup._settle(False, False)(pa.Table.from_batches([substring_dedup._rows(list(rows))])).to_pylist() if r["kind"] == "repeat"]
     assert [r["doc_id"] for r in found(block(1, one), block(2, one))] == [2] and not found(block(1, one), block(2, other))
     text = " ".join(f"w{i}" for i in range(13))
     (w,) = substring_dedup._text.words(pa.array([text]), lower=False)
