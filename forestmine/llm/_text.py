@@ -122,6 +122,50 @@ def words(column: pa.Array, lower: bool, most: int = 1 << 20) -> Iterator[Words]
         yield Words(row, len(offsets) - 1, raw, offsets, span_hashes(raw.astype(np.uint64) + np.uint64(1), start, end), start, end, np.searchsorted(start, offsets))
 
 
+def ragged(values: np.ndarray, start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """values[start:start + size] of all spans, end to end."""
+    ends = np.cumsum(size)
+    return values[np.arange(ends[-1] if len(ends) else 0) + np.repeat(start - (ends - size), size)]
+
+
+class HashTable:
+    """Places of 64-bit keys by open addressing, looked up for whole arrays. At most half of its slots are filled."""
+
+    def __init__(self, bits: int):
+        self.shift, self.mask, self.most = np.uint64(64 - bits), (1 << bits) - 1, 1 << (bits - 1)
+        self.clear()
+
+    def clear(self) -> None:
+        self.keys, self.place, self.size = np.zeros(self.mask + 1, np.uint64), np.full(self.mask + 1, -1, np.int32), 0
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """Places of keys, -1 for those not there."""
+        slot = (keys >> self.shift).astype(np.int64)
+        out = np.where(self.keys[slot] == keys, self.place[slot], -1)
+        open_ = np.flatnonzero((out < 0) & (self.place[slot] >= 0))
+        slot = slot[open_]
+        while len(open_):
+            slot = (slot + 1) & self.mask
+            here = self.place[slot]
+            hit = (self.keys[slot] == keys[open_]) & (here >= 0)
+            out[open_[hit]] = here[hit]
+            more = ~hit & (here >= 0)
+            open_, slot = open_[more], slot[more]
+        return out
+
+    def add(self, keys: np.ndarray, places: np.ndarray) -> None:
+        """Distinct keys that are not there yet; there must be room."""
+        slot, at = (keys >> self.shift).astype(np.int64), np.arange(len(keys))
+        self.size += len(keys)
+        while len(at):
+            free = np.flatnonzero(self.place[slot] < 0)
+            first = free[np.unique(slot[free], return_index=True)[1]]
+            self.keys[slot[first]], self.place[slot[first]] = keys[at[first]], places[at[first]]
+            left = np.ones(len(at), bool)
+            left[first] = False
+            at, slot = at[left], (slot[left] + 1) & self.mask
+
+
 def row_texts(column: pa.Array, lower: bool = False) -> Iterator[bytes]:
     """Each row's text as UTF-8, A-Z lowered if asked; null as empty."""
     raw, offsets = text_buffers(column)
