@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from forestmine.llm import mixing, near_dup, personal_data, quality_rules, sentencepiece_codec
-from forestmine.llm._spark import materialize, table
+from forestmine.llm._spark import discard, materialize, table
 from forestmine.llm.registry import tokenizer_path
 
 
@@ -16,10 +16,8 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_dup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays: that of least id (of rows with one id, one). Rows without an id stay."""
-    gone = materialize(near_dup.near_duplicates(docs, k=5).filter("not kept").select("doc_id").distinct(), "gone")
-    left = near_dup.only_ids(docs, gone, "doc_id", keep=False)
-    return left.filter("doc_id is not null").dropDuplicates(["doc_id"]).unionByName(left.filter("doc_id is null"))
+    """One document of each group stays, that of least id."""
+    return near_dup.keep_one(docs)
 
 
 def personal_data_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -46,7 +44,7 @@ STAGES = [
     ("sentencepiece", sentencepiece_stage),
 ]
 
-#: The learned list and the token ids are beyond SQL; tests hold run() against a plain version.
+#: The learned list and the token ids are beyond SQL; a test holds run() against a plain version.
 ORACLE_SQL = None
 
 
@@ -54,5 +52,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents, each written as Parquet and read by the next."""
     docs = table(spark, sf_dir)
     for name, stage in STAGES:
-        docs = materialize(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        before, docs = docs, materialize(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        discard(before)
     return docs
