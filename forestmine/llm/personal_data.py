@@ -8,6 +8,7 @@ follows can't be part of the loop) but neither recurse nor go back.
 
 from __future__ import annotations
 
+import functools
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -40,7 +41,8 @@ KINDS = [
     Kind("card", r"[0-9](?:[ -]?[0-9]){13,}+", r"[0-9](?:[ -]?[0-9]){13}", r"card|visa|credit|pay", 0.7, 0.3),
     Kind("phone", r"\+[0-9][ ().0-9-]+[0-9]", "+", r"phone|call|tel|mobile|fax", 0.7, 0.3),
     Kind("iban", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])", r"[A-Z]{2}[0-9]{2} ?[A-Z0-9]{4}", r"iban|bank|account|konto", 0.8, 0.2),
-    Kind("secret", r"(?<![A-Za-z0-9])(?=[A-Za-z_]{0,64}[0-9])[A-Za-z0-9_]{20,64}(?![A-Za-z0-9_])", r"[A-Za-z0-9_]{20}", r"(?:token|secret|password|passwd|api.?key|access.?key)[\"' ]*[:=][\"' ]*$", 0.2, 0.7),
+    Kind("secret", r"(?<=[:=][\"' ]{0,3})[A-Za-z0-9_+/.~!@#$%^&*=-]{4,}+", r"(?i)(?:token|secret|password|passwd|pwd|(?:api|access).?key)[\"' ]*+[:=]", r"(?:token|secret|password|passwd|pwd|api.?key|access.?key)[\"' ]*[:=][\"' ]*$", 0.2, 0.7),
+    Kind("key", r"(?<![A-Za-z0-9])(?:AKIA[0-9A-Z]{16}+|gh[pousr]_[A-Za-z0-9]{36,}+|sk-[A-Za-z0-9_-]{20,}+|xox[abprs]-[A-Za-z0-9-]{10,}+|eyJ[A-Za-z0-9_-]{8,}+\.[A-Za-z0-9_-]{8,}+\.[A-Za-z0-9_-]{8,}+)", r"AKIA|gh[pousr]_|sk-|xox[abprs]-|eyJ", r"key|token|secret", 0.8, 0.2),
 ]
 
 
@@ -122,20 +124,20 @@ def _listed(spans: Column) -> Column:
 
 
 def find_personal_data(docs: DataFrame) -> DataFrame:
-    """Per row: doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_iban, n_secret.
+    """Per row: doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_iban, n_secret, n_key, n_spans (of all kinds).
 
     spans lists kind:start:end, code points, end exclusive.
 
     Defined cases: null or empty text has no spans and the hash of the empty
-    string. Rows stand alone, so doc_id may be null or repeat.
+    string. Rows stand alone, so doc_id may be null or repeat. An empty table gives no rows.
     """
     df = with_spans(docs.select(F.col("doc_id").cast("long"), "text"))
     n = lambda k: F.size(f"__pii.{k}").cast("long").alias(f"n_{k}")
-    return df.select("doc_id", *map(n, BASE_KINDS), F.sha2(_listed(all_spans(BASE_KINDS)).cast("binary"), 256).alias("base_sha256"), _listed(all_spans([k.name for k in KINDS])).alias("spans"), n("iban"), n("secret"))
+    return df.select("doc_id", *map(n, BASE_KINDS), F.sha2(_listed(all_spans(BASE_KINDS)).cast("binary"), 256).alias("base_sha256"), _listed(all_spans([k.name for k in KINDS])).alias("spans"), n("iban"), n("secret"), n("key"), functools.reduce(lambda x, y: x + y, (F.size(f"__pii.{k.name}") for k in KINDS)).cast("long").alias("n_spans"))
 
 
 def redact(docs: DataFrame, text: str = "text") -> DataFrame:
-    """docs with every span of its text as [KIND]; overlapping spans become one, named by the first. Null stays null."""
+    """docs with every span of its text as [KIND]; overlapping spans become one, named by the first. Null stays null; rows stand alone; an empty table gives no rows."""
     df = with_spans(docs, text)
     spans = all_spans([k.name for k in KINDS])
     # What stays, from the end of one span to the start of the next, and what stands for spans, alternating.
