@@ -3,7 +3,8 @@
 The automaton holds all templates and phrases. A text is streamed through it: at
 each word the state and length tell the longest run of words, ending here, that
 some template has (matching statistics). Runs that can't be extended and are long
-enough are chained, across small gaps, into covered template spans.
+enough are chained, across small gaps, for each template that holds them; of the spans
+that result the ones that cover most words stay, and none of them overlap.
 """
 
 from __future__ import annotations
@@ -15,23 +16,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._text import LOWER, row_texts
+from .license_texts import PHRASES, TEMPLATES
 
-#: Phrases and labels of the base result.
-PHRASES = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
-#: Opening words of public license notices.
-TEMPLATES = [
-    ("mit", "released under the mit license"),
-    ("mit", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files the software to deal in the software without restriction"),
-    ("apache", "licensed under the apache license version 2 0"),
-    ("apache", "licensed under the apache license version 2 0 the license you may not use this file except in compliance with the license"),
-    ("gpl", "this work is licensed under the gnu general public license version 3"),
-    ("gpl", "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation"),
-    ("bsd", "redistribution and use in source and binary forms with or without modification are permitted provided that the following conditions are met"),
-    ("cc-by", "this work is licensed under a creative commons attribution 4 0 international license"),
-    ("cc-by-nc", "licensed under cc by nc 4 0"),
-    ("mpl", "this source code form is subject to the terms of the mozilla public license v 2 0"),
-    ("unlicense", "this is free and unencumbered software released into the public domain"),
-]
 #: Least words of a run, most words between chained runs; a span counts from this share of its template's words, or this many.
 MIN_RUN, MAX_GAP, SHARE, ENOUGH = 3, 4, 0.6, 8
 
@@ -127,8 +113,7 @@ class LicenseScanner:
                     above = self.automaton.link[above]
                 if above == state:
                     self.phrase_at.setdefault(s, []).append((len(sequence), label))
-        self.one_label = [next(iter(found)) if len(found := {self.labels[o] for o in owners}) == 1 else None for owners in self.automaton.owners]
-        self.least = [min((self.sizes[o] for o in owners), default=0) for owners in self.automaton.owners]
+        self.owners = [sorted(o for o in owners if o < len(templates)) for owners in self.automaton.owners]
 
     def runs(self, ids: list[int | None]) -> Iterator[tuple[int, int, int, list[tuple[int, str]]]]:
         """(end, length, state, phrases that end here) wherever the automaton holds the last words."""
@@ -140,8 +125,9 @@ class LicenseScanner:
                     state = length = 0
                 continue
             state, length = step(state, length, word)
-            if length > 1:
-                yield i + 1, length, state, phrase_at.get(state, ())
+            ended = phrase_at.get(state, ())
+            if length > 1 or ended:
+                yield i + 1, length, state, ended
 
     def scan(self, text: bytes) -> tuple:
         """n_words, base starts, base labels, spans (label, first word, past the last, matched words)."""
@@ -162,24 +148,26 @@ class LicenseScanner:
         return len(tokens), starts, base, self.chain(matches)
 
     def chain(self, matches: list[tuple[int, int, int]]) -> list[tuple[str, int, int, int]]:
-        """Long maximal runs of one license, at most MAX_GAP words apart, as one covered span."""
-        open_spans: dict[str, list] = {}
+        """Maximal runs of MIN_RUN words or more, at most MAX_GAP words apart, as covered spans of their templates; the best of overlapping ones."""
+        open_spans: dict[int, list[int]] = {}
         done = []
         for end, length, state in matches:
-            label = self.one_label[state]
-            if length < MIN_RUN or label is None:
-                continue
-            start, span = end - length, open_spans.get(label)
-            if span and start <= span[1] + MAX_GAP:
-                span[2] += end - max(start, span[1])
-                span[0], span[1] = min(span[0], start), max(span[1], end)
-                span[3] = min(span[3], self.least[state])
-            else:
-                if span:
-                    done.append((label, *span))
-                open_spans[label] = [start, end, length, self.least[state]]
-        done += [(label, *span) for label, span in open_spans.items()]
-        return sorted((label, a, b, n) for label, a, b, n, size in done if n >= min(ENOUGH, SHARE * size))
+            start = end - length
+            for owner in self.owners[state] if length >= MIN_RUN else ():
+                span = open_spans.get(owner)
+                if span and start <= span[1] + MAX_GAP:
+                    open_spans[owner] = [min(span[0], start), max(span[1], end), span[2] + max(0, end - max(start, span[1]))]
+                else:
+                    if span:
+                        done.append((owner, *span))
+                    open_spans[owner] = [start, end, length]
+        done += [(owner, *span) for owner, span in open_spans.items()]
+        best = sorted((-n, self.labels[o], a, b) for o, a, b, n in done if n >= min(ENOUGH, SHARE * self.sizes[o]))
+        out: list[tuple[str, int, int, int]] = []
+        for n, label, a, b in best:
+            if all(b <= x or y <= a for _, x, y, _ in out):
+                out.append((label, a, b, -n))
+        return sorted(out, key=lambda s: (s[1], s))
 
 
 def _scan(scanner: LicenseScanner):
@@ -188,10 +176,7 @@ def _scan(scanner: LicenseScanner):
             out: list[list] = [[] for _ in range(8)]
             for text in row_texts(batch.column("text")):
                 n, starts, base, spans = scanner.scan(text)
-                covered: set[int] = set()
-                for _, a, b, _ in spans:
-                    covered.update(range(a, b))
-                row = (n, len(starts), min(starts, default=None), max(starts, default=None), ",".join(sorted(base)), ",".join(sorted(base | {s[0] for s in spans})), len(covered) / n if n else 0.0, ",".join(f"{label}:{a}:{b}" for label, a, b, _ in spans))
+                row = (n, len(starts), min(starts, default=None), max(starts, default=None), ",".join(sorted(base)), ",".join(sorted(base | {s[0] for s in spans})), sum(b - a for _, a, b, _ in spans) / n if n else 0.0, ",".join(f"{label}:{a}:{b}" for label, a, b, _ in spans))
                 for column, value in zip(out, row):
                     column.append(value)
             kinds = ["int64"] * 4 + ["string", "string", "float64", "string"]
@@ -208,7 +193,7 @@ def scan_licenses(docs: DataFrame, scanner: LicenseScanner | None = None) -> Dat
     label:first:past-the-last.
 
     Defined cases: null or empty text has no words, null first_word and last_word,
-    empty strings and score 0. doc_id may be null or repeat: rows stand alone.
+    empty strings and score 0. doc_id may be null or repeat: rows stand alone. An empty table gives no rows.
     """
     schema = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, spans string"
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_scan(scanner or LicenseScanner()), schema)

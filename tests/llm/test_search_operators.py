@@ -32,6 +32,68 @@ def test_license_scan(docs, rows, empty):
     assert [s[0] for s in license_scan.LicenseScanner().scan(notice)[3]] == ["apache"]
 
 
+def plain_spans(scanner, words, templates):
+    """Spans from runs found by comparing all places of the text with all places of the templates."""
+    sequences = [[w.decode() for w in license_scan.license_words(t.encode())] for _, t in templates]
+    best = []  # for each end: the longest run of words that some template holds
+    for i in range(1, len(words) + 1):
+        n = 0
+        for s in sequences:
+            for j in range(1, len(s) + 1):
+                k = 0
+                while k < min(i, j) and s[j - 1 - k] == words[i - 1 - k]:
+                    k += 1
+                n = max(n, k)
+        best.append(n)
+    runs = [(i + 1, n) for i, n in enumerate(best) if n > 1 and (i + 1 == len(best) or best[i + 1] != n + 1)]
+    spans = []
+    for (label, _), s in zip(templates, sequences):
+        current = None
+        holds = lambda r: any(s[j : j + len(r)] == r for j in range(len(s)))
+        for end, n in runs:
+            if n < license_scan.MIN_RUN or not holds(words[end - n : end]):
+                continue
+            if current and end - n <= current[1] + license_scan.MAX_GAP:
+                current = (min(current[0], end - n), max(current[1], end), current[2] | set(range(end - n, end)))
+            else:
+                spans += [(label, s, current)] if current else []
+                current = (end - n, end, set(range(end - n, end)))
+        spans += [(label, s, current)] if current else []
+    out = []
+    for n, label, a, b in sorted((-len(c[2]), label, c[0], c[1]) for label, s, c in spans if len(c[2]) >= min(license_scan.ENOUGH, license_scan.SHARE * len(s))):
+        if all(b <= x or y <= a for _, x, y, _ in out):
+            out.append((label, a, b, -n))
+    return sorted(out, key=lambda s: (s[1], s))
+
+
+def test_license_spans_and_labels(spark):
+    rng = random.Random(12)
+    templates = [("x", "a b c d e f g h i j"), ("y", "c d e f q r s t u v w"), ("x", "m n o p"), ("z", "a b c q r s k l")]
+    scanner = license_scan.LicenseScanner(templates, {"b c": "x", "k": "one"})
+    for _ in range(150):
+        words = []
+        while len(words) < 40:
+            _, t = rng.choice(templates)
+            t = t.split()
+            i = rng.randrange(len(t))
+            words += t[i : i + rng.randint(1, 8)] + [rng.choice("abckqz")] * rng.randint(0, 2)
+        n, starts, base, spans = scanner.scan(" ".join(words).encode())
+        assert spans == plain_spans(scanner, words, templates)
+        want = sorted([i for i in range(len(words) - 1) if words[i : i + 2] == ["b", "c"]] + [i for i, w in enumerate(words) if w == "k"])
+        assert n == len(words) and sorted(starts) == want and ("one" in base) == ("k" in words)
+
+
+def test_whole_licenses_are_found():
+    scanner = license_scan.LicenseScanner()
+    for label, text in license_scan.TEMPLATES:
+        found = scanner.scan(f"some words {text} and more".encode())[3]
+        size = len(license_scan.license_words(text.encode()))
+        assert len(found) == 1 and found[0][0] == label and found[0][2] - found[0][1] == size, (label, found, size)
+    edited = license_scan.TEMPLATES[1][1].replace("merge, publish", "merge or publish")
+    assert [s[0] for s in scanner.scan(edited.encode())[3]] == ["mit"]
+    assert scanner.scan(b"permission is granted to use the software as it is")[3] == []
+
+
 def test_automaton_matching_statistics():
     rng = random.Random(1)
     sequences = [[rng.randrange(3) for _ in range(rng.randint(1, 12))] for _ in range(6)]
