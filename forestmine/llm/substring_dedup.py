@@ -28,11 +28,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import _text
-from ._spark import discard, fresh_path, materialize, only_ids, remove_path
+from ._spark import discard, fresh_path, materialize, only_ids, remove_path, small_batches
 
 WINDOW = 13
 #: Bytes of text in a block, windows meant for a bucket, bytes of text whose words are hashed at once.
-BLOCK_BYTES, BUCKET_WINDOWS, PIECE = 8 << 20, 1_000_000, 1 << 18
+BLOCK_BYTES, BUCKET_WINDOWS, PIECE = 4 << 20, 1_000_000, 1 << 18
 #: Runs that are compacted into one; ranges of doc_id that a whole table is indexed in.
 FANOUT, BATCHES = 2, 3
 
@@ -260,6 +260,10 @@ class FingerprintIndex:
 
     def add(self, batch: DataFrame, keep: bool = True) -> DataFrame:
         """Index (doc_id, text), later than all before it. Returns (doc_id, payload): both hashes of the doc's repeated windows."""
+        with small_batches(self.spark):
+            return self._add(batch, keep)
+
+    def _add(self, batch: DataFrame, keep: bool) -> DataFrame:
         blocks = batch.select(F.col("doc_id").cast("long"), "text").filter("doc_id is not null").mapInArrow(_blocks(self.window, self.buckets), _ROWS).groupBy("bucket")
         older = self.runs[:-1]
         settle = _settle(keep or bool(older), bool(older))
