@@ -30,18 +30,18 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import _text
-from ._spark import materialize
+from ._spark import discard, materialize
 
 #: Share of tokens from which a word's root probability is broadcast.
 P_WORD = 1e-6
-#: Times that a context must occur, and a next word after it.
-MIN_CONTEXT, MIN_NEXT = 16, 4
+#: Times that a context of one, two, ... words must occur (longer ones as the last), and a next word after it.
+MIN_CONTEXT, MIN_NEXT = [16, 24, 32], 4
 #: Longest context in words; nats an occurrence by which a context must differ; discount of kept counts.
-DEPTH, DIVERGENCE, DISCOUNT = 3, 0.02, 0.75
+DEPTH, DIVERGENCE, DISCOUNT = 4, 0.02, 0.75
 #: Nats in all, besides one for each next word, by which a context must differ: less comes by chance once in about 1e5 contexts or more often.
 CHANCE = 10
-#: Runs broadcast at most; bits of a filter (a power of two) and tasks that fill it; runs packed at once; runs meant for a bucket.
-HOT, FILTER_BITS, FILTER_TASKS, RUNS_AT_ONCE, RUNS_IN_BUCKET = 2_000_000, 1 << 27, 6, 1_000_000, 1_000_000
+#: Runs broadcast at most; bits of a filter (a power of two) and parts that it is put together in; runs packed at once; runs meant for a bucket.
+HOT, FILTER_BITS, FILTER_PARTS, RUNS_AT_ONCE, RUNS_IN_BUCKET = 2_000_000, 1 << 27, 64, 1_000_000, 1_000_000
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 #: The end token: no word's hash counts as it but by a 64-bit collision.
 END = np.uint64(0x1F83D9ABFB41BD6B)
@@ -131,19 +131,26 @@ def _may_hold(bits: np.ndarray, keys: np.ndarray) -> np.ndarray:
 
 
 def _mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    bits = np.zeros(FILTER_BITS, bool)
+    bits = np.zeros(FILTER_BITS // 8, np.uint8)
     for batch in batches:
         for at in _probes(batch.column(0).to_numpy().view(np.uint64)):
-            bits[at] = True
-    yield pa.RecordBatch.from_arrays([pa.array([pa.compress(np.packbits(bits, bitorder="little").tobytes(), "zstd", asbytes=True)], "binary")], names=["bits"])
+            np.bitwise_or.at(bits, at >> 3, np.uint8(1) << (at & 7).astype(np.uint8))
+    parts = bits.reshape(FILTER_PARTS, -1)
+    some = np.flatnonzero(parts.any(1))
+    yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array([pa.compress(parts[i].tobytes(), "zstd", asbytes=True) for i in some], "binary")], names=["part", "bits"])
+
+
+def _merge_marks(group: pa.Table) -> pa.Table:
+    bits = functools.reduce(np.bitwise_or, (np.frombuffer(pa.decompress(x, FILTER_BITS // 8 // FILTER_PARTS, "zstd", asbytes=True), np.uint8) for x in group["bits"].to_pylist()))
+    return pa.table([group["part"].slice(0, 1), pa.array([pa.compress(bits.tobytes(), "zstd", asbytes=True)], "binary")], names=["part", "bits"])
 
 
 def _filter(keys: DataFrame) -> np.ndarray:
-    """A filter of fixed size over (key): it only spares rows, what it lets through by chance finds no partner."""
-    bits = np.zeros(FILTER_BITS // 8, np.uint8)
-    for r in keys.coalesce(FILTER_TASKS).mapInArrow(_mark, "bits binary").toLocalIterator():
-        bits |= np.frombuffer(pa.decompress(bytes(r["bits"]), FILTER_BITS // 8, "zstd", asbytes=True), np.uint8)
-    return bits
+    """A filter of fixed size over (key), put together by parts: it only spares rows, what it lets through by chance finds no partner."""
+    bits, kind = np.zeros((FILTER_PARTS, FILTER_BITS // 8 // FILTER_PARTS), np.uint8), "part int, bits binary"
+    for r in keys.mapInArrow(_mark, kind).groupBy("part").applyInArrow(_merge_marks, kind).collect():
+        bits[r["part"]] = np.frombuffer(pa.decompress(bytes(r["bits"]), bits.shape[1], "zstd", asbytes=True), np.uint8)
+    return bits.ravel()
 
 
 def _find(keys: np.ndarray, wanted: np.ndarray, values: np.ndarray, none=-1) -> np.ndarray:
@@ -295,23 +302,24 @@ def _sum_runs(words: int):
 
 def _levels(docs: DataFrame, counts: DataFrame, n: int, v: int, depth: int) -> DataFrame | None:
     """The whole tree: (key, c, nexts, lefts, depth, suffix), a row for each run of words that is a context or a next word."""
-    spark, found = docs.sparkSession, []
+    spark, found, heads_, lasts = docs.sparkSession, [], [], []
     # Runs of the last length: how often, their probability after their context, and the run without its oldest word.
     last = counts.select(F.col("h").alias("key"), "c", ((F.col("c") + 1) / F.lit(n + v + 1.0)).alias("p"), F.lit(0).cast("long").alias("pkey")).filter(f"key <> {int(END.view(np.int64))}")
     end = counts.filter(f"h = {int(END.view(np.int64))}").select(F.col("h").alias("key"), "c", ((F.col("c") + 1) / F.lit(n + v + 1.0)).alias("p"))
     buckets = 1 << max(6, int(n // RUNS_IN_BUCKET).bit_length())
     for d in range(1, depth + 1):
-        contexts = last.filter(F.col("c") >= MIN_CONTEXT)
+        contexts = last.filter(F.col("c") >= MIN_CONTEXT[min(d, len(MIN_CONTEXT)) - 1])
         above = last.select("key", "c", "p") if d > 1 else last.select("key", "c", "p").union(end)
         shared = spark.sparkContext.broadcast((_filter(contexts.select("key")), _filter(above.filter(F.col("c") >= MIN_NEXT).select("key"))))
         packed = docs.select("text").mapInArrow(_count_runs(shared, d + 1, buckets), "bucket int, n int, payload binary")
         runs = packed.groupBy("bucket").applyInArrow(_sum_runs(d + 1), "key long, ctx long, pkey long, c long")
-        runs = materialize(runs, "runs")
+        counted = runs = materialize(runs, "runs")
         shared.destroy()
         del packed
         spark._jvm.System.gc()  # lets Spark remove the shuffle files of the packed runs
-        runs = runs.join(contexts.select(F.col("key").alias("ctx"), F.col("c").alias("t"), F.col("pkey").alias("suffix")), "ctx")
+        runs = counted.join(contexts.select(F.col("key").alias("ctx"), F.col("c").alias("t"), F.col("pkey").alias("suffix")), "ctx")
         runs = materialize(runs.join(above.select(F.col("key").alias("pkey"), F.col("p").alias("above")), "pkey"), "levels")
+        discard(counted)
         share = F.expr(f"(c - {DISCOUNT}D) / t")
         heads = runs.groupBy("ctx").agg(F.first("t").alias("t"), F.first("suffix").alias("suffix"), F.sum(F.expr("c * ln(c / t / above)")).alias("gain"), F.sum(share).alias("kept"), F.count("c").alias("kinds"), F.sum("c").alias("c"), F.sum("above").alias("above"))
         # The other next words count as one. A context must differ by more than its next words could by chance.
@@ -320,6 +328,9 @@ def _levels(docs: DataFrame, counts: DataFrame, n: int, v: int, depth: int) -> D
         heads = materialize(heads.select("ctx", "t", "suffix", F.when(stays, 1 - F.col("kept")).otherwise(1.0).alias("left"), stays.alias("stays")), "heads")
         last = runs.join(heads.select("ctx", "left", "stays"), "ctx").withColumn("p", F.when(F.col("stays"), share + F.col("left") * F.col("above")).otherwise(F.col("above")))
         last = materialize(last.select("key", "c", "p", "pkey", F.when(F.col("stays"), F.log10(F.col("p") / (F.col("left") * F.col("above")))).otherwise(0.0).alias("nexts")), "tree")
+        discard(runs)
+        heads_.append(heads)
+        lasts.append(last)
         zero = F.lit(0).cast("long")
         found.append(heads.select(F.col("ctx").alias("key"), F.col("t").alias("c"), F.lit(0.0).alias("nexts"), F.log10("left").alias("lefts"), F.lit(d).cast("long").alias("depth"), "suffix"))
         found.append(last.filter("nexts <> 0").select("key", "c", "nexts", F.lit(0.0).alias("lefts"), zero.alias("depth"), zero.alias("suffix")))
@@ -328,7 +339,9 @@ def _levels(docs: DataFrame, counts: DataFrame, n: int, v: int, depth: int) -> D
     if not found:
         return None
     both = functools.reduce(DataFrame.union, found).groupBy("key")
-    return materialize(both.agg(F.max("c").alias("c"), *(F.sum(x).alias(x) for x in ("nexts", "lefts")), *(F.max(x).alias(x) for x in ("depth",)), F.sum("suffix").alias("suffix")), "weights")
+    weights = materialize(both.agg(F.max("c").alias("c"), *(F.sum(x).alias(x) for x in ("nexts", "lefts")), F.max("depth").alias("depth"), F.sum("suffix").alias("suffix")), "weights")
+    discard(*heads_, *lasts)
+    return weights
 
 
 def _grow(docs: DataFrame, depth: int) -> tuple[Tree, DataFrame, DataFrame | None]:
