@@ -30,8 +30,8 @@ from pyspark.sql import functions as F
 from . import _text
 from ._spark import discard, materialize
 
-#: Characters of a chunk of a giant document; slots of a worker's table of words, as a power of two; bytes encoded at once.
-CHUNK, SLOTS, PIECE = 1 << 16, 19, 1 << 18
+#: Characters of a chunk of a giant document; slots of a worker's table of words, as a power of two; bytes encoded at once; ids decoded at once.
+CHUNK, SLOTS, PIECE, SLICE = 1 << 16, 19, 1 << 18, 1 << 16
 #: Fixed value: the mark that stands for a space.
 MARK = "▁"
 
@@ -506,16 +506,27 @@ def encode(docs: DataFrame, path: str, name: str = "ids", chunk: int = CHUNK) ->
 
 def _flat(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Values and offsets of a list column; null counts as empty."""
-    column = pc.fill_null(column, []) if column.null_count else column
+    column = pa.array([x or [] for x in column.to_pylist()], column.type) if column.null_count else column
     offsets = column.offsets.to_numpy()
     return column.flatten().to_numpy(zero_copy_only=False).astype(np.int64), (offsets - offsets[0] if len(offsets) else np.zeros(1)).astype(np.int64)
 
 
+def _slices(batch: pa.RecordBatch, ids: str) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
+    """Runs of whole rows of about SLICE ids, with these and their offsets."""
+    values, offsets = _flat(batch.column(ids))
+    row = 0
+    while row < len(batch):
+        to = max(row + 1, int(np.searchsorted(offsets, offsets[row] + SLICE, "right")) - 1)
+        yield batch.slice(row, to - row), values[offsets[row] : offsets[to]], offsets[row : to + 1] - offsets[row]
+        row = to
+
+
 def _decode(path: str, ids: str, name: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = codec(path)
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([*batch.columns, c.decode_rows(*_flat(batch.column(ids)))], names=[*batch.schema.names, name])
+            for part, values, offsets in _slices(batch, ids):
+                yield pa.RecordBatch.from_arrays([*part.columns, c.decode_rows(values, offsets)], names=[*part.schema.names, name])
 
     return run
 
@@ -532,12 +543,13 @@ def _trip(path: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = codec(path)
         for batch in batches:
-            ids, at = _flat(batch.column("ids"))
-            exact = pc.equal(c.decode_rows(ids, at), batch.column("text").cast(pa.string()))
-            listed = memoryview(_text.ragged(c.decimal, c.digits_at[ids], c.digits[ids]))
-            bound = np.concatenate(([0], np.cumsum(c.digits[ids])))[at].tolist()
-            digest = [hashlib.sha256(listed[x : max(x, y - 1)]).hexdigest() for x, y in zip(bound, bound[1:])]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pc.utf8_length(batch.column("text")).cast(pa.int64()), pa.array(np.diff(at)), pa.array(digest, "string"), exact], names=["doc_id", "n_chars", "n_ids", "ids_sha256", "exact"])
+            for part, ids, at in _slices(batch, "ids"):
+                text = part.column("text")
+                exact = pc.equal(c.decode_rows(ids, at), text.cast(pa.string()))
+                listed = memoryview(_text.ragged(c.decimal, c.digits_at[ids], c.digits[ids]))
+                bound = np.concatenate(([0], np.cumsum(c.digits[ids])))[at].tolist()
+                digest = [hashlib.sha256(listed[x : max(x, y - 1)]).hexdigest() for x, y in zip(bound, bound[1:])]
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pc.utf8_length(text).cast(pa.int64()), pa.array(np.diff(at)), pa.array(digest, "string"), exact], names=["doc_id", "n_chars", "n_ids", "ids_sha256", "exact"])
 
     return run
 
