@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import contextlib
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -50,6 +51,12 @@ def discard(*tables: DataFrame | None) -> None:
             remove_path(df.sparkSession, path)
 
 
+def sweep(spark: SparkSession) -> None:
+    """Lets Spark remove the shuffle files of tables that nothing refers to any more, which else stay until the driver happens to collect its garbage."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def remove_path(spark: SparkSession, path: str) -> None:
     """Delete a folder of shared storage through Hadoop's own file system."""
     p = spark._jvm.org.apache.hadoop.fs.Path(path)

@@ -15,7 +15,10 @@ in it (a run's gain as a next word, and what it leaves as a context). So runs ar
 looked up one by one: the HOT most frequent ones where they are read, others leave
 their number of uses and are joined with the table, as rare words are with the word counts.
 
-Broadcast sizes are bounded whatever the data: at most 1 / P_WORD words, HOT runs and
+A run can have a weight only if the run without its last word is a context of the tree: so longer runs
+are looked up only where shorter ones were found.
+
+Broadcast sizes are bounded whatever the data: at most WORDS words, HOT runs and
 two filters of FILTER_BITS, which only spare rows.
 """
 
@@ -30,18 +33,20 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import _text
-from ._spark import discard, materialize
+from ._spark import discard, materialize, small_batches, sweep
 
-#: Share of tokens from which a word's root probability is broadcast.
-P_WORD = 1e-6
-#: Times that a context of one, two, ... words must occur (longer ones as the last), and a next word after it.
-MIN_CONTEXT, MIN_NEXT = [16, 24, 32], 4
+#: Words at most whose root probability is broadcast, the most frequent ones.
+WORDS = 1 << 20
+#: Times that a context must occur, and a next word after it.
+MIN_CONTEXT, MIN_NEXT = 16, 4
 #: Longest context in words; nats an occurrence by which a context must differ; discount of kept counts.
 DEPTH, DIVERGENCE, DISCOUNT = 4, 0.02, 0.75
 #: Nats in all, besides one for each next word, by which a context must differ: less comes by chance once in about 1e5 contexts or more often.
 CHANCE = 10
 #: Runs broadcast at most; bits of a filter (a power of two) and parts that it is put together in; runs packed at once; runs meant for a bucket.
 HOT, FILTER_BITS, FILTER_PARTS, RUNS_AT_ONCE, RUNS_IN_BUCKET = 2_000_000, 1 << 27, 64, 1_000_000, 1_000_000
+#: Bytes of text whose words are hashed at once.
+PIECE = 1 << 18
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 #: The end token: no word's hash counts as it but by a 64-bit collision.
 END = np.uint64(0x1F83D9ABFB41BD6B)
@@ -54,7 +59,7 @@ def held_out(doc_id: Column, folds: int = 7, fold: int = 2) -> Column:
 
 def _tokens(column: pa.Array) -> Iterator[tuple[_text.Words, np.ndarray, np.ndarray]]:
     """Pieces with their token hashes, an end after each row's words, and each row's first token."""
-    for w in _text.words(column, lower=True):
+    for w in _text.words(column, lower=True, most=PIECE):
         n = w.counts()
         tokens = np.full(len(w.hash) + w.rows, END)
         tokens[np.arange(len(w.hash)) + np.repeat(np.arange(w.rows), n)] = w.hash
@@ -160,27 +165,27 @@ def _find(keys: np.ndarray, wanted: np.ndarray, values: np.ndarray, none=-1) ->
     return np.where(keys[at] == wanted, values[at], none)
 
 
-class _Places:
-    """Places in sorted hashed keys: their leading bits lead to the few keys that share them."""
-
-    def __init__(self, keys: np.ndarray):
-        bits = max(1, int(len(keys)).bit_length())
-        self.keys, self.shift = keys, np.uint64(64 - bits)
-        self.start = np.searchsorted(keys >> self.shift, np.arange((1 << bits) + 1).astype(np.uint64)).astype(np.int32)
-
-    def find(self, wanted: np.ndarray) -> np.ndarray:
-        """Places of keys, -1 for those not there."""
-        slot = (wanted >> self.shift).astype(np.int64)
-        out, at, end = np.full(len(wanted), -1, np.int64), self.start[slot], self.start[slot + 1]
-        open_ = np.flatnonzero(at < end)
-        at, end, wanted = at[open_], end[open_], wanted[open_]
-        while len(open_):
-            hit = self.keys[at] == wanted
-            out[open_[hit]] = at[hit]
-            at = at + 1
-            more = ~hit & (at < end)
-            open_, at, end, wanted = open_[more], at[more], end[more], wanted[more]
-        return out
+def _table(keys: np.ndarray) -> _text.HashTable:
+    """Places of distinct keys."""
+    out = _text.HashTable(max(4, len(keys).bit_length() + 1))
+    out.add(keys, np.arange(len(keys)))
+    return out
+
+
+def _most(counts: DataFrame, room: int) -> int:
+    """The least floor(4 log2(c)) from which rows (c) are ``room`` at most: so coarse steps keep the histogram small."""
+    steps = {r["step"]: r["count"] for r in counts.groupBy(_step()).count().collect()}
+    least = max(steps, default=0) + 1
+    for step in sorted(steps, reverse=True):
+        room -= steps[step]
+        if room < 0:
+            break
+        least = step
+    return least
+
+
+def _step() -> Column:
+    return F.floor(4 * F.log2("c")).alias("step")
 
 
 class Tree:
@@ -308,15 +313,16 @@ def _levels(docs: DataFrame, counts: DataFrame, n: int, v: int, depth: int) -> D
     end = counts.filter(f"h = {int(END.view(np.int64))}").select(F.col("h").alias("key"), "c", ((F.col("c") + 1) / F.lit(n + v + 1.0)).alias("p"))
     buckets = 1 << max(6, int(n // RUNS_IN_BUCKET).bit_length())
     for d in range(1, depth + 1):
-        contexts = last.filter(F.col("c") >= MIN_CONTEXT[min(d, len(MIN_CONTEXT)) - 1])
+        contexts = last.filter(F.col("c") >= MIN_CONTEXT)
         above = last.select("key", "c", "p") if d > 1 else last.select("key", "c", "p").union(end)
         shared = spark.sparkContext.broadcast((_filter(contexts.select("key")), _filter(above.filter(F.col("c") >= MIN_NEXT).select("key"))))
         packed = docs.select("text").mapInArrow(_count_runs(shared, d + 1, buckets), "bucket int, n int, payload binary")
         runs = packed.groupBy("bucket").applyInArrow(_sum_runs(d + 1), "key long, ctx long, pkey long, c long")
-        counted = runs = materialize(runs, "runs")
+        with small_batches(spark):
+            counted = materialize(runs, "runs")
         shared.destroy()
         del packed
-        spark._jvm.System.gc()  # lets Spark remove the shuffle files of the packed runs
+        sweep(spark)
         runs = counted.join(contexts.select(F.col("key").alias("ctx"), F.col("c").alias("t"), F.col("pkey").alias("suffix")), "ctx")
         runs = materialize(runs.join(above.select(F.col("key").alias("pkey"), F.col("p").alias("above")), "pkey"), "levels")
         discard(counted)
@@ -329,6 +335,7 @@ def _levels(docs: DataFrame, counts: DataFrame, n: int, v: int, depth: int) -> D
         last = runs.join(heads.select("ctx", "left", "stays"), "ctx").withColumn("p", F.when(F.col("stays"), share + F.col("left") * F.col("above")).otherwise(F.col("above")))
         last = materialize(last.select("key", "c", "p", "pkey", F.when(F.col("stays"), F.log10(F.col("p") / (F.col("left") * F.col("above")))).otherwise(0.0).alias("nexts")), "tree")
         discard(runs)
+        sweep(spark)
         heads_.append(heads)
         lasts.append(last)
         zero = F.lit(0).cast("long")
@@ -348,27 +355,21 @@ def _grow(docs: DataFrame, depth: int) -> tuple[Tree, DataFrame, DataFrame | Non
     """The hot part, the word counts (h, c), and the weights (h, weight) of the rest; None if there is no rest."""
     spark = docs.sparkSession
     sum_up = lambda df: df.groupBy("h").agg(F.sum("c").alias("c"))
-    counts = materialize(sum_up(docs.select("text").mapInArrow(_count_words, "h long, c long")), "words")
+    with small_batches(spark):
+        counts = materialize(sum_up(docs.select("text").mapInArrow(_count_words, "h long, c long")), "words")
     size = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("c").alias("v")).first()
-    frequent = counts.filter(F.col("c") >= max(1, P_WORD * size.n)).toArrow()
+    frequent = counts.filter(_step() >= _most(counts, WORDS)).toArrow()
     tree = Tree(frequent["h"].to_numpy().astype(np.int64).view(np.uint64), frequent["c"].to_numpy().astype(np.int64), size.n, size.v)
     weights = _levels(docs, counts, size.n, size.v, depth) if size.n else None
     if weights is None:
         return tree, counts, None
-    # The least count from which HOT runs are enough: powers of two keep the histogram small.
-    steps = {r["step"]: r["count"] for r in weights.groupBy(F.floor(4 * F.log2("c")).alias("step")).count().collect()}
-    room, least = HOT, max(steps, default=0) + 1
-    for step in sorted(steps, reverse=True):
-        room -= steps[step]
-        if room < 0:
-            break
-        least = step
-    hot = F.floor(4 * F.log2("c")) >= least
+    hot = _step() >= _most(weights, HOT)
     tree.fill(weights.filter(hot).select("key", "nexts", "lefts", "depth", "suffix").toArrow())
-    cold = weights.filter(~hot).select(F.col("key").alias("h"), (F.col("nexts") + F.col("lefts")).alias("weight")).filter("weight <> 0")
+    rest = weights.filter(~hot).select(F.col("key").alias("h"), (F.col("nexts") + F.col("lefts")).alias("weight"))
+    cold = rest.filter("weight <> 0")
     if cold.isEmpty():
         return tree, counts, None
-    tree.cold = _filter(cold.select("h"))
+    tree.cold = _filter(rest.select("h"))  # a context of no weight leads on to longer ones
     return tree, counts, cold
 
 
@@ -388,28 +389,38 @@ def _uses(row: np.ndarray, keys: np.ndarray, rows: int) -> pa.ListArray:
     return pa.ListArray.from_arrays(pa.array(bound), pa.StructArray.from_arrays([pa.array(keys[new].view(np.int64)), pa.array(uses.astype(np.int64))], names=["h", "uses"]))
 
 
-def _score(shared, depth: int, cold: bool):
+class _Hot:
+    """What scoring needs of a tree: tables of words and runs, and a filter of the runs that aren't broadcast."""
+
+    def __init__(self, tree: Tree, cold: bool):
+        self.words, self.root = _table(tree.words), tree.root
+        self.runs, self.weights = _table(tree.keys), tree.nexts + tree.lefts
+        self.cold = tree.cold if cold else None
+
+
+def _score(shared, depth: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tree = shared.value
-        weights, words, runs = tree.nexts + tree.lefts, _Places(tree.words), _Places(tree.keys)
+        tree: _Hot = shared.value
         for batch in batches:
             doc = batch.column("doc_id").to_pylist()
             for w, tokens, first in _tokens(batch.column("text")):
-                ids = words.find(tokens)
+                ids = tree.words.find(tokens)
                 row = np.repeat(np.arange(w.rows), np.diff(first))
                 base = np.where(ids >= 0, tree.root[np.maximum(ids, 0)] if len(tree.root) else 0.0, 0.0)
-                logs, rest = base, [(row[:0], tokens[:0])]
-                for key, inside in _runs(tokens, row, depth + 1):
-                    at = np.flatnonzero(inside)
-                    found = runs.find(key[at])
+                logs, rest = base.copy(), [(row[:0], tokens[:0])]
+                at, key = np.arange(len(tokens)), tokens
+                for _ in range(depth + 1):
+                    found = tree.runs.find(key)
                     hit = found >= 0
-                    gain = np.zeros(len(tokens))
-                    gain[at[hit]] = weights[found[hit]]
-                    logs = logs + gain
-                    if cold:
-                        at = at[~hit]
-                        at = at[_may_hold(tree.cold, key[at])]
-                        rest.append((row[at], key[at]))
+                    logs[at[hit]] += tree.weights[found[hit]]
+                    if tree.cold is not None:
+                        more = np.flatnonzero(~hit)
+                        more = more[_may_hold(tree.cold, key[more])]
+                        rest.append((row[at[more]], key[more]))
+                        hit[more] = True
+                    hit &= at + 1 < len(tokens)
+                    hit[hit] = row[at[hit]] == row[at[hit] + 1]
+                    at, key = at[hit] + 1, _extend(key[hit], tokens[at[hit] + 1])
                 at, rare = first[:-1], ids < 0
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(doc[w.row : w.row + w.rows], "int64"), pa.array(np.diff(first).astype(np.int64)), pa.array(np.add.reduceat((ids >= 0).astype(np.int64), at)), pa.array(np.add.reduceat(base, at)), pa.array(np.add.reduceat(logs, at)), _uses(row[rare], tokens[rare], w.rows), _uses(*(np.concatenate(x) for x in zip(*rest)), w.rows)],
@@ -433,10 +444,13 @@ def score_texts(docs: DataFrame, training: Column | None = None, depth: int = DE
     out = held_out(F.col("doc_id"))
     learnt = docs.filter(~out if training is None else training).select("text")
     tree, counts, cold = _grow(learnt, depth)
-    shared = docs.sparkSession.sparkContext.broadcast(tree)
+    shared = docs.sparkSession.sparkContext.broadcast(_Hot(tree, cold is not None))
     schema = "doc_id long, n_tokens long, n_known long, base_score double, score double, misses array<struct<h long, uses long>>, runs array<struct<h long, uses long>>"
-    scored = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_score(shared, depth, cold is not None), schema)
-    scored = materialize(scored.withColumn("rid", F.monotonically_increasing_id()), "scored")
+    scored = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_score(shared, depth), schema)
+    with small_batches(docs.sparkSession):
+        scored = materialize(scored.withColumn("rid", F.monotonically_increasing_id()), "scored")
+    shared.destroy()
+    sweep(docs.sparkSession)
     rare = scored.select("rid", F.inline("misses")).join(counts, "h", "left")
     chance = F.log10((F.coalesce("c", F.lit(0)) + 1) / F.lit(float(tree.total + tree.kinds + 1)))
     sums = rare.groupBy("rid").agg(F.sum(F.when(F.col("c") > 0, F.col("uses")).otherwise(0)).alias("more"), F.sum(F.col("uses") * chance).alias("add"))

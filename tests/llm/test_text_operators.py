@@ -298,3 +298,49 @@ def test_max_plus_scan_is_the_best_path():
         for chunk in (1, 3, 1000):
             got = sentencepiece_codec.segment(m, t, chunk)
             assert "".join(got) == t and abs(score(got) - best(t)) < 1e-9
+
+
+def test_lm_scores_are_those_of_the_tree(spark, monkeypatch):
+    """score against a walk over each text: the longest run of words before that is a state gives the next word's probability."""
+    import numpy as np
+    import pyarrow as pa
+
+    rng = random.Random(14)
+    words = [f"w{i}" for i in range(12)]
+    follow = {}
+    texts = []
+    for _ in range(300):
+        t = [rng.choice(words)]
+        for _ in range(25):
+            t.append(follow.setdefault(tuple(t[-2:]), rng.choice(words)) if rng.random() < 0.7 else rng.choice([*words, f"rare{rng.randrange(400)}"]))
+        texts.append(" ".join(t))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    training = df.filter(~suffix_tree_lm.held_out(F.col("doc_id")))
+    tree, counts = suffix_tree_lm.learn(training)
+    known = {r["h"]: r["c"] for r in counts.collect()}
+    states = {int(k): n for n, k in enumerate(tree.state_keys.tolist()) if n}
+    weight = dict(zip(tree.keys.tolist(), tree.nexts.tolist()))
+
+    def plain(text):
+        total = 0.0
+        ((w, tokens, _),) = suffix_tree_lm._tokens(pa.array([text]))
+        for i, token in enumerate(tokens):
+            state = 0
+            for n in range(min(i, suffix_tree_lm.DEPTH), 0, -1):
+                key = tokens[i - n : i - n + 1]
+                for j in range(i - n + 1, i):
+                    key = suffix_tree_lm._extend(key, tokens[j : j + 1])
+                if int(key[0]) in states:
+                    state = states[int(key[0])]
+                    break
+            total += math.log10((known.get(int(token.view(np.int64)), 0) + 1) / (tree.total + tree.kinds + 1))
+            while state:
+                next_key = suffix_tree_lm._extend(tree.state_keys[state : state + 1], tokens[i : i + 1])
+                total += math.log10(tree.left[state]) + weight.get(int(next_key[0]), 0.0)
+                state = int(tree.parent[state])
+        return total
+
+    for hot in (suffix_tree_lm.HOT, 60):
+        monkeypatch.setattr(suffix_tree_lm, "HOT", hot)
+        got = {r["doc_id"]: r["score"] for r in suffix_tree_lm.score_texts(df).collect()}
+        assert all(abs(got[i] - plain(t)) < 1e-6 for i, t in enumerate(texts))
