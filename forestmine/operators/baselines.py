@@ -25,21 +25,24 @@ def _full_kernel(v: DataFrame) -> Kernel:
         whole = F.concat("matched", F.array(F.struct(F.col("x_lo").alias("lo"), F.col("x_hi").alias("hi"))))
         return j.select(F.col("pattern_id").alias("prefix_id"), "c", "label", "tree_id", F.col("x_lo").alias("lo"), F.col("x_hi").alias("hi"), extend_path(F.col("rp"), F.col("c"), F.col("x_hi")).alias("rp"), "mult", whole.alias("matched"))
 
-    return Kernel(start, lambda r: joins.pairs_by_join(r, v), finish, ["tree_id", "lo", "hi", "rp", "mult", "matched"])
+    return Kernel(start, lambda r: joins.pairs_by_join(r, v), finish, ["tree_id", "lo", "hi", "rp", "mult", "matched"], "full match")
 
 
-def full_match(v: DataFrame, minsup: int, max_size: int | None = None, rule: str = "prefix", support: str = "occurrence", trace: Trace | None = None) -> DataFrame:
+def full_match(v: DataFrame, minsup: int, max_size: int | None = None, rule: str = "prefix", support: str = "occurrence", trace: Trace | None = None, guided: bool = False) -> DataFrame:
     """Full-match miner: the same patterns as the compact one under the same rule, with a row for each occurrence."""
-    v = shrink(v, frequent_labels(v, minsup, support)).repartition("tree_id").persist()
+    keep = frequent_labels(v, minsup, support).persist()
+    v = shrink(v, keep).repartition("tree_id").persist()
     try:
-        return levelwise(v, minsup, _full_kernel(v), max_size, rule, support, trace=trace)
+        return levelwise(v, minsup, _full_kernel(v), max_size, rule, support, trace=trace, labels=keep, guided=guided)
     finally:
         v.unpersist()
+        keep.unpersist()
 
 
 def model_guided(v: DataFrame, minsup: int, max_size: int | None = None, support: str = "occurrence", trace: Trace | None = None) -> DataFrame:
-    """Model-guided miner: breadth first, full occurrences, and only patterns with all sub-patterns frequent."""
-    return full_match(v, minsup, max_size, "all", support, trace)
+    """Model-guided miner: breadth first with full occurrences; extensions are taken from the data, and of those
+    that occur and are frequent the ones stay all of whose sub-patterns are. So occurrences of extensions that the rule throws out are made, too."""
+    return full_match(v, minsup, max_size, "all", support, trace, guided=True)
 
 
 def rightmost_set(v: DataFrame, minsup: int, max_size: int | None = None, trace: Trace | None = None) -> DataFrame:
@@ -51,7 +54,7 @@ def rightmost_set(v: DataFrame, minsup: int, max_size: int | None = None, trace:
         return keys.dropDuplicates().withColumn("mult", F.lit(1).cast("long"))
 
     try:
-        found = levelwise(v, minsup, Kernel(joins.singletons, lambda r: joins.pairs_by_join(r, v), finish), max_size, "prefix", "tree", trace=trace)
+        found = levelwise(v, minsup, Kernel(joins.singletons, lambda r: joins.pairs_by_join(r, v), finish, name="rightmost set"), max_size, "prefix", "tree", trace=trace)
         return found.withColumn("support", F.col("tree_support"))
     finally:
         v.unpersist()

@@ -20,8 +20,8 @@ CANDIDATE = ["prefix_id", "c", "label"]
 
 
 def singletons(v: DataFrame, ids: DataFrame | None = None) -> DataFrame:
-    """Records of one-vertex patterns. ids: (label, pattern_id) of those wanted, else the label stands in."""
-    rows = v.join(F.broadcast(ids), "label") if ids is not None else v.withColumn("pattern_id", F.lit(0).cast("long"))
+    """Records of one-vertex patterns. ids: (label, pattern_id) of those wanted, broadcast if the caller says so; else all get pattern 0."""
+    rows = v.join(ids, "label") if ids is not None else v.withColumn("pattern_id", F.lit(0).cast("long"))
     return rows.select("pattern_id", "tree_id", "lo", "hi", F.array("hi").alias("rp"), F.lit(1).cast("long").alias("mult"))
 
 

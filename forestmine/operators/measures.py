@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 import math
+import threading
 import time
+import uuid
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.relations import is_ancestor
@@ -60,18 +62,39 @@ def chain_size(n: int, k: int, merge: str = "canonical") -> tuple[int, int]:
     return math.comb(n, k), n - k + 1 if merge == "canonical" else math.comb(n, k)
 
 
-def timed(run: Callable[[], DataFrame], repeat: int = 1, cap: float | None = None) -> dict:
-    """Median seconds of collecting run()'s rows, their number, and a status: 'ok', 'cap' (slower than cap) or the error's name."""
+def timed(run: Callable[[], DataFrame], repeat: int = 1, cap: float | None = None, spark: SparkSession | None = None) -> dict:
+    """Median seconds of collecting run()'s rows, their number, and a status: 'ok', 'cap' or the error's name.
+
+    With spark, a run is stopped once it takes more than ``cap`` seconds: its jobs are in a group that a timer cancels.
+    """
     seconds, rows = [], 0
     for _ in range(repeat):
-        began = time.time()
+        began, stopped, timer = time.time(), threading.Event(), None
+        if spark is not None and cap:
+            group = f"timed-{uuid.uuid4().hex}"
+            spark.sparkContext.setJobGroup(group, "timed", interruptOnCancel=True)
+
+            def stop(group: str = group, stopped: threading.Event = stopped) -> None:
+                stopped.set()
+                while stopped.is_set():  # a run starts one job after the other
+                    spark.sparkContext.cancelJobGroup(group)
+                    time.sleep(0.5)
+
+            timer = threading.Timer(cap, stop)
+            timer.daemon = True
+            timer.start()
         try:
             rows = len(run().collect())
         except Exception as e:  # a failure is a measured outcome here
-            return {"seconds": time.time() - began, "patterns": None, "status": type(e).__name__}
+            return {"seconds": round(time.time() - began, 3), "patterns": None, "status": "cap" if stopped.is_set() else type(e).__name__}
+        finally:
+            if timer:
+                timer.cancel()
+                stopped.clear()
+                spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
         seconds.append(time.time() - began)
     middle = sorted(seconds)[len(seconds) // 2]
-    return {"seconds": middle, "patterns": rows, "status": "cap" if cap and middle > cap else "ok"}
+    return {"seconds": round(middle, 3), "patterns": rows, "status": "cap" if cap and middle > cap else "ok"}
 
 
 def compare_sizes(v: DataFrame, code: str) -> DataFrame:

@@ -4,12 +4,15 @@ One loop serves the compact miner and the baselines that keep state: they differ
 in the kernel that turns the state of a level and the vertices into candidates'
 state, in the candidate rule and in the support. A level costs one pass of the
 kernel (inside the partitions of tree_id) and one small shuffle of counts; only
-frequent candidates come to the driver. States are persisted, so no plan grows.
+frequent candidates come to the driver. States are persisted, so no plan grows; with a
+checkpoint folder they are written there, and a lost executor costs a read.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable
+import json
+import time
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
@@ -35,6 +38,7 @@ class Kernel:
     grow: Callable[[DataFrame], DataFrame]
     finish: Callable[[DataFrame], DataFrame] = lambda df: df
     state: list[str] = field(default_factory=lambda: ["tree_id", "lo", "hi", "rp", "mult"])
+    name: str = "compact"
 
 
 def compact_kernel(v: DataFrame, plan: str, merge: str) -> Kernel:
@@ -66,15 +70,20 @@ def compact_kernel(v: DataFrame, plan: str, merge: str) -> Kernel:
     return Kernel(joins.singletons, grow)
 
 
-def frequent_labels(v: DataFrame, minsup: int, support: str = "occurrence") -> DataFrame:
-    """(label, support, tree_support) of labels that are frequent, in one scan."""
-    counts = v.groupBy("label").agg(F.count(F.lit(1)).alias("support"), F.countDistinct("tree_id").alias("tree_support"))
+def frequent_labels(v: DataFrame, minsup: int, support: str = "occurrence", spread: int = 1) -> DataFrame:
+    """(label, support, tree_support) of labels that are frequent, in one scan. spread: v has each tree so many times."""
+    counts = v.filter("label is not null and tree_id is not null").groupBy("label").agg((F.count(F.lit(1)) / spread).cast("long").alias("support"), F.countDistinct(F.col("tree_id") if spread == 1 else F.expr(f"(tree_id - pmod(tree_id, {spread}L)) div {spread}L")).alias("tree_support"))
     return counts.filter(F.col("tree_support" if support == "tree" else "support") >= minsup)
 
 
+def hinted(df: DataFrame, n: int) -> DataFrame:
+    """df of n rows, to be broadcast if these are few."""
+    return F.broadcast(df) if n <= BROADCAST_ROWS else df
+
+
 def shrink(v: DataFrame, labels: DataFrame) -> DataFrame:
-    """Vertices with one of the labels, scopes unchanged: occurrences need ancestor relations only."""
-    return v.join(F.broadcast(labels.select("label")), "label", "left_semi").select(*v.columns)
+    """Vertices with one of the labels, scopes unchanged: occurrences need ancestor relations only. The labels are counted first."""
+    return v.join(hinted(labels.select("label"), labels.count()), "label", "left_semi").select(*v.columns)
 
 
 def threshold(v: DataFrame, num: int, den: int) -> int:
@@ -84,27 +93,34 @@ def threshold(v: DataFrame, num: int, den: int) -> int:
 
 @dataclass
 class Trace:
-    """What a mining call did, by level: candidates generated, infrequent, frequent; records; seconds of generating and counting."""
+    """What a mining call did, by level: candidates generated, met in the data, frequent; records, occurrences and bytes of the state; seconds of generating and of counting."""
 
     levels: list[dict] = field(default_factory=list)
 
 
-def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None = None, rule: str = "prefix", support: str = "occurrence", roots: list[str] | None = None, trace: Trace | None = None, exact_counts: str = "long", checkpoint: str | None = None) -> DataFrame:
+def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None = None, rule: str = "prefix", support: str = "occurrence", roots: list[str] | None = None, trace: Trace | None = None, exact_counts: str = "long", checkpoint: str | None = None, labels: DataFrame | None = None, spread: int = 1, guided: bool = False) -> DataFrame:
     """All frequent patterns: the PATTERNS columns.
 
-    checkpoint: a folder that gets each level's patterns and state; a later call with it goes on after the last whole level.
+    checkpoint: a folder that gets each level's patterns and state; a later call with it goes on after the
+    last whole level. It belongs to one input and one set of arguments; another call with it raises.
 
     rule: 'prefix' (the prefix is frequent), 'class' (a sibling is too), 'all' (every
-    one-vertex-removed pattern is) or 'none' (support only; needs max_size).
+    one-vertex-removed pattern is) or 'none' (support only; needs max_size). guided: rule 'all' is held
+    against extensions that occur and are frequent, instead of deciding before the data are read.
     roots: only patterns with these root labels. Threshold by occurrences or trees.
+    labels: frequent_labels(v, minsup, support), if it is there already. spread: copies of each tree (see embedded).
+
+    Defined cases: vertices without a label or tree_id are in no pattern. An empty forest gives no patterns.
     """
+    from .measures import logical_bytes
+
     spark = v.sparkSession
     if rule == "none" and not max_size:
         raise ValueError("without a rule a largest size is needed")
     measure = "tree_support" if support == "tree" else "support"
     least = minsup if rule != "none" else 1
-    found = [r for r in frequent_labels(v, 1, support).orderBy("label").collect() if r[measure] >= least]
-    labels = {r["label"] for r in found}
+    found = (labels if labels is not None and rule != "none" else frequent_labels(v, least, support, spread)).orderBy("label").collect()
+    names = {r["label"] for r in found}
     rows, level = [], {}
     for r in found:
         if roots is None or r["label"] in roots:
@@ -114,33 +130,39 @@ def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None =
     if not rows:
         return _result(spark, rows, minsup, measure, exact_counts)
     ids = spark.createDataFrame([(r[5], r[0]) for r in rows], "label string, pattern_id long")
-    state = kernel.start(v, ids).persist()
+    state = kernel.start(v, hinted(ids, len(rows))).persist()
     # What the rules look up: frequent patterns of the last level, whatever their root.
-    known = {nodes for nodes in level.values()} | {((pt.escape(x), 0),) for x in labels}
+    known = {nodes for nodes in level.values()} | {((pt.escape(x), 0),) for x in names}
     size = 1
     if checkpoint:
-        done = _restore(spark, checkpoint, rows, kernel, state)
+        _claim(checkpoint, v, {"minsup": minsup, "rule": rule, "support": support, "roots": roots, "exact_counts": exact_counts, "spread": spread, "kernel": kernel.name, "state": kernel.state})
+        done = _restore(spark, checkpoint, state)
         if done:
             size, rows, level, state = done
             known = set(level.values())
+    tree = F.col("tree_id") if spread == 1 else F.expr(f"(tree_id - pmod(tree_id, {spread}L)) div {spread}L")
     while level and (max_size is None or size < max_size):
         size += 1
+        began = time.time()
         pairs = kernel.grow(state)
         generated = None
-        if rule == "class" and size > 2 or rule == "all" and size > 2:
-            allowed = _allowed(level, labels, known, rule)
-            generated = len(allowed)
-            allowed = spark.createDataFrame(allowed or [(-1, -1, "")], "prefix_id long, c int, label string")
+        if rule in ("class", "all") and size > 2 and not guided:
+            allowed, generated = _allowed(spark, rows, level, known, rule)
             near = "pattern_id" if "pattern_id" in pairs.columns else "prefix_id"
-            pairs = pairs.join(F.broadcast(allowed.withColumnRenamed("prefix_id", near)), [near, "c", "label"], "left_semi").select(*pairs.columns)
+            pairs = pairs.join(hinted(allowed.withColumnRenamed("prefix_id", near), generated), [near, "c", "label"], "left_semi").select(*pairs.columns)
         grown = kernel.finish(pairs).persist()
         total = F.sum(F.col("mult").cast("decimal(38,0)")) if exact_counts == "decimal" else F.sum("mult")
-        counts = grown.groupBy(*CANDIDATE, "tree_id").agg(total.alias("s"), F.count(F.lit(1)).alias("n")).groupBy(*CANDIDATE).agg(F.sum("s").alias("support"), F.count(F.lit(1)).alias("tree_support"), F.sum("n").alias("n_records"))
-        counts = counts.persist() if trace is not None else counts
+        counts = grown.groupBy(*CANDIDATE, tree.alias("tree")).agg(total.alias("s"), F.count(F.lit(1)).alias("n")).groupBy(*CANDIDATE).agg(F.sum("s").alias("support"), F.count(F.lit(1)).alias("tree_support"), F.sum("n").alias("n_records"))
+        if trace is not None:
+            counts, records = counts.persist(), grown.count()
+            made = time.time()
         good = counts.filter(F.col(measure) >= least).orderBy("prefix_id", "c", "label").collect()
+        if rule == "all" and guided and size > 2:
+            good = [r for r in good if all(p in known for p in pt.one_removed(pt.extend(level[r["prefix_id"]], pt.escape(r["label"]), r["c"])))]
         if trace is not None:
-            met = counts.count()
-            trace.levels.append({"size": size, "generated": generated if generated is not None else sum(n[-1][1] + 1 for n in level.values()) * len(labels), "met": met, "frequent": len(good)})
+            made_up = generated if generated is not None else sum(n[-1][1] + 1 for n in level.values()) * len(names)
+            kept = grown.join(hinted(spark.createDataFrame([(r["prefix_id"], r["c"], r["label"]) for r in good], "prefix_id long, c int, label string"), len(good)), CANDIDATE, "left_semi")
+            trace.levels.append({"size": size, "generated": made_up, "met": counts.count(), "frequent": len(good), "records": records, "frequent_records": sum(r["n_records"] for r in good), "occurrences": int(sum(r["support"] for r in good)), "state_bytes": logical_bytes(kept), "pattern_bytes": sum(len(r[1]) + 40 for r in rows), "generation_s": round(made - began, 3), "counting_s": round(time.time() - made, 3)})
             counts.unpersist()
         level_next, new = {}, []
         for r in good:
@@ -152,14 +174,13 @@ def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None =
         level = level_next
         known = set(level.values())
         if level and (max_size is None or size < max_size):
-            marks = spark.createDataFrame(new, "prefix_id long, c int, label string, pattern_id long")
-            marks = F.broadcast(marks) if len(new) <= BROADCAST_ROWS else marks
-            after = grown.join(marks, CANDIDATE).select("pattern_id", *kernel.state).persist()
+            marks = hinted(spark.createDataFrame(new, "prefix_id long, c int, label string, pattern_id long"), len(new))
+            after = grown.join(marks, CANDIDATE).select("pattern_id", *kernel.state)
             if checkpoint:
                 after.write.mode("overwrite").parquet(f"{checkpoint}/state-{size}")
                 spark.createDataFrame([(*r[:6], str(r[6]), *r[7:]) for r in rows], PATTERNS.replace("decimal(38,0)", "string")).coalesce(1).write.mode("overwrite").parquet(f"{checkpoint}/patterns-{size}")
-                after.unpersist()
-                after = spark.read.parquet(f"{checkpoint}/state-{size}").repartition("tree_id").persist()
+                after = spark.read.parquet(f"{checkpoint}/state-{size}").repartition("tree_id")
+            after = after.persist()
             after.count()
             state.unpersist()
             state = after
@@ -168,11 +189,28 @@ def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None =
     return _result(spark, rows, minsup, measure, exact_counts)
 
 
-def _restore(spark: SparkSession, folder: str, start: list[tuple], kernel: Kernel, state: DataFrame) -> tuple | None:
+def _exists(spark: SparkSession, path: str) -> bool:
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark._jsc.hadoopConfiguration()).exists(p)
+
+
+def _claim(folder: str, v: DataFrame, run: dict) -> None:
+    """Binds a checkpoint folder to a call's arguments and input; raises if it belongs to another call."""
+    spark = v.sparkSession
+    seen = v.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("tree_id", "lo", "hi", "label").cast("decimal(38,0)")).alias("h")).first()
+    own = json.dumps({**run, "vertices": seen["n"], "hash": str(seen["h"])}, sort_keys=True)
+    if _exists(spark, f"{folder}/run/_SUCCESS"):
+        if spark.read.parquet(f"{folder}/run").first()["run"] != own:
+            raise ValueError(f"{folder} holds the checkpoints of another run")
+    elif _exists(spark, f"{folder}/state-2"):
+        raise ValueError(f"{folder} holds checkpoints of an unknown run")
+    else:
+        spark.createDataFrame([(own,)], "run string").coalesce(1).write.mode("overwrite").parquet(f"{folder}/run")
+
+
+def _restore(spark: SparkSession, folder: str, state: DataFrame) -> tuple | None:
     """The last level whose patterns and state were both written whole: size, pattern rows, the level's patterns, state."""
-    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
-    fs = path.getFileSystem(spark._jsc.hadoopConfiguration())
-    there = lambda name: fs.exists(spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/{name}/_SUCCESS"))
+    there = lambda name: _exists(spark, f"{folder}/{name}/_SUCCESS")
     size = 1
     while there(f"state-{size + 1}") and there(f"patterns-{size + 1}"):
         size += 1
@@ -184,17 +222,23 @@ def _restore(spark: SparkSession, folder: str, start: list[tuple], kernel: Kerne
     return size, rows, level, spark.read.parquet(f"{folder}/state-{size}").repartition("tree_id").persist()
 
 
-def _allowed(level: dict, labels: set[str], known: set, rule: str) -> list[tuple[int, int, str]]:
-    """(prefix_id, c, label) that a rule lets through, from the frequent patterns of the level."""
-    out = []
-    for at, nodes in level.items():
-        for label in labels:
-            for c in range(nodes[-1][1] + 1):
-                safe = pt.escape(label)
-                needed = [pt.class_partner(nodes, safe, c)] if rule == "class" else pt.one_removed(pt.extend(nodes, safe, c))
-                if all(p in known for p in needed):
-                    out.append((at, c, label))
-    return out
+def _allowed(spark: SparkSession, rows: list[tuple], level: dict, known: set, rule: str) -> tuple[DataFrame, int]:
+    """(prefix_id, c, label) that a rule lets through, and their number.
+
+    Both rules need a frequent sibling of the prefix that ends in the label: so a candidate is a pair of siblings, which a join of the
+    level with itself finds. Rule 'all' then looks its other sub-patterns up, candidate by candidate.
+    """
+    last = spark.createDataFrame([(at, rows[at][3], nodes[-1][1], rows[at][5]) for at, nodes in level.items()], "pattern_id long, prefix_id long, depth int, label string")
+    p, q = last.alias("p"), last.alias("q")
+    pairs = p.join(q, (F.col("p.prefix_id") == F.col("q.prefix_id")) & (F.col("q.depth") <= F.col("p.depth")))
+    # The sibling's depth tells where the vertex goes: under its own parent, or (at the prefix's depth) under the prefix's last vertex, too.
+    c = F.explode(F.when(F.col("q.depth") == F.col("p.depth"), F.array(F.col("q.depth") - 1, F.col("q.depth"))).otherwise(F.array(F.col("q.depth") - 1)))
+    out = pairs.select(F.col("p.pattern_id").alias("prefix_id"), F.col("q.label").alias("label"), c.alias("c")).select("prefix_id", "c", "label")
+    if rule == "class":
+        out = out.persist()
+        return out, out.count()
+    held = [tuple(r) for r in out.toLocalIterator() if all(x in known for x in pt.one_removed(pt.extend(level[r["prefix_id"]], pt.escape(r["label"]), r["c"])))]
+    return spark.createDataFrame(held, "prefix_id long, c int, label string"), len(held)
 
 
 def _result(spark: SparkSession, rows: list[tuple], minsup: int, measure: str, exact_counts: str) -> DataFrame:
@@ -205,26 +249,46 @@ def _result(spark: SparkSession, rows: list[tuple], minsup: int, measure: str, e
     return df if exact_counts == "decimal" else df.withColumn("support", F.col("support").cast("long"))
 
 
-def embedded(v: DataFrame, minsup: int, max_size: int | None = None, rule: str = "prefix", support: str = "occurrence", merge: str = "canonical", plan: str = "join", exact_counts: str = "long", schedule: str = "levels", batch: int = 1, shrunk: bool = True, trace: Trace | None = None, checkpoint: str | None = None) -> DataFrame:
+def embedded(v: DataFrame, minsup: int, max_size: int | None = None, rule: str = "prefix", support: str = "occurrence", merge: str = "canonical", plan: str = "join", exact_counts: str = "long", schedule: str = "levels", batch: int = 1, shrunk: bool = True, trace: Trace | None = None, checkpoint: str | None = None, spread: int | str = 1) -> DataFrame:
     """The compact miner.
 
     schedule 'classes' mines the patterns of ``batch`` root labels at a time, which
     bounds the live state as a depth-first order does; 'levels' takes all at once.
+
+    spread: for few large trees. Each tree's work is dealt to so many tasks by root occurrence: records of one root never
+    merge with another's, so a copy of the tree's vertices for each share of the roots is all they need. 'auto' makes as many
+    copies as give each core two shares, 64 at most.
+
+    Defined cases: as for levelwise; a vertex without a label or tree_id is in no pattern.
     """
-    keep = frequent_labels(v, minsup, support)
-    v = (shrink(v, keep) if shrunk and rule != "none" and plan not in ("packed",) else v).repartition("tree_id").persist()
-    merge_records = merge
+    keep = frequent_labels(v, minsup, support).persist()
+    v = shrink(v, keep) if shrunk and rule != "none" and plan not in ("packed",) else v
+    if spread == "auto":
+        trees = max(1, v.select("tree_id").distinct().count())
+        spread = max(1, min(64, -(-2 * v.sparkSession.sparkContext.defaultParallelism // trees)))
+    kernel_of = lambda v: compact_kernel(v, plan, merge)
+    if spread > 1:
+        v = v.withColumn("tree_id", F.explode(F.transform(F.sequence(F.lit(0), F.lit(spread - 1)), lambda i: F.col("tree_id") * spread + i)))
+
+        def kernel_of(v: DataFrame) -> Kernel:
+            own = compact_kernel(v, plan, merge)
+            share = F.pmod(F.xxhash64("hi"), F.lit(spread)) == F.pmod("tree_id", F.lit(spread))
+            return Kernel(lambda v, ids: own.start(v, ids).filter(share), own.grow, own.finish, own.state, own.name)
+
+    v = v.repartition("tree_id").persist()
     try:
+        run = lambda roots=None, size=max_size, **kw: levelwise(v, minsup, kernel_of(v), size, rule, support, roots, trace, exact_counts, labels=keep, spread=spread, **kw)
         if schedule == "levels" or rule == "all":
-            return levelwise(v, minsup, compact_kernel(v, plan, merge_records), max_size, rule, support, None, trace, exact_counts, checkpoint)
+            return run(checkpoint=checkpoint)
         names = [r["label"] for r in keep.orderBy("label").collect()]
-        parts = [levelwise(v, minsup, compact_kernel(v, plan, merge_records), max_size, rule, support, names[i : i + batch], trace, exact_counts) for i in range(0, len(names), batch)]
-        out = parts[0] if parts else levelwise(v, minsup, compact_kernel(v, plan, merge_records), 1, rule, support)
+        parts = [run(names[i : i + batch]) for i in range(0, len(names), batch)]
+        out = parts[0] if parts else run(size=1)
         for p in parts[1:]:
             out = out.unionByName(p)
         return out
     finally:
         v.unpersist()
+        keep.unpersist()
 
 
 def embedded_reference(v: DataFrame, minsup: int, max_size: int) -> list[tuple[str, int]]:

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .. import pattern as pt
+from . import mine
 from .match import count_per_tree
 
 
@@ -71,8 +72,8 @@ def compare(a: DataFrame, b: DataFrame) -> DataFrame:
 
 
 def features(v: DataFrame, codes: list[str]) -> DataFrame:
-    """(tree_id, code, n_occ): a sparse tree by pattern table."""
-    out = None
+    """(tree_id, code, n_occ): a sparse tree by pattern table; without codes an empty one."""
+    out = None if codes else v.select("tree_id", F.lit("").alias("code"), F.lit(0).cast("long").alias("n_occ")).filter("false")
     for c in codes:
         part = count_per_tree(v, c).select("tree_id", F.lit(c).alias("code"), "n_occ")
         out = part if out is None else out.unionByName(part)
@@ -118,3 +119,21 @@ def popular(v: DataFrame, parent_prefix: str, child_prefix: str) -> DataFrame:
     s = j.groupBy(F.col("a.label").alias("area"), F.col("b.label").alias("publisher")).agg(F.count(F.lit(1)).alias("support"), F.countDistinct("a.tree_id").alias("tree_support"))
     by = lambda c: F.rank().over(Window.partitionBy("area").orderBy(F.desc(c))).cast("long")
     return s.withColumn("rank_occ", by("support")).withColumn("rank_tree", by("tree_support"))
+
+
+def navigation(v: DataFrame, when: DataFrame, minsup: int, max_size: int = 3) -> DataFrame:
+    """(entry, code, period, support, tree_support): frequent patterns of two vertices or more by their root's label and the trees' periods. when: (tree_id, period)."""
+    codes = [r["code"] for r in mine.embedded(v, minsup, max_size).filter("size > 1").orderBy("code").select("code").collect()]
+    found = features(v.persist(), codes).join(when, "tree_id")
+    entry = F.regexp_replace(F.substring_index("code", " ", 1), "@0$", "")
+    return found.groupBy(entry.alias("entry"), "code", "period").agg(F.sum("n_occ").alias("support"), F.count(F.lit(1)).alias("tree_support"))
+
+
+def class_patterns(v: DataFrame, classes: DataFrame, share: tuple[int, int], max_size: int) -> list[str]:
+    """Codes that are frequent in the trees of some class; the threshold is a share of the class's trees. classes: (tree_id, class)."""
+    codes: set[str] = set()
+    for c in [r["class"] for r in classes.select("class").distinct().orderBy("class").collect()]:
+        own = v.join(classes.filter(F.col("class") == c).select("tree_id").distinct(), "tree_id", "left_semi").select(*v.columns).persist()
+        codes |= {r["code"] for r in mine.embedded(own, mine.threshold(own, *share), max_size).select("code").collect()}
+        own.unpersist()
+    return sorted(codes)

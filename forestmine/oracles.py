@@ -7,14 +7,15 @@ list and never merges, so it checks the record joins from another side.
 from __future__ import annotations
 
 from . import pattern as pt
+from .sources.generator import INCREMENT, MODULUS, MULTIPLIER, level_sizes
 from .sources.tables import EVENT_RANKS, ITEM_ORDER, LEAVES
 
 _ITEMS = f"(SELECT *, row_number() OVER (PARTITION BY l_orderkey ORDER BY {', '.join(ITEM_ORDER)}) AS pos FROM lineitem)"
 
 
-def _numbered(rows: str, order: str, depth: str = "level") -> str:
+def _numbered(rows: str, order: str, depth: str = "level", levels: int = 7) -> str:
     """Scopes of rows (tree_id, level, label, order columns): a scope ends before the next row of a level not above its own."""
-    ends = " ".join(f"WHEN {d} THEN min(CASE WHEN level <= {d} THEN lo END) OVER later" for d in range(7))
+    ends = " ".join(f"WHEN {d} THEN min(CASE WHEN level <= {d} THEN lo END) OVER later" for d in range(levels))
     counted = "level" if depth == "level" else "lo - (SELECT count(*) FROM e f WHERE f.tree_id = e.tree_id AND f.hi < e.lo)"
     return f"""(WITH r AS ({rows}), n AS (SELECT *, row_number() OVER (PARTITION BY tree_id ORDER BY {order}) - 1 AS lo, count(*) OVER (PARTITION BY tree_id) AS size FROM r),
  e AS (SELECT tree_id, lo, coalesce(CASE level {ends} END - 1, size - 1) AS hi, level, label FROM n WINDOW later AS (PARTITION BY tree_id ORDER BY lo ROWS BETWEEN 1 FOLLOWING AND UNBOUNDED FOLLOWING))
@@ -96,6 +97,32 @@ FORESTS = {
 }
 
 
+def _hashed(*values: str) -> str:
+    h = "CAST(17 AS BIGINT)"
+    for v in values:
+        for _ in range(2):
+            h = f"((({h} + {v}) * {MULTIPLIER} + {INCREMENT}) % {MODULUS})"
+        h = f"(({h} >> 3) + ({h} % 8) * {MODULUS // 8})"
+    return h
+
+
+def master(n_labels: int, vertices: int, depth: int, fan_out: int, seed: int = 1) -> str:
+    """The synthetic master tree: id, parent, slot, depth, label."""
+    sizes = level_sizes(vertices, depth, fan_out)
+    rows = ", ".join(f"({d}, {sum(sizes[:d])}, {n}, {sum(sizes[: d - 1]) if d else 0}, {(sizes[d - 1] if d else 1) * fan_out})" for d, n in enumerate(sizes))
+    return f"""SELECT id, CASE WHEN depth > 0 THEN above + place // {fan_out} END AS parent, CAST(CASE WHEN depth > 0 THEN place % {fan_out} ELSE 0 END AS INTEGER) AS slot, depth, 's' || ({_hashed(str(seed + 1), 'id')} % {n_labels}) AS label
+FROM (SELECT *, (i * slots * 1024 + {_hashed(str(seed), 'id')} % 1024 * (slots - size)) // (size * 1024) AS place FROM
+ (SELECT CAST(depth AS INTEGER) AS depth, CAST(size AS BIGINT) AS size, CAST(above AS BIGINT) AS above, CAST(slots AS BIGINT) AS slots, CAST(unnest(range(size)) AS BIGINT) AS i, CAST(first + unnest(range(size)) AS BIGINT) AS id FROM (VALUES {rows}) l(depth, first, size, above, slots)))"""
+
+
+def browsing(tree: str, depth: int, n_trees: int, keep_percent: int, seed: int = 7) -> str:
+    """Subtrees of the master as a numbered forest."""
+    rows = f"""WITH RECURSIVE mt AS MATERIALIZED ({tree}), bt AS (SELECT t.tree_id, id, label, [slot] AS path, 0 AS level FROM mt, (SELECT unnest(range({n_trees})) AS tree_id) t WHERE depth = 0
+ UNION ALL SELECT bt.tree_id, mt.id, mt.label, list_append(bt.path, mt.slot), bt.level + 1 FROM bt JOIN mt ON mt.parent = bt.id WHERE {_hashed(str(seed), 'bt.tree_id', 'mt.id')} % 100 < {keep_percent})
+ SELECT tree_id, path, level, label FROM bt"""
+    return f"SELECT * FROM {_numbered(rows, 'path', levels=depth + 1)}"
+
+
 def forest(name: str) -> str:
     return f"SELECT * FROM {FORESTS[name]}"
 

@@ -18,7 +18,7 @@ def hashed(*values: Column) -> Column:
     for v in values:
         for _ in range(2):
             h = ((h + v.cast("long")) * MULTIPLIER + INCREMENT) % MODULUS
-        h = F.floor(h / 8).cast("long") + (h % 8) * (MODULUS // 8)
+        h = F.shiftright(h, 3) + (h % 8) * (MODULUS // 8)
     return h
 
 
@@ -55,26 +55,38 @@ def literal_forest(spark: SparkSession, trees: list[str]) -> DataFrame:
     return spark.createDataFrame([(i, *row) for i, t in enumerate(trees) for row in parse_tree(t)], SCHEMA)
 
 
-def master(spark: SparkSession, n_labels: int = 100, vertices: int = 10_000, depth: int = 10, fan_out: int = 10, seed: int = 1) -> DataFrame:
-    """The master tree: (id, parent, slot, depth, label). Level by level each vertex gets a hashed number of children up to fan_out, until there are enough."""
-    level = spark.createDataFrame([(0, None, 0, 0)], "id long, parent long, slot int, depth int").persist()
-    out, made = level, 1
+def level_sizes(vertices: int, depth: int, fan_out: int) -> list[int]:
+    """Vertices at each depth from 0 to ``depth``, ``vertices`` in all: they grow by one ratio, fan_out at most, which the numbers fix."""
+    low, high = 0.0, float(fan_out)
+    for _ in range(60):
+        ratio = (low + high) / 2
+        low, high = (ratio, high) if sum(ratio**d for d in range(depth + 1)) < vertices else (low, ratio)
+    sizes = [1]
     for d in range(1, depth + 1):
-        kids = level.select(F.col("id").alias("parent"), F.explode(F.sequence(F.lit(0), F.lit(fan_out - 1))).alias("slot"))
-        # An id is its place in a complete fan_out-ary tree, so it needs no counter; about half of the slots are filled.
-        kids = kids.withColumn("id", F.col("parent") * fan_out + F.col("slot") + 1).filter(hashed(F.lit(seed), F.col("id") % MODULUS) % 2 == 0)
-        kids = kids.orderBy("id").limit(max(0, vertices - made)).select("id", "parent", "slot", F.lit(d).alias("depth")).persist()
-        n = kids.count()
-        if not n:
-            break
-        out, level, made = out.union(kids), kids, made + n
-    return out.withColumn("label", F.concat(F.lit("s"), (hashed(F.lit(seed + 1), F.col("id") % MODULUS) % n_labels).cast("string")))
+        sizes.append(max(1, min(round(high**d), sizes[-1] * fan_out)))
+    sizes[-1] = max(1, min(sizes[-1] + vertices - sum(sizes), sizes[-2] * fan_out)) if depth else 1
+    return sizes
+
+
+def master(spark: SparkSession, n_labels: int = 100, vertices: int = 10_000, depth: int = 10, fan_out: int = 10, seed: int = 1) -> DataFrame:
+    """The master tree: (id, parent, slot, depth, label). It has ``vertices`` vertices on all depths to ``depth``, where fan_out allows, and at most fan_out children each.
+
+    A level's vertices take hashed places among the slots of the level before, in order, so that each knows its parent from its number.
+    """
+    sizes = level_sizes(vertices, depth, fan_out)
+    first = [sum(sizes[:d]) for d in range(depth + 1)]
+    levels = spark.createDataFrame([(d, first[d], sizes[d], first[d - 1] if d else 0, (sizes[d - 1] if d else 1) * fan_out) for d in range(depth + 1)], "depth int, first long, size long, above long, slots long")
+    rows = levels.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("size") - 1)).alias("i")).withColumn("id", F.col("first") + F.col("i"))
+    draw = hashed(F.lit(seed), F.col("id")) % 1024
+    rows = rows.withColumn("draw", draw).withColumn("at", F.expr("(i * slots * 1024 + draw * (slots - size)) div (size * 1024)"))
+    label = F.concat(F.lit("s"), (hashed(F.lit(seed + 1), F.col("id")) % n_labels).cast("string"))
+    return rows.select("id", F.when(F.col("depth") > 0, F.col("above") + F.expr(f"at div {fan_out}")).alias("parent"), F.when(F.col("depth") > 0, F.expr(f"at % {fan_out}")).otherwise(0).cast("int").alias("slot"), "depth", label.alias("label"))
 
 
 def browsing_trees(tree: DataFrame, n_trees: int, keep_percent: int = 70, seed: int = 7) -> DataFrame:
     """n_trees subtrees of the master: each starts at the root; a vertex stays if its own draw says so and its parent stays."""
     spark = tree.sparkSession
-    draw = hashed(F.lit(seed), F.col("tree_id"), F.col("id") % MODULUS) % 100 < keep_percent
+    draw = hashed(F.lit(seed), F.col("tree_id"), F.col("id")) % 100 < keep_percent
     depths = tree.agg(F.max("depth")).first()[0] or 0
     level = spark.range(n_trees).select(F.col("id").alias("tree_id")).join(F.broadcast(tree.filter("depth = 0")), F.lit(True)).select("tree_id", "id", "label", F.array("slot").alias("path"), "depth")
     out = level

@@ -52,6 +52,10 @@ MINED = {
 }
 
 
+#: The same for workloads in which the candidate rules differ, and baselines have many occurrences for each record.
+RULES = {"customers_k3": ("customers", 3, (2, 1))}
+
+
 def _forests() -> None:
     for name, f in tables.FORESTS.items():
         _add(f"forest_{name}", f, oracles.forest(name))
@@ -132,7 +136,16 @@ def _mining() -> None:
     _add("mine_conversations_k3_literal", _miner(c, (1, 2), lambda v, m: mine.embedded(v, m, 3, merge="literal")), sql)
     _add("mine_conversations_k3_classes", _miner(c, (1, 2), lambda v, m: mine.embedded(v, m, 3, schedule="classes")), sql)
     _add("mine_conversations_k3_decimal", _miner(c, (1, 2), lambda v, m: mine.embedded(v, m, 3, exact_counts="decimal").withColumn("support", F.col("support").cast("long"))), sql)
-    _add("mine_sessions_full", _miner(tables.sessions_rank, (82, 100), lambda v, m: mine.embedded(v, m, 5)), None)
+    for name, (forest, k, minsup) in RULES.items():
+        f, sql = tables.FORESTS[forest], oracles.forest(forest)
+        for rule in ("prefix", "class", "all"):
+            _add(f"mine_{name}_{rule}", _miner(f, minsup, lambda v, m, k=k, rule=rule: mine.embedded(v, m, k, rule=rule)), oracles.mine(sql, minsup, k, rule))
+        _add(f"baseline_full_match_{name}", _miner(f, minsup, lambda v, m, k=k: baselines.full_match(v, m, k)), oracles.mine(sql, minsup, k))
+        _add(f"baseline_model_guided_{name}", _miner(f, minsup, lambda v, m, k=k: baselines.model_guided(v, m, k)), oracles.mine(sql, minsup, k, "all"))
+    regions = oracles.mine(oracles.forest("regions"), (1, 1), 2)
+    _add("mine_regions_k2_spread", _miner(tables.regions, (1, 1), lambda v, m: mine.embedded(v, m, 2, spread="auto")), regions)
+    _add("baseline_full_match_regions_k2", _miner(tables.regions, (1, 1), lambda v, m: baselines.full_match(v, m, 2)), regions)
+    _add("mine_sessions_k5", _miner(tables.sessions_rank, (82, 100), lambda v, m: mine.embedded(v, m, 5)), None)
     _add("mine_pages_nested_k6", _miner(nested.pages_nested, (4, 1), lambda v, m: mine.embedded(v, m, 6)), None)
     _add("mine_pages_implied_k3", _miner(lambda s, d: nested.pages_nested(s, d, "implied"), (1, 1), lambda v, m: mine.embedded(v, m, 3)), None)
     _add("frequent_labels_orders", _of(tables.orders, lambda v: mine.frequent_labels(v, 1000)), f"SELECT label, count(*) AS support, count(DISTINCT tree_id) AS tree_support FROM ({oracles.forest('orders')}) GROUP BY label HAVING count(*) >= 1000")
@@ -171,12 +184,25 @@ def _shapes() -> None:
     _add("anomaly_forest", anomaly, "SELECT rule, code, CAST(support AS BIGINT) AS support FROM (VALUES " + ", ".join(f"('{r}', '{c}', {n})" for r, c, n in rows) + ") t(rule, code, support)")
     assert math.comb(8, 4) == measures.star_size(9, 5)[0]
 
-    def synthetic(spark: SparkSession, sf_dir: str) -> DataFrame:
-        tree = generator.master(spark, n_labels=10, vertices=40, depth=4, fan_out=5)
-        return generator.browsing_trees(tree, 100, 50)
 
-    _add("synthetic_trees", synthetic, None)
-    _add("mine_synthetic_k3", _miner(synthetic, (1, 1), lambda v, m: mine.embedded(v, m, 3)), None)
+#: Synthetic collections: labels, master's vertices, depth, fan-out; trees and per cent of children that a tree keeps.
+SYNTHETIC = {"d10": (100, 10_000, 10, 10, 1000, 45), "d5": (100, 10_000, 5, 10, 1000, 20), "m": (100, 100_000, 10, 10, 1000, 36)}
+
+
+def synthetic(name: str) -> Query:
+    labels, vertices, depth, fan_out, trees, keep = SYNTHETIC[name]
+    return lambda spark, sf_dir: generator.browsing_trees(generator.master(spark, labels, vertices, depth, fan_out), trees, keep)
+
+
+def _synthetic() -> None:
+    for name, (labels, vertices, depth, fan_out, trees, keep) in SYNTHETIC.items():
+        own = oracles.master(labels, vertices, depth, fan_out)
+        sql = oracles.browsing(own, depth, trees, keep)
+        _add(f"synthetic_master_{name}", lambda s, d, x=(labels, vertices, depth, fan_out): generator.master(s, *x), own)
+        _add(f"synthetic_trees_{name}", synthetic(name), sql)
+        _add(f"mine_synthetic_{name}_k3", _miner(synthetic(name), (1, 10), lambda v, m: mine.embedded(v, m, 3)), oracles.mine(sql, (1, 10), 3))
+        _add(f"baseline_full_match_synthetic_{name}_k3", _miner(synthetic(name), (1, 10), lambda v, m: baselines.full_match(v, m, 3)), oracles.mine(sql, (1, 10), 3))
+        _add(f"baseline_model_guided_synthetic_{name}_k3", _miner(synthetic(name), (1, 10), lambda v, m: baselines.model_guided(v, m, 3)), oracles.mine(sql, (1, 10), 3, "all"))
 
 
 def _post() -> None:
@@ -231,10 +257,30 @@ def _post() -> None:
     line_feats = " UNION ALL ".join(f"SELECT tree_id, '{x}' AS code, n_occ FROM ({oracles.count_pattern(oracles.forest('outlines'), x)})" for x in line_codes)
     rules = f"WITH f AS ({line_feats}), k AS (SELECT doc_id AS tree_id, quality AS class FROM labels), h AS (SELECT code, class, count(*) AS n_trees FROM f JOIN k USING (tree_id) GROUP BY ALL), z AS (SELECT class, count(*) AS n_in_class FROM k GROUP BY class) SELECT code, class, n_trees, n_in_class, CAST(sum(n_trees) OVER (PARTITION BY code) AS BIGINT) AS n_with_pattern FROM h JOIN z USING (class)"
     classes = lambda s, d: s.read.parquet(f"{d}/labels.parquet").select(F.col("doc_id").alias("tree_id"), F.col("quality").alias("class"))
+
+    def classified(spark: SparkSession, sf_dir: str) -> DataFrame:
+        v, k = tables.outlines(spark, sf_dir).persist(), classes(spark, sf_dir).persist()
+        f = post.features(v, post.class_patterns(v, k, (1, 4), 2)).persist()
+        return post.classify(f, post.class_counts(f, k))
+
+    outlines = oracles.forest("outlines")
+    of_class = lambda c: f"SELECT code FROM ({oracles.mine(f'SELECT * FROM ({outlines}) WHERE tree_id IN (SELECT doc_id FROM labels WHERE quality = {c})', (1, 4), 2)})"
+    voted = f"""WITH p AS ({of_class(0)} UNION {of_class(1)}), f AS (SELECT * FROM ({oracles.occurrences(outlines, 1, 2)} SELECT tree_id, code, count(*) AS n_occ FROM (SELECT tree_id, code FROM o1 UNION ALL SELECT tree_id, code FROM o2) GROUP BY ALL) WHERE code IN (SELECT code FROM p)),
+k AS (SELECT doc_id AS tree_id, quality AS class FROM labels), h AS (SELECT code, class, count(*) AS n_trees FROM f JOIN k USING (tree_id) GROUP BY ALL), e AS (SELECT *, n_trees / sum(n_trees) OVER (PARTITION BY code) AS confidence FROM h)
+SELECT tree_id, class FROM (SELECT tree_id, class, row_number() OVER (PARTITION BY tree_id ORDER BY confidence DESC, n_trees DESC, code DESC, class DESC) AS r FROM f JOIN e USING (code)) WHERE r = 1"""
+    _add("classify_documents", classified, voted)
+
+    def navigated(spark: SparkSession, sf_dir: str) -> DataFrame:
+        v = tables.sessions_rank(spark, sf_dir).persist()
+        when = spark.read.parquet(f"{sf_dir}/events.parquet").select(F.col("event_id").alias("tree_id"), F.date_format("ts", "yyyy-MM").alias("period"))
+        return post.navigation(v, when, mine.threshold(v, 82, 100), 3)
+
+    months = "SELECT event_id AS tree_id, strftime(ts, '%Y-%m') AS period FROM events"
+    _add("navigation_by_month", navigated, f"{oracles.occurrences(oracles.forest('sessions_rank'), (82, 100), 3)} SELECT split_part(code, '@', 1) AS entry, code, period, count(*) AS support, count(DISTINCT tree_id) AS tree_support FROM (SELECT tree_id, code FROM o2 UNION ALL SELECT tree_id, code FROM o3) JOIN ({months}) USING (tree_id) GROUP BY ALL")
     _add("class_rules", lambda s, d: post.class_counts(post.features(tables.outlines(s, d), line_codes), classes(s, d)), rules)
 
 
-for _build in (_forests, _relations, _joins, _counts, _mining, _shapes, _post):
+for _build in (_forests, _relations, _joins, _counts, _mining, _shapes, _synthetic, _post):
     _build()
 
 

@@ -195,3 +195,82 @@ def test_empty_forest(spark):
     v = generator.literal_forest(spark, ["a"]).filter("false")
     assert mine.embedded(v, 1, 3).count() == 0
     assert match.count_per_tree(v, "a@0 b@1").count() == 0
+
+
+def test_a_checkpoint_belongs_to_one_call(spark, forest, tmp_path):
+    folder = f"file://{tmp_path}/run"
+    brief = lambda df: sorted((r["code"], r["support"]) for r in df.collect())
+    whole = brief(mine.embedded(forest, 6, 3))
+    assert brief(mine.embedded(forest, 6, 3, checkpoint=folder)) == whole
+    assert brief(mine.embedded(forest, 6, 3, checkpoint=folder)) == whole  # goes on from the last level
+    for other in ({"minsup": 3}, {"rule": "class"}, {"support": "tree"}):
+        with pytest.raises(ValueError, match="another run"):
+            mine.embedded(forest, **{"minsup": 6, "max_size": 3, **other, "checkpoint": folder})
+    with pytest.raises(ValueError, match="another run"):
+        mine.embedded(forest.filter("tree_id > 0"), 6, 3, checkpoint=folder)
+
+
+@pytest.mark.parametrize("rule", ["prefix", "class", "all"])
+@pytest.mark.parametrize("support", ["occurrence", "tree"])
+def test_spread_trees_give_the_same_patterns(forest, rule, support):
+    brief = lambda df: sorted((r["code"], r["support"], r["tree_support"]) for r in df.collect())
+    assert brief(mine.embedded(forest, 6, 4, rule, support, spread=5)) == brief(mine.embedded(forest, 6, 4, rule, support))
+
+
+def test_rules_differ_where_they_should_and_guided_agrees(spark):
+    v = generator.literal_forest(spark, ["a(b,b,b,c(d))", "a(b,b,c)", "c(d,d)", "c", "d(a)"])
+    found = {rule: {r["code"] for r in mine.embedded(v, 3, 3, rule=rule).collect()} for rule in ("prefix", "class", "all")}
+    assert found["prefix"] > found["class"] >= found["all"] and "a@0 b@1 c@1" in found["prefix"] - found["class"]
+    assert {r["code"] for r in baselines.model_guided(v, 3, 3).collect()} == found["all"]
+    wanted = set(found["prefix"])
+    allowed = {c for c in wanted if len(c.split(" ")) < 3 or all(pt.code(x) in wanted for x in pt.one_removed(pt.parse(c)))}
+    assert found["all"] == allowed
+
+
+def test_trace_tells_records_occurrences_and_phases(forest):
+    trace = mine.Trace()
+    patterns = mine.embedded(forest, 6, 3, trace=trace).collect()
+    for level in trace.levels:
+        own = [r for r in patterns if r["size"] == level["size"]]
+        assert level["frequent"] == len(own) <= level["met"] <= level["generated"]
+        assert level["occurrences"] == sum(r["support"] for r in own) >= level["frequent_records"] == sum(r["n_records"] for r in own)
+        assert level["state_bytes"] > 0 and level["generation_s"] >= 0 and level["counting_s"] >= 0
+
+
+def test_null_labels_and_empty_forests(spark, forest):
+    more = forest.union(spark.createDataFrame([(3, 0, 0, 0, None), (None, 0, 0, 0, "a")], generator.SCHEMA))
+    brief = lambda df: sorted((r["code"], r["support"]) for r in df.collect())
+    assert brief(mine.embedded(more, 6, 3)) == brief(mine.embedded(forest, 6, 3))
+    assert mine.embedded(forest.filter("false"), 1).count() == 0
+    assert post.features(forest, []).count() == 0
+
+
+def test_master_has_all_its_vertices_and_depths(spark):
+    for vertices, depth, fan_out in ((10_000, 10, 10), (10_000, 5, 10), (300, 4, 5), (5, 1, 10)):
+        rows = generator.master(spark, 20, vertices, depth, fan_out).collect()
+        assert len(rows) == vertices and {r["depth"] for r in rows} == set(range(depth + 1))
+        ids = {r["id"]: r for r in rows}
+        assert len(ids) == vertices and all(r["depth"] == 0 or ids[r["parent"]]["depth"] == r["depth"] - 1 for r in rows)
+        places = [(r["parent"], r["slot"]) for r in rows if r["depth"]]
+        assert len(set(places)) == len(places) and all(0 <= s < fan_out for _, s in places)
+
+
+def test_navigation_and_class_patterns(spark, forest):
+    when = forest.select("tree_id").distinct().withColumn("period", F.when(F.col("tree_id") < 12, "x").otherwise("y"))
+    got = {(r["code"], r["period"]): r["support"] for r in post.navigation(forest, when, 8, 3).collect()}
+    for r in mine.embedded(forest, 8, 3).filter("size > 1").collect():
+        assert r["support"] == sum(n for (code, _), n in got.items() if code == r["code"])
+    classes = when.select("tree_id", F.col("period").alias("class"))
+    codes = post.class_patterns(forest, classes, (1, 2), 2)
+    wanted = set()
+    for c in "xy":
+        own = forest.join(classes.filter(F.col("class") == c), "tree_id").select(*forest.columns)
+        wanted |= {r["code"] for r in mine.embedded(own, mine.threshold(own, 1, 2), 2).collect()}
+    assert codes == sorted(wanted)
+
+
+def test_a_timed_run_is_stopped(spark):
+    slow = lambda: spark.range(8).selectExpr("java_method('java.lang.Thread', 'sleep', 20000L)")
+    got = measures.timed(slow, cap=1.0, spark=spark)
+    assert got["status"] == "cap" and got["seconds"] < 15
+    assert measures.timed(lambda: spark.range(3), cap=60.0, spark=spark)["status"] == "ok"
