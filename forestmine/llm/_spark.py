@@ -81,6 +81,12 @@ def table(spark: SparkSession, sf_dir: str, name: str = "documents") -> DataFram
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def masked(df: DataFrame) -> tuple[DataFrame, dict[str, str]]:
+    """df with names of our own for its columns, so that no caller's name clashes with one that an operator adds, and these names by the caller's."""
+    own = {c: f"own_{i}" for i, c in enumerate(df.columns)}
+    return df.toDF(*own.values()), own
+
+
 def only_ids(df: DataFrame, ids: DataFrame, key: str, keep: bool = True) -> DataFrame:
     """Rows of df whose key is (or is not) in ids (one column, ``key``).
 

@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._spark import materialize
+from ._spark import masked, materialize
 
 DIMENSIONS = ["source", "lang", "topic"]
 #: Default targets: each dimension's own shares to these powers (1 leaves them, 0 makes them equal).
@@ -45,10 +45,10 @@ def draw(doc_id: Column) -> Column:
     return F.conv(F.substring(F.md5(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")), 1, 8), 16, 10).cast("long") % UNIT
 
 
-def _with_cells(docs: DataFrame) -> DataFrame:
+def _with_cells(docs: DataFrame, text: str = "text", source: str = "source", lang: str = "lang") -> DataFrame:
     """Adds __source, __lang, __topic (null as empty) and __tokens (words)."""
-    text = F.coalesce("text", F.lit(""))
-    return docs.withColumns({"__source": F.coalesce(F.col("source").cast("string"), F.lit("")), "__lang": F.coalesce(F.col("lang").cast("string"), F.lit("")), "__topic": topic(text), "__tokens": F.regexp_count(text, F.lit(WORD)).cast("long")})
+    text = F.coalesce(text, F.lit(""))
+    return docs.withColumns({"__source": F.coalesce(F.col(source).cast("string"), F.lit("")), "__lang": F.coalesce(F.col(lang).cast("string"), F.lit("")), "__topic": topic(text), "__tokens": F.regexp_count(text, F.lit(WORD)).cast("long")})
 
 
 class _Progress:
@@ -193,11 +193,11 @@ def rake(cells: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps:
 
 
 def probabilities(docs: DataFrame, targets: dict[str, DataFrame] | None = None, sweeps: int | None = None) -> DataFrame:
-    """docs' columns, __source, __lang, __topic, __tokens, __ppm (probability in millionths) and __selected."""
+    """docs' columns (none of these names among them), __source, __lang, __topic, __tokens, __ppm (probability in millionths) and __selected. Defined cases: as for mix."""
     return _rated(_with_cells(docs), targets, sweeps)
 
 
-def _rated(marked: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int | None = None) -> DataFrame:
+def _rated(marked: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int | None = None, key: str = "doc_id") -> DataFrame:
     """marked (documents with cells and tokens) with __ppm and __selected."""
     cells = marked.groupBy("__source", "__lang", "__topic").agg(F.sum("__tokens").alias("weight")).toDF("source", "lang", "topic", "weight")
     fitted = fit(materialize(cells, "cells"), targets, sweeps)
@@ -207,7 +207,7 @@ def _rated(marked: DataFrame, targets: dict[str, DataFrame] | None, sweeps: int
     # Documents of cells without a token get probability 0: they have no weight to calibrate.
     joined = marked.join(rated, ["__source", "__lang", "__topic"])
     ppm = F.round(F.coalesce("__factor", F.lit(0.0)) / F.lit(most) * UNIT).cast("long")
-    return joined.select(*marked.columns, ppm.alias("__ppm")).withColumn("__selected", draw(F.col("doc_id")) < F.col("__ppm"))
+    return joined.select(*marked.columns, ppm.alias("__ppm")).withColumn("__selected", draw(F.col(key)) < F.col("__ppm"))
 
 
 def mix(docs: DataFrame, targets: dict[str, DataFrame] | None = None) -> DataFrame:
@@ -224,5 +224,8 @@ def mix(docs: DataFrame, targets: dict[str, DataFrame] | None = None) -> DataFra
 
 
 def sample(docs: DataFrame, targets: dict[str, DataFrame] | None = None) -> DataFrame:
-    """The drawn rows of docs, with docs' columns."""
-    return probabilities(docs, targets).filter("__selected").select(*docs.columns)
+    """The drawn rows of docs, with docs' columns, whatever else these are called. Defined cases: as for mix."""
+    rows, own = masked(docs)
+    named = rows.withColumns({"__id": F.col(own["doc_id"]), "__s": F.col(own["source"]), "__l": F.col(own["lang"])})
+    marked = _with_cells(named, own["text"], "__s", "__l")
+    return _rated(marked, targets, key="__id").filter("__selected").select(*own.values()).toDF(*own)

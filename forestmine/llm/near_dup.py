@@ -31,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import _text
-from ._spark import discard, materialize, only_ids, small_batches
+from ._spark import discard, masked, materialize, only_ids, small_batches
 from .components import components
 
 #: Bands and rows: a pair at 0.8 is missed with (1 - 0.8^5)^36 < 1e-6.
@@ -277,9 +277,11 @@ def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     Defined cases: rows are told apart by all of their columns, so of rows that share a doc_id each has only its own
     links; of rows equal in all columns one stays. Null or empty texts and null doc_ids resemble nothing and stay.
     """
-    known = docs.filter("doc_id is not null").withColumn("__node", F.xxhash64(*docs.columns))
-    slim = materialize(known.select("__node", "doc_id"), "nodes")
-    found = near_duplicates(known.select(F.col("__node").alias("doc_id"), "text"), k, percent).select(F.col("doc_id").alias("__node"), "component_id").distinct()
+    rows, own = masked(docs)
+    doc_id = F.col(own["doc_id"])
+    known = rows.filter(doc_id.isNotNull()).withColumn("__node", F.xxhash64(*own.values()))
+    slim = materialize(known.select("__node", doc_id.alias("doc_id")), "nodes")
+    found = near_duplicates(known.select(F.col("__node").alias("doc_id"), F.col(own["text"]).alias("text")), k, percent).select(F.col("doc_id").alias("__node"), "component_id").distinct()
     placed = materialize(found.join(slim.distinct(), "__node"), "placed")
     best = placed.groupBy("component_id").agg(F.min(F.struct("doc_id", "__node"))["__node"].alias("best"), F.count(F.lit(1)).alias("n")).filter("n > 1")
     gone = materialize(placed.join(best, "component_id").filter("__node <> best").select("__node").distinct(), "gone")
@@ -288,4 +290,4 @@ def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     if not twice.isEmpty():
         left = only_ids(left, twice, "__node", keep=False).unionByName(only_ids(left, twice, "__node").dropDuplicates(["__node"]))
     discard(slim, placed)
-    return left.select(*docs.columns).unionByName(docs.filter("doc_id is null"))
+    return left.select(*own.values()).unionByName(rows.filter(doc_id.isNull())).toDF(*own)

@@ -14,6 +14,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ._spark import masked
+
 #: Kinds in the order of the result; the first four are the base.
 BASE_KINDS = ["email", "ip", "card", "phone"]
 #: Characters before a span in which a context word is looked for; score from which a span of the method's own kinds counts.
@@ -138,7 +140,9 @@ def find_personal_data(docs: DataFrame) -> DataFrame:
 
 def redact(docs: DataFrame, text: str = "text") -> DataFrame:
     """docs with every span of its text as [KIND]; overlapping spans become one, named by the first. Null stays null; rows stand alone; an empty table gives no rows."""
-    df = with_spans(docs, text)
+    rows, own = masked(docs)
+    text = own[text]
+    df = with_spans(rows, text)
     spans = all_spans([k.name for k in KINDS])
     # What stays, from the end of one span to the start of the next, and what stands for spans, alternating.
     zero = F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("run"), F.array().cast("array<array<string>>").alias("done"))
@@ -157,4 +161,4 @@ def redact(docs: DataFrame, text: str = "text") -> DataFrame:
         return F.array_join(F.flatten(F.concat(a["done"], F.array(a["run"]), F.array(F.array(F.substring(F.col(text), a["at"] + 1, F.length(F.col(text))))))), "")
 
     clean = F.when(F.size(spans) > 0, F.aggregate(spans, zero, step, end)).otherwise(F.col(text))
-    return df.select(*(clean.alias(c) if c == text else F.col(c) for c in docs.columns))
+    return df.select(*(clean.alias(c) if c == text else F.col(c) for c in own.values())).toDF(*own)

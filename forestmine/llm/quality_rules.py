@@ -15,6 +15,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ._spark import masked
+
 #: Labelled rows that the list is fitted on at most, those of least hash.
 MAX_LABELLED = 20_000
 #: Rules, conditions of a rule, thresholds tried of a statistic; least precision on rows set apart, and rows a rule must cover.
@@ -180,7 +182,7 @@ def verdict(rules: list[Rule], stats: dict[str, Column]) -> Column:
 
 
 def judge(docs: DataFrame, rules: list[Rule]) -> DataFrame:
-    """docs' columns, ``__q`` and ``__rule``; see quality for what is kept."""
+    """docs' columns (none called ``__q`` or ``__rule``), ``__q`` and ``__rule``; see quality for what is kept and for the defined cases."""
     return with_base(docs).withColumn("__rule", verdict(rules, statistics()))
 
 
@@ -189,7 +191,7 @@ def quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
     Defined cases: null or empty text has no words and fails the base. Null or
     repeated doc_ids don't matter but that labels join by id (a repeated label
-    counts as its least quality). Without labels there are no rules.
+    counts as its least quality). Without labels there are no rules. An empty table gives no rows.
     """
     q = judge(docs.select(F.col("doc_id").cast("long"), "text"), learn(docs, labels))
     base = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
@@ -197,5 +199,7 @@ def quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """docs' rows that are kept, with docs' columns."""
-    return judge(docs, learn(docs, labels)).filter(~base_failed() & (F.col("__rule") == 0)).select(*docs.columns)
+    """docs' rows that are kept, with docs' columns, whatever these are called. Defined cases: as for quality; an empty table gives no rows."""
+    rows, own = masked(docs)
+    judged = with_base(rows, own["text"]).withColumn("__rule", verdict(learn(docs, labels), statistics()))
+    return judged.filter(~base_failed() & (F.col("__rule") == 0)).select(*own.values()).toDF(*own)

@@ -58,16 +58,21 @@ def op10_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sentencepiece_codec.round_trip(table(spark, sf_dir), tokenizer_path("piece_bpe_32k.model"))
 
 
-def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
-    import corpus_pipeline
-
-    return corpus_pipeline.run(spark, sf_dir)
+#: Base columns of the operators whose other columns SQL can't express, each from its operator: query, columns, SQL.
+BASE = {
+    "base_license_scan": (op1_license_scan, ["doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels"], sql.LICENSE_BASE),
+    "base_lm_scoring": (op4_lm_scoring, ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "round(base_score, 4) AS base_score"], sql.LM_BASE),
+    "base_token_counts": (op5_token_counts, ["doc_id", "n_bytes"], sql.TOKEN_BYTES),
+    "base_quality_rules": (op7_quality_rules, ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed"], sql.QUALITY_BASE),
+    "base_personal_data": (op9_personal_data, ["doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256"], sql.PERSONAL_DATA_BASE),
+}
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_license_scan, op2_source_mixing, op3_minhash_near_dedup, op4_lm_scoring, op5_token_counts, op6_substring_dedup, op7_quality_rules, op8_topk_search, op9_personal_data, op10_sentencepiece, pipeline]
-    return {f.__name__: f for f in found}
+    found = [op1_license_scan, op2_source_mixing, op3_minhash_near_dedup, op4_lm_scoring, op5_token_counts, op6_substring_dedup, op7_quality_rules, op8_topk_search, op9_personal_data, op10_sentencepiece]
+    base = {name: (lambda spark, sf_dir, f=f, columns=columns: f(spark, sf_dir).selectExpr(*columns)) for name, (f, columns, _) in BASE.items()}
+    return {**{f.__name__: f for f in found}, **base}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_source_mixing": sql.mixing_sql(), "op3_minhash_near_dedup": sql.NEAR_DUP, "op6_substring_dedup": sql.SUBSTRING_DEDUP, "op8_topk_search": sql.TOP_K}
+    return {"op2_source_mixing": sql.mixing_sql(), "op3_minhash_near_dedup": sql.NEAR_DUP, "op6_substring_dedup": sql.SUBSTRING_DEDUP, "op8_topk_search": sql.TOP_K, **{name: text for name, (*_, text) in BASE.items()}}
