@@ -65,7 +65,10 @@ def remove_path(spark: SparkSession, path: str) -> None:
 
 @contextlib.contextmanager
 def small_batches(spark: SparkSession, rows: int = 512, size: str = "4m") -> Iterator[None]:
-    """Within, tables are handed to Python in batches of so many rows and bytes: workers and the buffers beside the heap stay small."""
+    """Within, tables are handed to Python in batches of so many rows and bytes: workers and the buffers beside the heap stay small.
+
+    Executors keep Python workers apart by such settings, so an operator stays within for all of its steps.
+    """
     own = {"spark.sql.execution.arrow.maxRecordsPerBatch": str(rows), "spark.sql.execution.arrow.maxBytesPerBatch": size}
     before = {k: spark.conf.get(k, None) for k in own}
     for k, v in own.items():

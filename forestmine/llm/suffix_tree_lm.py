@@ -44,7 +44,7 @@ DEPTH, DIVERGENCE, DISCOUNT = 4, 0.02, 0.75
 #: Nats in all, besides one for each next word, by which a context must differ: less comes by chance once in about 1e5 contexts or more often.
 CHANCE = 10
 #: Runs broadcast at most; bits of a filter (a power of two) and parts that it is put together in; runs packed at once; runs meant for a bucket.
-HOT, FILTER_BITS, FILTER_PARTS, RUNS_AT_ONCE, RUNS_IN_BUCKET = 2_000_000, 1 << 27, 64, 1_000_000, 1_000_000
+HOT, FILTER_BITS, FILTER_PARTS, RUNS_AT_ONCE, RUNS_IN_BUCKET = 2_000_000, 1 << 27, 64, 600_000, 1_000_000
 #: Bytes of text whose words are hashed at once.
 PIECE = 1 << 18
 _ODD = np.uint64(0x9E3779B97F4A7C15)
@@ -318,8 +318,7 @@ def _levels(docs: DataFrame, counts: DataFrame, n: int, v: int, depth: int) -> D
         shared = spark.sparkContext.broadcast((_filter(contexts.select("key")), _filter(above.filter(F.col("c") >= MIN_NEXT).select("key"))))
         packed = docs.select("text").mapInArrow(_count_runs(shared, d + 1, buckets), "bucket int, n int, payload binary")
         runs = packed.groupBy("bucket").applyInArrow(_sum_runs(d + 1), "key long, ctx long, pkey long, c long")
-        with small_batches(spark):
-            counted = materialize(runs, "runs")
+        counted = materialize(runs, "runs")
         shared.destroy()
         del packed
         sweep(spark)
@@ -355,8 +354,7 @@ def _grow(docs: DataFrame, depth: int) -> tuple[Tree, DataFrame, DataFrame | Non
     """The hot part, the word counts (h, c), and the weights (h, weight) of the rest; None if there is no rest."""
     spark = docs.sparkSession
     sum_up = lambda df: df.groupBy("h").agg(F.sum("c").alias("c"))
-    with small_batches(spark):
-        counts = materialize(sum_up(docs.select("text").mapInArrow(_count_words, "h long, c long")), "words")
+    counts = materialize(sum_up(docs.select("text").mapInArrow(_count_words, "h long, c long")), "words")
     size = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("c").alias("v")).first()
     frequent = counts.filter(_step() >= _most(counts, WORDS)).toArrow()
     tree = Tree(frequent["h"].to_numpy().astype(np.int64).view(np.uint64), frequent["c"].to_numpy().astype(np.int64), size.n, size.v)
@@ -375,7 +373,8 @@ def _grow(docs: DataFrame, depth: int) -> tuple[Tree, DataFrame, DataFrame | Non
 
 def learn(docs: DataFrame, depth: int = DEPTH) -> tuple[Tree, DataFrame]:
     """From (text) of all training documents: the tree's hot part, and the table of word counts (h, c)."""
-    return _grow(docs, depth)[:2]
+    with small_batches(docs.sparkSession):
+        return _grow(docs, depth)[:2]
 
 
 def _uses(row: np.ndarray, keys: np.ndarray, rows: int) -> pa.ListArray:
@@ -439,16 +438,20 @@ def score_texts(docs: DataFrame, training: Column | None = None, depth: int = DE
 
     Defined cases: null or empty text has one token, the end. A null doc_id counts
     as the empty text for the fold. Rows that share a doc_id are scored (and
-    learnt from) each by itself. Without training rows N = V = 0.
+    learnt from) each by itself. Without training rows N = V = 0. An empty table gives no rows.
     """
+    with small_batches(docs.sparkSession):  # throughout: workers of either setting would stay beside each other
+        return _score_texts(docs, training, depth)
+
+
+def _score_texts(docs: DataFrame, training: Column | None, depth: int) -> DataFrame:
     out = held_out(F.col("doc_id"))
     learnt = docs.filter(~out if training is None else training).select("text")
     tree, counts, cold = _grow(learnt, depth)
     shared = docs.sparkSession.sparkContext.broadcast(_Hot(tree, cold is not None))
     schema = "doc_id long, n_tokens long, n_known long, base_score double, score double, misses array<struct<h long, uses long>>, runs array<struct<h long, uses long>>"
     scored = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_score(shared, depth), schema)
-    with small_batches(docs.sparkSession):
-        scored = materialize(scored.withColumn("rid", F.monotonically_increasing_id()), "scored")
+    scored = materialize(scored.withColumn("rid", F.monotonically_increasing_id()), "scored")
     shared.destroy()
     sweep(docs.sparkSession)
     rare = scored.select("rid", F.inline("misses")).join(counts, "h", "left")
