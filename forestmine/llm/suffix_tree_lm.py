@@ -36,7 +36,7 @@ from . import _text
 from ._spark import discard, materialize, small_batches, sweep
 
 #: Words at most whose root probability is broadcast, the most frequent ones.
-WORDS = 1 << 20
+WORDS = 1 << 18
 #: Times that a context must occur, and a next word after it.
 MIN_CONTEXT, MIN_NEXT = 16, 4
 #: Longest context in words; nats an occurrence by which a context must differ; discount of kept counts.
@@ -44,7 +44,7 @@ DEPTH, DIVERGENCE, DISCOUNT = 4, 0.02, 0.75
 #: Nats in all, besides one for each next word, by which a context must differ: less comes by chance once in about 1e5 contexts or more often.
 CHANCE = 10
 #: Runs broadcast at most; bits of a filter (a power of two) and parts that it is put together in; runs packed at once; runs meant for a bucket.
-HOT, FILTER_BITS, FILTER_PARTS, RUNS_AT_ONCE, RUNS_IN_BUCKET = 2_000_000, 1 << 27, 64, 600_000, 1_000_000
+HOT, FILTER_BITS, FILTER_PARTS, RUNS_AT_ONCE, RUNS_IN_BUCKET = 2_000_000, 1 << 26, 64, 300_000, 1_000_000
 #: Bytes of text whose words are hashed at once.
 PIECE = 1 << 18
 _ODD = np.uint64(0x9E3779B97F4A7C15)
@@ -350,8 +350,8 @@ def _levels(docs: DataFrame, counts: DataFrame, n: int, v: int, depth: int) -> D
     return weights
 
 
-def _grow(docs: DataFrame, depth: int) -> tuple[Tree, DataFrame, DataFrame | None]:
-    """The hot part, the word counts (h, c), and the weights (h, weight) of the rest; None if there is no rest."""
+def _grow(docs: DataFrame, depth: int, states: bool) -> tuple[Tree, DataFrame, DataFrame | None]:
+    """The hot part (with its states, if asked), the word counts (h, c), and the weights (h, weight) of the rest; None if there is no rest."""
     spark = docs.sparkSession
     sum_up = lambda df: df.groupBy("h").agg(F.sum("c").alias("c"))
     counts = materialize(sum_up(docs.select("text").mapInArrow(_count_words, "h long, c long")), "words")
@@ -362,7 +362,11 @@ def _grow(docs: DataFrame, depth: int) -> tuple[Tree, DataFrame, DataFrame | Non
     if weights is None:
         return tree, counts, None
     hot = _step() >= _most(weights, HOT)
-    tree.fill(weights.filter(hot).select("key", "nexts", "lefts", "depth", "suffix").toArrow())
+    if states:
+        tree.fill(weights.filter(hot).select("key", "nexts", "lefts", "depth", "suffix").toArrow())
+    else:
+        got = weights.filter(hot).select("key", (F.col("nexts") + F.col("lefts")).alias("weight")).toArrow()
+        tree.keys, tree.nexts, tree.lefts = got["key"].to_numpy().astype(np.int64).view(np.uint64), got["weight"].to_numpy().astype(float), 0.0
     rest = weights.filter(~hot).select(F.col("key").alias("h"), (F.col("nexts") + F.col("lefts")).alias("weight"))
     cold = rest.filter("weight <> 0")
     if cold.isEmpty():
@@ -374,7 +378,7 @@ def _grow(docs: DataFrame, depth: int) -> tuple[Tree, DataFrame, DataFrame | Non
 def learn(docs: DataFrame, depth: int = DEPTH) -> tuple[Tree, DataFrame]:
     """From (text) of all training documents: the tree's hot part, and the table of word counts (h, c)."""
     with small_batches(docs.sparkSession):
-        return _grow(docs, depth)[:2]
+        return _grow(docs, depth, states=True)[:2]
 
 
 def _uses(row: np.ndarray, keys: np.ndarray, rows: int) -> pa.ListArray:
@@ -447,15 +451,17 @@ def score_texts(docs: DataFrame, training: Column | None = None, depth: int = DE
 def _score_texts(docs: DataFrame, training: Column | None, depth: int) -> DataFrame:
     out = held_out(F.col("doc_id"))
     learnt = docs.filter(~out if training is None else training).select("text")
-    tree, counts, cold = _grow(learnt, depth)
+    tree, counts, cold = _grow(learnt, depth, states=False)
+    total, kinds = tree.total, tree.kinds
     shared = docs.sparkSession.sparkContext.broadcast(_Hot(tree, cold is not None))
+    del tree
     schema = "doc_id long, n_tokens long, n_known long, base_score double, score double, misses array<struct<h long, uses long>>, runs array<struct<h long, uses long>>"
     scored = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_score(shared, depth), schema)
     scored = materialize(scored.withColumn("rid", F.monotonically_increasing_id()), "scored")
     shared.destroy()
     sweep(docs.sparkSession)
     rare = scored.select("rid", F.inline("misses")).join(counts, "h", "left")
-    chance = F.log10((F.coalesce("c", F.lit(0)) + 1) / F.lit(float(tree.total + tree.kinds + 1)))
+    chance = F.log10((F.coalesce("c", F.lit(0)) + 1) / F.lit(float(total + kinds + 1)))
     sums = rare.groupBy("rid").agg(F.sum(F.when(F.col("c") > 0, F.col("uses")).otherwise(0)).alias("more"), F.sum(F.col("uses") * chance).alias("add"))
     if cold is None:
         more = F.lit(0.0)
@@ -465,6 +471,6 @@ def _score_texts(docs: DataFrame, training: Column | None, depth: int) -> DataFr
         more = F.coalesce("runs_add", F.lit(0.0))
         scored = scored.drop("runs").join(sums, "rid", "left").join(part, "rid", "left")
     return scored.select(
-        "doc_id", out.alias("held_out"), "n_tokens", (F.col("n_known") + F.coalesce("more", F.lit(0))).alias("n_known"), F.lit(int(tree.total)).cast("long").alias("train_tokens"),
+        "doc_id", out.alias("held_out"), "n_tokens", (F.col("n_known") + F.coalesce("more", F.lit(0))).alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"),
         (F.col("base_score") + F.coalesce("add", F.lit(0.0))).alias("base_score"), (F.col("score") + F.coalesce("add", F.lit(0.0)) + more).alias("score"),
     )
