@@ -27,6 +27,7 @@ _SESSION_EVENTS = """(SELECT *, last_value(first IGNORE NULLS) OVER (PARTITION B
 _RANKS = " ".join(f"WHEN '{k}' THEN {v}" for k, v in EVENT_RANKS.items())
 _SESSIONS = f"""SELECT tree_id, ts, -1 AS event_id, 'session' AS label, 'infinity'::DOUBLE AS value, 0 AS level FROM {_SESSION_EVENTS} WHERE first IS NOT NULL
  UNION ALL SELECT tree_id, ts, event_id, event_type, value, CASE event_type {_RANKS} ELSE 6 END FROM {_SESSION_EVENTS}"""
+_USER_EVENTS = "(SELECT *, first_value(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS tree_id FROM events)"
 _LEAVES = ", ".join(f"'{x}'" for x in LEAVES)
 
 _URL = r"^https?://(?:([^./]+)\.)?([^./]+\.example\.[a-z]+)/([^/?#]*)"
@@ -68,6 +69,11 @@ FORESTS = {
         "o, pos, level",
     ),
     "sessions_rank": _numbered(_SESSIONS, "ts, event_id", "count"),
+    "users": _numbered(
+        f"""SELECT tree_id, ts, -1 AS event_id, 'session' AS label, 0 AS level FROM {_USER_EVENTS} WHERE event_id = tree_id
+ UNION ALL SELECT tree_id, ts, event_id, event_type, CASE event_type {_RANKS} ELSE 6 END FROM {_USER_EVENTS}""",
+        "ts, event_id", "count",
+    ),
     "sessions_value": f"""(WITH r AS ({_SESSIONS}), n AS (SELECT *, row_number() OVER (PARTITION BY tree_id ORDER BY ts, event_id) - 1 AS lo, count(*) OVER (PARTITION BY tree_id) AS size FROM r),
  e AS (SELECT a.tree_id, a.lo, a.label, coalesce(min(b.lo) - 1, any_value(a.size) - 1) AS hi FROM n a LEFT JOIN n b ON a.tree_id = b.tree_id AND b.lo > a.lo AND b.value >= a.value GROUP BY a.tree_id, a.lo, a.label)
  SELECT CAST(tree_id AS BIGINT) AS tree_id, CAST(lo AS INTEGER) AS lo, CAST(hi AS INTEGER) AS hi, CAST(lo - (SELECT count(*) FROM e f WHERE f.tree_id = e.tree_id AND f.hi < e.lo) AS INTEGER) AS depth, label FROM e)""",

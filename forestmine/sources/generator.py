@@ -34,6 +34,20 @@ def chain(spark: SparkSession, n: int) -> DataFrame:
     return spark.range(n).select(F.lit(0).cast("long").alias("tree_id"), i.alias("lo"), F.lit(n - 1).cast("int").alias("hi"), i.alias("depth"), F.lit("a").alias("label"))
 
 
+def _copies(v: DataFrame, trees: int) -> DataFrame:
+    return v.withColumn("tree_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(trees - 1).cast("long"))))
+
+
+def stars(spark: SparkSession, trees: int, n: int) -> DataFrame:
+    """So many stars of n vertices."""
+    return _copies(star(spark, n), trees).select("tree_id", "lo", "hi", "depth", "label")
+
+
+def chains(spark: SparkSession, trees: int, n: int) -> DataFrame:
+    """So many chains of n vertices."""
+    return _copies(chain(spark, n), trees).select("tree_id", "lo", "hi", "depth", "label")
+
+
 def parse_tree(text: str) -> list[tuple[int, int, int, str]]:
     """label(child,child) to (lo, hi, depth, label) in preorder."""
     import re

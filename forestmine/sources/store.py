@@ -26,3 +26,22 @@ def load(spark: SparkSession, path: str, labels: list[str] | None = None) -> Dat
 def save_bucketed(v: DataFrame, table: str, buckets: int) -> None:
     """A catalog table bucketed by tree_id: joins on tree_id read it without a shuffle."""
     v.write.mode("overwrite").bucketBy(buckets, "tree_id").sortBy("tree_id", "lo").saveAsTable(table)
+
+
+def save_patterns(patterns: DataFrame, path: str, kind: str = "parquet") -> None:
+    """Patterns by size, as 'parquet', 'orc', 'json' or 'csv'. The columns are all of plain types."""
+    writer = patterns.write.partitionBy("size").mode("overwrite")
+    (writer.option("header", True) if kind == "csv" else writer).format(kind).save(path)
+
+
+def load_patterns(spark: SparkSession, path: str, kind: str, schema) -> DataFrame:
+    """What save_patterns wrote; sizes asked for are read only from their folders."""
+    reader = spark.read.schema(schema).format(kind)
+    return (reader.option("header", True) if kind == "csv" else reader).load(path)
+
+
+def save_records(records: DataFrame, path: str, kind: str = "parquet") -> None:
+    """Records of patterns; in csv the path's bounds are joined by commas."""
+    flat = records.withColumn("rp", F.array_join("rp", ",")) if kind == "csv" else records
+    writer = flat.write.mode("overwrite")
+    (writer.option("header", True) if kind == "csv" else writer).format(kind).save(path)

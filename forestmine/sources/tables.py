@@ -94,6 +94,14 @@ def sessions_rank(spark: SparkSession, sf_dir: str) -> DataFrame:
     return number(_sessions(session_events(spark, sf_dir)), ["ts", "event_id"], "rank", list(range(max(EVENT_RANKS.values()) + 2)), depth_is_rank=False)
 
 
+def users(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All of a user's events as one tree, by the parent rule of ranked sessions: labels repeat often below one root. tree_id is the user's first event."""
+    e = session_events(spark, sf_dir).drop("first", "tree_id")
+    order = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    whole = e.withColumn("tree_id", F.first("event_id").over(order)).withColumn("first", F.when(F.row_number().over(order) == 1, F.col("event_id")))
+    return number(_sessions(whole), ["ts", "event_id"], "rank", list(range(max(EVENT_RANKS.values()) + 2)), depth_is_rank=False)
+
+
 def sessions_value(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sessions; an event's parent is the nearest earlier event of larger value."""
     return number_by_value(_sessions(session_events(spark, sf_dir)), ["ts", "event_id"], "value")
@@ -154,4 +162,4 @@ def urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     return number(rows.union(row(F.col("host"), F.col("lang"), F.col("page_id"), 3, F.concat(F.lit("page:"), "kind"))), ["host", "lang", "page", "level"], "level", [0, 1, 2, 3])
 
 
-FORESTS = {"urls": urls, "orders": orders, "customers": customers, "regions": regions, "library": library, "sessions_rank": sessions_rank, "sessions_value": sessions_value, "conversations": conversations, "pages_flat": pages_flat, "outlines": outlines}
+FORESTS = {"urls": urls, "orders": orders, "customers": customers, "regions": regions, "library": library, "sessions_rank": sessions_rank, "users": users, "sessions_value": sessions_value, "conversations": conversations, "pages_flat": pages_flat, "outlines": outlines}

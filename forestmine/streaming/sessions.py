@@ -49,6 +49,58 @@ def session_trees(events: DataFrame, gap: str = "24 hours", late: str = "1 hour"
     return s.select("user_id", F.col("w.start").alias("start"), F.col("w.end").alias("end"), F.concat(root, nodes).alias("nodes"))
 
 
+def session_trees_stateful(events: DataFrame, gap_hours: int = 24, late: str = "1 hour") -> DataFrame:
+    """session_trees by state of our own: a user's open events are kept, and go out as a tree once the watermark is a gap past the last one.
+
+    An event that comes late but within the watermark may join two sessions that are still kept. Repeated event_ids inside the watermark are dropped.
+    """
+    import pandas as pd
+
+    gap = gap_hours * 3_600_000_000
+    ranks, other = dict(EVENT_RANKS), max(EVENT_RANKS.values()) + 1
+    micros = lambda ts: int(ts.timestamp() * 1_000_000 + 0.5)
+
+    def closed(kept: list[tuple[int, int, str]], now: int) -> tuple[list[list], list, int]:
+        """Sessions that are over at ``now``, the events of the others, and when the first of these ends."""
+        sessions: list[list] = []
+        for e in sorted(kept):
+            if sessions and e[0] - sessions[-1][-1][0] <= gap:
+                sessions[-1].append(e)
+            else:
+                sessions.append([e])
+        left = [s for s in sessions if s[-1][0] + gap > now]
+        return [s for s in sessions if s[-1][0] + gap <= now], [e for s in left for e in s], min((s[-1][0] + gap for s in left), default=0)
+
+    def tree(session: list) -> list[dict]:
+        level = [ranks.get(label, other) for _, _, label in session]
+        nodes, open_ = [{"lo": 0, "hi": len(session), "label": "session"}], []
+        for i, (_, _, label) in enumerate(session):
+            while open_ and level[open_[-1]] >= level[i]:
+                nodes[open_.pop() + 1]["hi"] = i
+            nodes.append({"lo": i + 1, "hi": len(session), "label": label})
+            open_.append(i)
+        return nodes
+
+    def step(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        kept = [(t, i, label) for t, i, label in zip(*(list(x) for x in state.get))] if state.exists else []
+        for frame in frames:
+            kept += [(micros(t), int(i), str(label)) for t, i, label in zip(frame["ts"], frame["event_id"], frame["event_type"])]
+        now = state.getCurrentWatermarkMs() * 1000
+        done, kept, due = closed(kept, now)
+        if kept:
+            state.update(tuple(list(x) for x in zip(*kept)))
+            state.setTimeoutTimestamp(max(now, due) // 1000 + 1)
+        elif state.exists:
+            state.remove()
+        if done:
+            at = lambda us: pd.Timestamp(us, unit="us")
+            yield pd.DataFrame({"user_id": [key[0]] * len(done), "start": [at(s[0][0]) for s in done], "end": [at(s[-1][0] + gap) for s in done], "nodes": [tree(s) for s in done]})
+
+    fresh = events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"]).select("user_id", "ts", "event_id", "event_type")
+    out, kept = "user_id long, start timestamp, end timestamp, nodes array<struct<lo int, hi int, label string>>", "ts array<long>, event_id array<long>, label array<string>"
+    return fresh.groupBy("user_id").applyInPandasWithState(step, out, kept, "append", "EventTimeTimeout")
+
+
 def watched_counts(trees: DataFrame, codes: list[str]) -> DataFrame:
     """(user_id, end, code, n_occ) of watched patterns in each session."""
     patterns = [pt.parse(c) for c in codes]

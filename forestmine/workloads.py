@@ -53,7 +53,7 @@ MINED = {
 
 
 #: The same for workloads in which the candidate rules differ, and baselines have many occurrences for each record.
-RULES = {"customers_k3": ("customers", 3, (2, 1))}
+RULES = {"customers_k3": ("customers", 3, (1, 2)), "users_k3": ("users", 3, (5, 1)), "library_k3": ("library", 3, (1, 1))}
 
 
 def _forests() -> None:
@@ -142,6 +142,10 @@ def _mining() -> None:
             _add(f"mine_{name}_{rule}", _miner(f, minsup, lambda v, m, k=k, rule=rule: mine.embedded(v, m, k, rule=rule)), oracles.mine(sql, minsup, k, rule))
         _add(f"baseline_full_match_{name}", _miner(f, minsup, lambda v, m, k=k: baselines.full_match(v, m, k)), oracles.mine(sql, minsup, k))
         _add(f"baseline_model_guided_{name}", _miner(f, minsup, lambda v, m, k=k: baselines.model_guided(v, m, k)), oracles.mine(sql, minsup, k, "all"))
+    pages = oracles.mine(oracles.forest("pages_flat"), (1, 1), 3)
+    _add("baseline_full_match_pages_k3", _miner(tables.pages_flat, (1, 1), lambda v, m: baselines.full_match(v, m, 3)), pages)
+    _add("baseline_model_guided_pages_k3", _miner(tables.pages_flat, (1, 1), lambda v, m: baselines.model_guided(v, m, 3)), oracles.mine(oracles.forest("pages_flat"), (1, 1), 3, "all"))
+    _add("mine_users_k4", _miner(tables.users, (5, 1), lambda v, m: mine.embedded(v, m, 4)), oracles.mine(oracles.forest("users"), (5, 1), 4))
     regions = oracles.mine(oracles.forest("regions"), (1, 1), 2)
     _add("mine_regions_k2_spread", _miner(tables.regions, (1, 1), lambda v, m: mine.embedded(v, m, 2, spread="auto")), regions)
     _add("baseline_full_match_regions_k2", _miner(tables.regions, (1, 1), lambda v, m: baselines.full_match(v, m, 2)), regions)
@@ -194,7 +198,23 @@ def synthetic(name: str) -> Query:
     return lambda spark, sf_dir: generator.browsing_trees(generator.master(spark, labels, vertices, depth, fan_out), trees, keep)
 
 
+#: Trees with the most occurrences for each record: how many, of how many vertices, to which size.
+SHAPES = {"stars": (200, 21, 7), "chains": (200, 18, 7)}
+
+
+def shape(name: str) -> Query:
+    trees, n, _ = SHAPES[name]
+    return lambda spark, sf_dir: getattr(generator, name)(spark, trees, n)
+
+
 def _synthetic() -> None:
+    for name, (trees, n, k) in SHAPES.items():
+        found = [(i, " ".join(["a@0", *["b@1"] * (i - 1)] if name == "stars" else [f"a@{j}" for j in range(i)]), trees * (math.comb(n - 1, i - 1) if name == "stars" else math.comb(n, i))) for i in range(1, k + 1)]
+        found += [(1, "b@0", trees * (n - 1))] if name == "stars" else []
+        sql = f"SELECT CAST(size AS BIGINT) AS size, code, CAST(support AS BIGINT) AS support, CAST({trees} AS BIGINT) AS tree_support FROM (VALUES {', '.join(f"({i}, '{c}', {m})" for i, c, m in found)}) t(size, code, support)"
+        _add(f"mine_{name}_k{k}", _miner(shape(name), trees, lambda v, m, k=k: mine.embedded(v, m, k)), sql)
+        _add(f"baseline_full_match_{name}_k{k}", _miner(shape(name), trees, lambda v, m, k=k: baselines.full_match(v, m, k)), sql)
+        _add(f"baseline_model_guided_{name}_k{k}", _miner(shape(name), trees, lambda v, m, k=k: baselines.model_guided(v, m, k)), sql)
     for name, (labels, vertices, depth, fan_out, trees, keep) in SYNTHETIC.items():
         own = oracles.master(labels, vertices, depth, fan_out)
         sql = oracles.browsing(own, depth, trees, keep)

@@ -274,3 +274,29 @@ def test_a_timed_run_is_stopped(spark):
     got = measures.timed(slow, cap=1.0, spark=spark)
     assert got["status"] == "cap" and got["seconds"] < 15
     assert measures.timed(lambda: spark.range(3), cap=60.0, spark=spark)["status"] == "ok"
+
+
+def test_pattern_sinks_round_trip(spark, forest, tmp_path):
+    p = mine.embedded(forest, 6, 3).select("code", "support", "tree_support", "size")
+    wanted = sorted(tuple(r) for r in p.collect())
+    for kind in ("parquet", "orc", "json", "csv"):
+        store.save_patterns(p, str(tmp_path / kind), kind)
+        assert sorted(tuple(r) for r in store.load_patterns(spark, str(tmp_path / kind), kind, p.schema).select(*p.columns).collect()) == wanted
+    store.save_records(match.records(forest, "a@0 b@1"), str(tmp_path / "records"), "csv")
+    assert spark.read.option("header", True).csv(str(tmp_path / "records")).count() == match.records(forest, "a@0 b@1").count()
+
+
+def test_forest_text_source(spark, tmp_path):
+    from forestmine.sources import datasource
+
+    datasource.register(spark)
+    (tmp_path / "a.txt").write_text("a b -1 c d -1 -1\n\nx\n")
+    (tmp_path / "b.txt").write_text("a b c\n")
+    rows = spark.read.format("forest_text").load(str(tmp_path)).collect()
+    trees = {}
+    for r in sorted(rows):
+        trees.setdefault(r["tree_id"], []).append((r["lo"], r["hi"], r["depth"], r["label"]))
+    same = {}
+    for r in codec.read_trees(spark, str(tmp_path)).orderBy("tree_id", "lo").collect():
+        same.setdefault(r["tree_id"], []).append((r["lo"], r["hi"], r["depth"], r["label"]))
+    assert sorted(trees.values()) == sorted(same.values()) and len(trees) == 3

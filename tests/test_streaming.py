@@ -30,3 +30,22 @@ def test_sql_surface(spark):
     generator.literal_forest(spark, ["a(b,b)", "a(b)"]).createOrReplaceTempView("v")
     got = {tuple(r) for r in spark.sql("SELECT code, size, support FROM mine_forest(TABLE(v) WITH SINGLE PARTITION, 2, 2)").collect()}
     assert got == {("a@0", 1, 2), ("b@0", 1, 3), ("a@0 b@1", 2, 3)}
+
+
+def test_stateful_sessions_are_those_of_the_window(spark, tmp_path):
+    def run(make, name):
+        q = make(sessions.read_events(spark, DIR, "events.parquet")).writeStream.format("memory").queryName(name).option("checkpointLocation", str(tmp_path / name)).outputMode("append").trigger(availableNow=True).start()
+        q.awaitTermination(120)
+        assert q.exception() is None
+        return {(r["user_id"], r["start"], tuple((n["lo"], n["hi"], n["label"]) for n in r["nodes"])) for r in spark.table(name).collect()}
+
+    window, state = run(sessions.session_trees, "by_window"), run(sessions.session_trees_stateful, "by_state")
+    assert window and state == window
+
+
+def test_windowed_support(spark):
+    rows = [(1, "2024-01-01 10:00:00", "a@0", 2), (2, "2024-01-02 10:00:00", "a@0", 3), (1, "2024-01-09 10:00:00", "a@0", 5)]
+    counts = spark.createDataFrame(rows, "user_id long, end string, code string, n_occ long").withColumn("end", F.col("end").cast("timestamp"))
+    got = sorted((r["support"], r["tree_support"]) for r in sessions.windowed_support(counts, "7 days").collect())
+    # Weeks of windows begin on Thursdays: the first two rows share one, the third is in the next.
+    assert got == [(5, 1), (5, 2)]
