@@ -401,7 +401,8 @@ def _encode(path: str, text: str, name: str):
 
 
 def split_giants(df: DataFrame, longest: int, chunk: int = CHUNK) -> DataFrame:
-    """(rid, text) to chunks of ``chunk`` characters: rid, part_no, parts, part, and the characters next to it, left and right."""
+    """(rid, text) to chunks of ``chunk`` characters (the longest piece's at least): rid, part_no, parts, part, and the characters next to it, left and right."""
+    chunk = max(chunk, longest)
     pieces = F.regexp_extract_all("text", F.lit(rf"(?s).{{1,{chunk}}}"), F.lit(0))
     beside = lambda i, f: F.coalesce(f(F.get(F.col("pieces"), i), F.lit(longest)), F.lit(""))
     rows = df.select("rid", pieces.alias("pieces"))

@@ -127,6 +127,7 @@ def test_decision_list_is_precise_on_held_out_labels(spark):
     judged = quality_rules.judge(d, rules).join(labels.filter("doc_id % 2 = 1"), "doc_id").filter("__rule > 0").groupBy("quality").count().collect()
     n = {r["quality"]: r["count"] for r in judged}
     assert n.get(0, 0) >= 0.9 * sum(n.values()) and n.get(0, 0) > 0
+    assert n[0] >= 0.6 * labels.filter("doc_id % 2 = 1 and quality = 0").count()
 
 
 def test_fit_covers_and_stops():
@@ -248,7 +249,7 @@ def test_mixing_meets_targets(spark, docs, empty):
     targets = {"source": share({"a": 0.2, "b": 0.3, "c": 0.5}), "lang": share({"en": 0.4, "de": 0.6}), "topic": share({"p": 0.4, "q": 0.6})}
     f = {d: {r["value"]: r["factor"] for r in t.collect()} for d, t in mixing.rake(cells, targets, sweeps=40).items()}
     weight = {r[:3]: r[3] * f["source"][r[0]] * f["lang"][r[1]] * f["topic"][r[2]] for r in rows}
-    for d, want in (("source", {"a": 0.2, "b": 0.3, "c": 0.5}), ("lang", {"en": 0.4, "de": 0.6})):
+    for d, want in (("source", {"a": 0.2, "b": 0.3, "c": 0.5}), ("lang", {"en": 0.4, "de": 0.6}), ("topic", {"p": 0.4, "q": 0.6})):
         at = mixing.DIMENSIONS.index(d)
         for value, share_ in want.items():
             assert abs(sum(w for k, w in weight.items() if k[at] == value) / sum(weight.values()) - share_) < 1e-3
@@ -281,6 +282,54 @@ def test_sentencepiece_odd_texts():
         assert c.encode(t) == c.model.encode(t)
 
 
+def test_sentencepiece_scan_over_chunks(spark):
+    """Giant texts in chunks, cut anywhere, over several tasks: with and without places where the text falls apart."""
+    from sentencepiece import SentencePieceProcessor
+
+    path = tokenizer_path("piece_bpe_32k.model")
+    model, rng = SentencePieceProcessor(model_file=path), random.Random(15)
+    parts = ["a", "b", " ", "  ", "the", "tion", "é", "東", "\n", "0", "000", "aaaa", "--", "日本", "▁", "😀"]
+    texts = ["".join(rng.choice(parts) for _ in range(rng.randint(1, 300))) for _ in range(60)] + ["x" * 5000, "ab" * 3000, " " * 700, "日" * 900, "word " * 800, None, ""]
+    rows = [(i, t, 1, "p", True, 7, 8) for i, t in enumerate(texts)] + [(3, texts[3], 1, "p", True, 7, 8)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, rid int, part string, first boolean, parts int, ids2 int").repartition(5)
+    for chunk in (7, 64, 500):
+        got = sentencepiece_codec.encode(df, path, chunk=chunk).collect()
+        assert len(got) == len(rows) and all(r["ids"] == model.encode(r["text"] or "") and (r["rid"], r["part"], r["first"], r["parts"]) == (1, "p", True, 7) for r in got)
+        for r in sentencepiece_codec.round_trip(df, path, chunk).collect():
+            t = texts[r["doc_id"]] or ""
+            assert r["exact"] == (model.decode(model.encode(t)) == t) and r["n_ids"] == len(model.encode(t)) and r["n_chars"] == len(t)
+            assert r["ids_sha256"] == hashlib.sha256(",".join(map(str, model.encode(t))).encode()).hexdigest()
+    assert sentencepiece_codec.encode(df.filter("false"), path, chunk=7).count() == 0
+    merging, plain = sentencepiece_codec.codec(path).merging, model.encode_as_pieces
+    for t in texts[:30]:
+        t = t.replace("▁", " ")
+        for chunk in (1, 13):
+            pieces = sentencepiece_codec.segment(merging, "▁" + t.replace(" ", "▁"), chunk)
+            assert [i for p in pieces for i in sentencepiece_codec.codec(path).piece_ids(p)] == model.encode(t), (t, plain(t))
+
+
+def test_unigram_texts_as_a_spark_plan(spark):
+    m = sentencepiece_codec.Unigram({"a": -1.0, "b": -2.0, "ab": -2.5, "aba": -3.0, "bab": -3.1, "abab": -4.9})
+    rng = random.Random(16)
+    texts = ["".join(rng.choice("abc") for _ in range(rng.randint(1, 200))) for _ in range(25)]
+    df = spark.createDataFrame(list(enumerate(texts)), "rid long, text string").repartition(3)
+    score = lambda pieces: sum(m.pieces.get(p, m.unknown) for p in pieces)
+    for chunk in (5, 40, 1000):
+        got = {r["rid"]: r["got"] for r in sentencepiece_codec.segment_texts(df, m, chunk).collect()}
+        for i, t in enumerate(texts):
+            assert "".join(got[i]) == t and abs(score(got[i]) - score(sentencepiece_codec.segment(m, t, 10_000))) < 1e-9
+
+
+def test_max_plus_is_associative():
+    rng = random.Random(17)
+    m = sentencepiece_codec.Unigram({"a": -1.0, "b": -2.0, "ab": -2.5, "aba": -3.0})
+    t = "".join(rng.choice("ab") for _ in range(30))
+    a, b, c = (sentencepiece_codec.transfer(m, t, x, y, x == 0) for x, y in ((0, 11), (11, 12), (12, 30)))
+    left, right = sentencepiece_codec.max_plus(sentencepiece_codec.max_plus(a, b), c), sentencepiece_codec.max_plus(a, sentencepiece_codec.max_plus(b, c))
+    assert left.keys() == right.keys() and all(abs(left[x][z] - right[x][z]) < 1e-9 for x in left for z in left[x])
+    assert left[0, 0].keys() == sentencepiece_codec.transfer(m, t, 0, 30, True)[0, 0].keys()
+
+
 def test_max_plus_scan_is_the_best_path():
     m = sentencepiece_codec.Unigram({"a": -1.0, "b": -2.0, "ab": -2.5, "aba": -3.0, "bab": -3.1, "abab": -4.9})
     score = lambda pieces: sum(m.pieces.get(p, m.unknown) for p in pieces)
