@@ -39,14 +39,17 @@ ABLATIONS = {
 
 #: Forest, largest size, thresholds as shares of the number of trees, falling.
 SWEEPS = {
-    "web sessions": (tables.sessions_rank, 5, [(82, 100), (41, 100)]),
-    "web sessions by value": (tables.sessions_value, 5, [(82, 100), (41, 100)]),
+    "web sessions": (tables.sessions_rank, 4, [(82, 100), (41, 100)]),
+    "web sessions by value": (tables.sessions_value, 4, [(82, 100), (41, 100)]),
     "DOM trees": (tables.pages_flat, 3, [(4, 1), (1, 1)]),
     "nested DOM": (nested.pages_nested, 5, [(8, 1), (4, 1)]),
     "large trees": (tables.regions, 3, [(2000, 1), (500, 1)]),
-    "customer trees": (tables.customers, 4, [(4, 1), (2, 1)]),
+    "customer trees": (tables.customers, 3, [(4, 1), (1, 2)]),
     "library": (tables.library, 3, [(2, 1), (1, 1)]),
-    **{f"synthetic, {name}": (synthetic(name), 4, [(1, 5), (1, 10)]) for name in SYNTHETIC},
+    "user histories": (tables.users, 4, [(10, 1), (5, 1)]),
+    "stars": (lambda s, d: generator.stars(s, 200, 21), 6, [(1, 1)]),
+    "chains": (lambda s, d: generator.chains(s, 200, 16), 6, [(1, 1)]),
+    **{f"synthetic, {name}": (synthetic(name), 3, [(1, 5), (1, 10)]) for name in SYNTHETIC},
 }
 
 

@@ -133,7 +133,7 @@ def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None =
     state = kernel.start(v, hinted(ids, len(rows))).persist()
     # What the rules look up: frequent patterns of the last level, whatever their root.
     known = {nodes for nodes in level.values()} | {((pt.escape(x), 0),) for x in names}
-    size = 1
+    size, used = 1, []
     if checkpoint:
         _claim(checkpoint, v, {"minsup": minsup, "rule": rule, "support": support, "roots": roots, "exact_counts": exact_counts, "spread": spread, "kernel": kernel.name, "state": kernel.state})
         done = _restore(spark, checkpoint, state)
@@ -157,6 +157,9 @@ def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None =
             counts, records = counts.persist(), grown.count()
             made = time.time()
         good = counts.filter(F.col(measure) >= least).orderBy("prefix_id", "c", "label").collect()
+        for df in used:
+            df.unpersist()
+        used = []
         if rule == "all" and guided and size > 2:
             good = [r for r in good if all(p in known for p in pt.one_removed(pt.extend(level[r["prefix_id"]], pt.escape(r["label"]), r["c"])))]
         if trace is not None:
@@ -180,12 +183,12 @@ def levelwise(v: DataFrame, minsup: int, kernel: Kernel, max_size: int | None =
                 after.write.mode("overwrite").parquet(f"{checkpoint}/state-{size}")
                 spark.createDataFrame([(*r[:6], str(r[6]), *r[7:]) for r in rows], PATTERNS.replace("decimal(38,0)", "string")).coalesce(1).write.mode("overwrite").parquet(f"{checkpoint}/patterns-{size}")
                 after = spark.read.parquet(f"{checkpoint}/state-{size}").repartition("tree_id")
-            after = after.persist()
-            after.count()
-            state.unpersist()
-            state = after
-        grown.unpersist()
-    state.unpersist()
+            # The new state is made by the next level's first job, from what this level keeps; until then both stay.
+            used, state = [*used, state, grown], after.persist()
+        else:
+            used.append(grown)
+    for df in [*used, state]:
+        df.unpersist()
     return _result(spark, rows, minsup, measure, exact_counts)
 
 

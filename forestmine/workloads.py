@@ -145,6 +145,7 @@ def _mining() -> None:
     pages = oracles.mine(oracles.forest("pages_flat"), (1, 1), 3)
     _add("baseline_full_match_pages_k3", _miner(tables.pages_flat, (1, 1), lambda v, m: baselines.full_match(v, m, 3)), pages)
     _add("baseline_model_guided_pages_k3", _miner(tables.pages_flat, (1, 1), lambda v, m: baselines.model_guided(v, m, 3)), oracles.mine(oracles.forest("pages_flat"), (1, 1), 3, "all"))
+    _add("baseline_full_match_users_k4", _miner(tables.users, (5, 1), lambda v, m: baselines.full_match(v, m, 4)), oracles.mine(oracles.forest("users"), (5, 1), 4))
     _add("mine_users_k4", _miner(tables.users, (5, 1), lambda v, m: mine.embedded(v, m, 4)), oracles.mine(oracles.forest("users"), (5, 1), 4))
     regions = oracles.mine(oracles.forest("regions"), (1, 1), 2)
     _add("mine_regions_k2_spread", _miner(tables.regions, (1, 1), lambda v, m: mine.embedded(v, m, 2, spread="auto")), regions)
@@ -199,7 +200,7 @@ def synthetic(name: str) -> Query:
 
 
 #: Trees with the most occurrences for each record: how many, of how many vertices, to which size.
-SHAPES = {"stars": (200, 21, 7), "chains": (200, 18, 7)}
+SHAPES = {"stars": (50, 21, 6), "chains": (50, 16, 6)}
 
 
 def shape(name: str) -> Query:
