@@ -7,7 +7,9 @@ bytes, so no Python object exists per word.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import contextlib
+import ctypes
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -166,6 +168,18 @@ class HashTable:
             at, slot = at[left], (slot[left] + 1) & self.mask
 
 
+def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """run, which gives freed memory back when it ends: a worker waits for its next task with what it needs only."""
+
+    def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+        with contextlib.suppress(OSError, AttributeError):  # not every C library can
+            ctypes.CDLL(None).malloc_trim(0)
+
+    return whole
+
+
 def row_texts(column: pa.Array, lower: bool = False) -> Iterator[bytes]:
     """Each row's text as UTF-8, A-Z lowered if asked; null as empty."""
     raw, offsets = text_buffers(column)

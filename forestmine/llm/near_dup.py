@@ -121,7 +121,7 @@ def _sketch(k: int):
                     names=["id", "n", "digest", *_BITS, "bands"],
                 )
 
-    return run
+    return _text.lean(run)
 
 
 def _sets(k: int):
@@ -130,7 +130,7 @@ def _sets(k: int):
             for row, hashes, offsets in shingle_sets(batch.column("text"), k):
                 yield pa.RecordBatch.from_arrays([batch.column("id").slice(row, len(offsets) - 1), _longs(hashes, offsets)], names=["id", "set"])
 
-    return run
+    return _text.lean(run)
 
 
 def sets_of(ids: DataFrame, texts: DataFrame, k: int) -> DataFrame:

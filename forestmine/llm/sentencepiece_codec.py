@@ -101,7 +101,7 @@ class Merging:
     def fits(self, left: str, right: str) -> bool:
         got = self.known.get((left, right))
         if got is None:
-            if len(self.known) > 1_000_000:
+            if len(self.known) > 100_000:
                 self.known.clear()
             got = self.known[left, right] = self.merged(left + right) == [left, right]
         return got
@@ -397,7 +397,7 @@ def _encode(path: str, text: str, name: str):
                 part = batch.slice(row, len(offsets) - 1)
                 yield pa.RecordBatch.from_arrays([*part.columns, _list(ids, bound)], names=[*part.schema.names, name])
 
-    return run
+    return _text.lean(run)
 
 
 def split_giants(df: DataFrame, longest: int, chunk: int = CHUNK) -> DataFrame:
@@ -428,7 +428,7 @@ def _transfers(make: Callable[[], object], marked: Callable):
                 moves.append([{"a": a, "b": b, "c": c, "d": d, "score": score} for (a, b), found in matrix.items() for (c, d), score in found.items()])
             yield pa.RecordBatch.from_arrays([batch.column("rid"), batch.column("part_no"), pa.array(moves, pa.list_(pa.struct([(x, pa.int32()) for x in "abcd"] + [("score", pa.float64())])))], names=["rid", "part_no", "moves"])
 
-    return run
+    return _text.lean(run)
 
 
 def _scan(group: pa.Table) -> pa.Table:
@@ -529,7 +529,7 @@ def _decode(path: str, ids: str, name: str):
             for part, values, offsets in _slices(batch, ids):
                 yield pa.RecordBatch.from_arrays([*part.columns, c.decode_rows(values, offsets)], names=[*part.schema.names, name])
 
-    return run
+    return _text.lean(run)
 
 
 def decode(df: DataFrame, path: str, ids: str = "ids", name: str = "decoded") -> DataFrame:
@@ -552,7 +552,7 @@ def _trip(path: str):
                 digest = [hashlib.sha256(listed[x : max(x, y - 1)]).hexdigest() for x, y in zip(bound, bound[1:])]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pc.utf8_length(text).cast(pa.int64()), pa.array(np.diff(at)), pa.array(digest, "string"), exact], names=["doc_id", "n_chars", "n_ids", "ids_sha256", "exact"])
 
-    return run
+    return _text.lean(run)
 
 
 def round_trip(docs: DataFrame, path: str, chunk: int = CHUNK) -> DataFrame:

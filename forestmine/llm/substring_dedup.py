@@ -175,7 +175,7 @@ def _blocks(window: int, buckets: int):
         if sum(map(len, hashes)):
             yield from flush(hashes, second, ids)
 
-    return run
+    return _text.lean(run)
 
 
 def _run_of(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
@@ -336,7 +336,7 @@ def _remove(window: int):
                     digest.append(hashlib.sha256(texts[-1]).hexdigest())
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(w.row, w.rows), pa.array(counts.astype(np.int64)), pa.array(removed, "int64"), pa.array(digest, "string"), pa.array(texts, "binary").cast("string")], names=["doc_id", "n_words", "n_removed", "kept_sha256", "kept_text"])
 
-    return run
+    return _text.lean(run)
 
 
 def dedup_substrings(docs: DataFrame, window: int = WINDOW, batches: int = BATCHES, index: FingerprintIndex | None = None) -> DataFrame:

@@ -279,7 +279,7 @@ def _count_runs(shared, words: int, buckets: int):
         if size:
             yield from flush(parts)
 
-    return run
+    return _text.lean(run)
 
 
 def _sum_runs(words: int):
@@ -430,7 +430,7 @@ def _score(shared, depth: int):
                     names=["doc_id", "n_tokens", "n_known", "base_score", "score", "misses", "runs"],
                 )
 
-    return run
+    return _text.lean(run)
 
 
 def score_texts(docs: DataFrame, training: Column | None = None, depth: int = DEPTH) -> DataFrame:

@@ -140,7 +140,7 @@ def _count(path: str, shared):
                     n[i] = pre.lengths([raw[offsets[i] : offsets[i + 1]].tobytes().decode()])[0]
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(row, len(n)), pa.array(np.diff(offsets)), pa.array(n)], names=["doc_id", "n_bytes", "n_tokens"])
 
-    return run
+    return _text.lean(run)
 
 
 def count_tokens(docs: DataFrame, path: str, limit: int = 1024) -> DataFrame:

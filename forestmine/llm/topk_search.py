@@ -20,6 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import _text
 from ._spark import discard, materialize, small_batches
 
 #: Rows of a shard, queries of a block, rows scored at once; share of rows up to which the rest is probed row by row.
@@ -149,7 +150,7 @@ def _search(k: int):
             of, at = np.nonzero(score > LEAST)
             yield pa.RecordBatch.from_arrays([pa.array(asked[block][of]), pa.array(found[of, at]), pa.array(score[of, at])], names=["query_id", "vec_id", "score"])
 
-    return run
+    return _text.lean(run)
 
 
 def top_k(vectors: DataFrame, is_query: Column, k: int = 20) -> DataFrame:
