@@ -35,6 +35,8 @@ WINDOW = 13
 BLOCK_BYTES, BUCKET_WINDOWS, PIECE = 4 << 20, 1_000_000, 1 << 18
 #: Runs that are compacted into one; ranges of doc_id that a whole table is indexed in.
 FANOUT, BATCHES = 2, 3
+#: Buckets of an index at least; a whole table gets one for each BUCKET_WINDOWS windows.
+LEAST_BUCKETS = 32
 
 #: Mixed into words' hashes for the second hash.
 _OTHER = np.uint64(0xA24BAED4963EE407)
@@ -353,7 +355,7 @@ def dedup_substrings(docs: DataFrame, window: int = WINDOW, batches: int = BATCH
     texts = docs.select(F.col("doc_id").cast("long"), "text")
     known = texts.filter("doc_id is not null")
     seen = known.agg(F.sum(F.length("text")).alias("chars"), F.percentile_approx("doc_id", [i / batches for i in range(1, batches)] or [0.5], 10_000).alias("cuts")).first()
-    held = index or FingerprintIndex(docs.sparkSession, buckets=max(256, (seen.chars or 0) // (6 * BUCKET_WINDOWS)), window=window)
+    held = index or FingerprintIndex(docs.sparkSession, buckets=max(LEAST_BUCKETS, (seen.chars or 0) // (6 * BUCKET_WINDOWS)), window=window)
     cuts = sorted(set(seen.cuts or [])) if batches > 1 else []
     parts = []
     for i in range(len(cuts) + 1):
