@@ -36,7 +36,7 @@ BLOCK_BYTES, BUCKET_WINDOWS, PIECE = 4 << 20, 1_000_000, 1 << 18
 #: Runs that are compacted into one; ranges of doc_id that a whole table is indexed in.
 FANOUT, BATCHES = 2, 3
 #: Buckets of an index at least; a whole table gets one for each BUCKET_WINDOWS windows.
-LEAST_BUCKETS = 32
+LEAST_BUCKETS = 256
 
 #: Mixed into words' hashes for the second hash.
 _OTHER = np.uint64(0xA24BAED4963EE407)
