@@ -205,7 +205,8 @@ def _settle(keep: bool, ids: bool):
             h, s, d = _sorted(np.concatenate(hashes), np.concatenate(second), np.concatenate(docs))
             start, least, late = _settled(h, s, d)
             if old is not None:
-                late[start[_held(h[start], s[start], *_run_of(old))]] = True
+                # All of a held window's places, as blocks come in any order: the first needn't be the least id's.
+                late |= np.repeat(_held(h[start], s[start], *_run_of(old)), np.diff(np.append(start, len(h))))
             out += [("repeat", bucket, doc, got, None) for doc, got in _by_doc(d[late], h[late], s[late])]
             if keep:
                 out.append(("run", bucket, None, _pack(h[start]) + s[start].tobytes(), _pack_ids(least) if ids else None))

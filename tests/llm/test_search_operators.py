@@ -270,3 +270,26 @@ def test_windows_of_one_hash_but_other_words_are_no_repeats():
         pair["s"] = substring_dedup._second(w, 13) ^ np.uint16(change)
         batch = pa.RecordBatch.from_arrays([pa.array([5]), pa.array([text]), pa.array([[pair.tobytes()]])], names=["doc_id", "text", "payloads"])
         assert next(iter(substring_dedup._remove(13)(iter([batch])))).column("n_removed").to_pylist() == [gone]
+
+
+def test_substrings_whose_blocks_come_in_any_order(spark):
+    """A passage that an older run holds goes from every document of a batch, whichever block is met first."""
+    from pyspark.sql import functions as F
+
+    passage = " ".join(f"w{i}" for i in range(20))
+    rows = [(i, f"{passage} own{i} {passage if i % 3 else ''}") for i in range(60)]
+    docs = spark.createDataFrame(rows[::-1], "doc_id long, text string").repartitionByRange(12, F.desc("doc_id"))
+    got = {r["doc_id"]: (r["n_words"], r["n_removed"]) for r in substring_dedup.dedup_substrings(docs).collect()}
+    assert got == {i: (41 if i % 3 else 21, 0 if i == 0 else 40 if i % 3 else 20) for i in range(60)}
+
+
+def test_settle_marks_all_places_of_a_window_that_a_run_holds():
+    import pyarrow as pa
+
+    pack = lambda docs: substring_dedup._pack_ids(np.array(docs, np.int64))
+    one = substring_dedup._pack(np.array([5], np.uint64)) + np.array([1], np.uint16).tobytes()
+    for docs in ((9, 4), (4, 9)):
+        group = pa.Table.from_batches([substring_dedup._rows([("block", 0, None, one, pack([d])) for d in docs])])
+        old = pa.Table.from_batches([substring_dedup._rows([("run", 0, None, one, None)])])
+        out = substring_dedup._settle(False, False)(group, old)
+        assert set(out.column("doc_id").to_pylist()) == {4, 9}
