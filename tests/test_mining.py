@@ -355,3 +355,19 @@ def test_counted_reads_a_large_tree_in_linear_time(spark):
     began = time.time()
     assert {r["code"]: r["support"] for r in mine.embedded(v, 1, 2, plan="counted").collect()} == {"a@0": 1, "b@0": 60_000, "a@0 b@1": 60_000}
     assert time.time() - began < 60
+
+
+def test_neighbours_of_many_equal_trees(spark):
+    """Against a plain version; 40,000 trees of three pattern sets, of which all pairs would be 160 million for 4,000 queries."""
+    rng = random.Random(2)
+    sets = {i: frozenset(x for x in "pqrst" if rng.random() < 0.5) or frozenset("p") for i in range(60)}
+    f = spark.createDataFrame([(i, x, 1) for i, s in sets.items() for x in s], "tree_id long, code string, n_occ long")
+    want = []
+    for q in range(0, 60, 4):
+        near = sorted((-len(sets[q] & s) / len(sets[q] | s), i, len(sets[q] & s), len(sets[q] | s)) for i, s in sets.items() if i != q and sets[q] & s)
+        want += [(q, i, common, union, r + 1) for r, (_, i, common, union) in enumerate(near[:3])]
+    assert sorted(tuple(r) for r in post.jaccard_neighbours(f, f.filter("tree_id % 4 = 0").select("tree_id"), 3).collect()) == sorted(want)
+    many = spark.range(40_000).select(F.col("id").alias("tree_id"), F.explode(F.when(F.col("id") % 3 == 0, F.array(F.lit("p"))).when(F.col("id") % 3 == 1, F.array(F.lit("p"), F.lit("q"))).otherwise(F.array(F.lit("q")))).alias("code"))
+    near = post.jaccard_neighbours(many, many.filter("tree_id % 10 = 0").select("tree_id"), 5)
+    assert near.count() == 20_000
+    assert [tuple(r) for r in near.filter("query_id = 10").orderBy("rank").collect()] == [(10, t, 2, 2, r + 1) for r, t in enumerate((1, 4, 7, 13, 16))]
