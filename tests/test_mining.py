@@ -371,3 +371,16 @@ def test_neighbours_of_many_equal_trees(spark):
     near = post.jaccard_neighbours(many, many.filter("tree_id % 10 = 0").select("tree_id"), 5)
     assert near.count() == 20_000
     assert [tuple(r) for r in near.filter("query_id = 10").orderBy("rank").collect()] == [(10, t, 2, 2, r + 1) for r, t in enumerate((1, 4, 7, 13, 16))]
+
+
+def test_master_tree_of_rows_gives_each_row_a_place(spark):
+    """Few rows, keys below zero, repeated and missing ones, and more rows than ten children a vertex have room for."""
+    for n, depth in ((0, 3), (1, 3), (5, 10), (3_000, 3), (500, 0)):
+        keys = spark.range(n).select((F.col("id") * 1000 - 70_000).alias("key")).union(spark.createDataFrame([(None,)], "key long"))
+        got = generator.master_of(keys, 20, depth, 10).collect()
+        assert sorted(r["id"] for r in got) == list(range(n))
+        by = {r["id"]: r for r in got}
+        if depth:
+            assert all((r["parent"] is None) == (r["id"] == 0) for r in got)
+            assert all(by[r["parent"]]["depth"] == r["depth"] - 1 for r in got if r["id"])
+            assert len({(r["parent"], r["slot"]) for r in got}) == n

@@ -40,3 +40,14 @@ def test_every_oracle_has_a_query():
     import __spark_entry__ as entry
 
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+@pytest.mark.parametrize("name", ["star_records", "chain_records", "chain_records_literal", "synthetic_master_d10", "synthetic_master_d5", "synthetic_master_m", "synthetic_trees_d5"])
+def test_query_reads_a_given_table(spark, duck, name):
+    """Records and synthetic trees come from a table's rows and equal their SQL."""
+    import __spark_entry__ as entry
+
+    df = entry.queries()[name](spark, DIR)
+    assert any(f"{DIR}/{t}.parquet" in f for f in df.inputFiles() for t in ("events", "part", "orders"))
+    want = duck.sql(entry.oracle_sql()[name])
+    assert rows(df.columns, df.collect()) == rows(want.columns, want.fetchall())
