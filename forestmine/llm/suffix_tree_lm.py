@@ -9,11 +9,12 @@ unigrams; so each state's distribution sums to one. Both supports are absolute:
 is gathered grows with the corpus.
 
 Runs of words are known by a 64-bit hash. Each depth's runs are counted in buckets of
-keys and joined with the depth before; the tree is a table by key. Written as factors,
+keys, where they are sent as places in the list of frequent words, and joined with the depth
+before; the tree is a table by key. Written as factors,
 a text's log10 probability is its unigram base plus a weight for each run
 in it (a run's gain as a next word, and what it leaves as a context). So runs are
 looked up one by one: the HOT most frequent ones where they are read, others leave
-their number of uses and are joined with the table, as rare words are with the word counts.
+their number of uses and meet the table in buckets of keys, as rare words meet the word counts.
 
 A run can have a weight only if the run without its last word is a context of the tree: so longer runs
 are looked up only where shorter ones were found.
@@ -29,7 +30,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import _text
@@ -45,6 +46,8 @@ DEPTH, DIVERGENCE, DISCOUNT = 4, 0.02, 0.75
 CHANCE = 10
 #: Runs broadcast at most; bits of a filter (a power of two) and parts that it is put together in; runs packed at once; runs meant for a bucket.
 HOT, FILTER_BITS, FILTER_PARTS, RUNS_AT_ONCE, RUNS_IN_BUCKET = 2_000_000, 1 << 26, 64, 300_000, 1_000_000
+#: Scored tokens meant for a bucket of what is looked up by joins: few buckets, as each adds to most documents.
+TOKENS_IN_BUCKET = 8_000_000
 #: Bytes of text whose words are hashed at once.
 PIECE = 1 << 18
 _ODD = np.uint64(0x9E3779B97F4A7C15)
@@ -235,34 +238,61 @@ class Tree:
         return out
 
 
+def _planes(columns: list[np.ndarray]) -> bytes:
+    """Columns of one length, each as planes of its first bytes, second bytes and so on."""
+    return b"".join(np.ascontiguousarray(np.ascontiguousarray(c).view(np.uint8).reshape(len(c), -1).T).tobytes() for c in columns)
+
+
+def _columns(data: np.ndarray, n: int, kinds: list) -> list[np.ndarray]:
+    """The columns of planes."""
+    out, x = [], 0
+    for kind in map(np.dtype, kinds):
+        out.append(np.ascontiguousarray(data[x : x + n * kind.itemsize].reshape(kind.itemsize, n).T).view(kind).ravel())
+        x += n * kind.itemsize
+    return out
+
+
+def _packed(columns: list[np.ndarray]) -> bytes:
+    return pa.compress(_planes(columns), "zstd", asbytes=True)
+
+
+def _unpacked(payload: bytes, n: int, kinds: list) -> list[np.ndarray]:
+    return _columns(np.frombuffer(pa.decompress(payload, n * sum(np.dtype(k).itemsize for k in kinds), "zstd", asbytes=True), np.uint8), n, kinds)
+
+
 def _count_runs(shared, words: int, buckets: int):
     """Runs of ``words`` words, counted and packed: a row for each bucket of keys.
 
     Their context may be frequent, and the run without its oldest word, which is no rarer, may be a next word itself.
+    A word is packed as its place among the frequent words, or past their end as its place among the others' hashes, which end a payload.
     """
 
-    def flush(parts: list[tuple[np.ndarray, ...]]) -> Iterator[pa.RecordBatch]:
-        key, ctx, short, last = (np.concatenate(x) for x in zip(*parts))
+    def flush(parts: list[tuple[np.ndarray, np.ndarray]], others: list[np.ndarray], known: int) -> Iterator[pa.RecordBatch]:
+        key, ids = (np.concatenate(x) for x in zip(*parts))
+        others = np.concatenate(others)
         order = np.argsort(key)
-        key, new = key[order], np.concatenate(([True], np.diff(key[order]) != 0))
+        new = np.concatenate(([True], np.diff(key[order]) != 0))
         count = np.diff(np.concatenate((np.flatnonzero(new), [len(key)]))).astype(np.uint32)
-        key, at = key[new], order[new]
-        order = np.argsort(ctx[at])
-        bucket = (key[order] >> np.uint64(64 - buckets.bit_length() + 1)).astype(np.uint16 if buckets <= 1 << 16 else np.uint32)
-        by = np.argsort(bucket, kind="stable")
-        order, edges = order[by], np.searchsorted(bucket[by], np.arange(buckets + 1))
-        at, count = at[order], count[order]
+        at = order[new]
+        bucket = key[at] >> np.uint64(64 - buckets.bit_length() + 1)
+        order = np.argsort(ids[at, 0].astype(np.uint64) << np.uint64(32) | ids[at, 1].astype(np.uint64))
+        order = order[np.argsort(bucket[order].astype(np.uint16 if buckets <= 1 << 16 else np.uint32), kind="stable")]
+        ids, count, edges = ids[at[order]], count[order], np.searchsorted(bucket[order], np.arange(buckets + 1))
         rows = []
         for b, (x, y) in enumerate(zip(edges, edges[1:])):
             if y > x:
-                c = ctx[at[x:y]]
-                planes = [np.diff(c, prepend=np.uint64(0)), np.where(np.diff(c, prepend=c[:1] + np.uint64(1)) != 0, short[at[x:y]], np.uint64(0)), last[at[x:y]], count[x:y]]
-                data = b"".join(np.ascontiguousarray(p.view(np.uint8).reshape(y - x, -1).T).tobytes() for p in planes)
-                rows.append((b, int(y - x), pa.compress(data, "zstd", asbytes=True)))
-        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(("int32", "int32", "binary"))], names=["bucket", "n", "payload"])
+                own = ids[x:y]
+                rare = own >= known
+                used, place = np.unique(own[rare], return_inverse=True)
+                own[rare] = known + place
+                data = _planes([np.diff(own[:, 0], prepend=np.uint32(0)), *own[:, 1:].T, count[x:y]])
+                rows.append((b, int(y - x), len(used), pa.compress(data + others[used - known].tobytes(), "zstd", asbytes=True)))
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(("int32", "int32", "int32", "binary"))], names=["bucket", "n", "others", "payload"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        (contexts, suffixes), parts, size = shared.value, [], 0
+        contexts, suffixes, frequent = shared.value
+        places, known = _table(frequent), len(frequent)
+        parts, others, size, rare = [], [], 0, 0
         for batch in batches:
             for w, tokens, first in _tokens(batch.column("text")):
                 row = np.repeat(np.arange(w.rows), np.diff(first))
@@ -270,109 +300,130 @@ def _count_runs(shared, words: int, buckets: int):
                 at = np.flatnonzero(keys[-1][1])
                 at = at[_may_hold(contexts, keys[-2][0][at - 1])]
                 at = at[_may_hold(suffixes, keys[-2][0][at])]
-                short = keys[-3][0][at - 1] if words > 2 else np.zeros(len(at), np.uint64)
-                parts.append((keys[-1][0][at], keys[-2][0][at - 1], short, tokens[at]))
-                size += len(at)
+                ids = places.find(tokens).astype(np.int64)
+                used = np.zeros(len(tokens), bool)
+                for i in range(words):
+                    used[at - i] = True
+                used = np.flatnonzero(used & (ids < 0))
+                ids[used] = known + rare + np.arange(len(used))
+                parts.append((keys[-1][0][at], np.stack([ids[at - i] for i in range(words - 1, -1, -1)], 1).astype(np.uint32)))
+                others.append(tokens[used])
+                size, rare = size + len(at), rare + len(used)
                 if size >= RUNS_AT_ONCE:
-                    yield from flush(parts)
-                    parts, size = [], 0
+                    yield from flush(parts, others, known)
+                    parts, others, size, rare = [], [], 0, 0
         if size:
-            yield from flush(parts)
+            yield from flush(parts, others, known)
 
     return _text.lean(run)
 
 
-def _sum_runs(words: int):
+def _sum_runs(shared, words: int):
     """A bucket's packed counts to (key, ctx, pkey, c) of runs that occur MIN_NEXT times; pkey is the run without its oldest word."""
 
+    def chain(tokens: list[np.ndarray]) -> np.ndarray:
+        return functools.reduce(_extend, tokens)
+
     def run(group: pa.Table) -> pa.Table:
-        parts = []
-        for n, payload in zip(group["n"].to_pylist(), group["payload"].to_pylist()):
-            data = np.frombuffer(pa.decompress(payload, 28 * n, "zstd", asbytes=True), np.uint8)
-            wide = [np.ascontiguousarray(data[8 * n * i : 8 * n * (i + 1)].reshape(8, n).T).view(np.uint64).ravel() for i in range(3)]
-            ctx, first = np.cumsum(wide[0], dtype=np.uint64), np.concatenate(([True], wide[0][1:] != 0))
-            short = wide[1][first][np.cumsum(first) - 1]
-            parts.append((ctx, short, wide[2], np.ascontiguousarray(data[24 * n :].reshape(4, n).T).view(np.uint32).ravel().astype(np.int64)))
-        ctx, short, last, count = (np.concatenate(x) for x in zip(*parts))
-        key = _extend(ctx, last)
+        frequent, parts = shared.value[2], []
+        for n, others, payload in zip(group["n"].to_pylist(), group["others"].to_pylist(), group["payload"].to_pylist()):
+            wide = 4 * (words + 1) * n
+            data = np.frombuffer(pa.decompress(payload, wide + 8 * others, "zstd", asbytes=True), np.uint8)
+            *ids, count = _columns(data, n, [np.uint32] * (words + 1))
+            ids[0] = np.cumsum(ids[0], dtype=np.uint32)
+            hashes = np.concatenate((frequent, np.frombuffer(data[wide:].tobytes(), np.uint64)))
+            tokens = [hashes[x] for x in ids]
+            ctx = chain(tokens[:-1])
+            parts.append((_extend(ctx, tokens[-1]), ctx, chain(tokens[1:]), count.astype(np.int64)))
+        key, ctx, pkey, count = (np.concatenate(x) for x in zip(*parts))
         order = np.argsort(key)
         start = np.flatnonzero(np.concatenate(([True], np.diff(key[order]) != 0)))
         c = np.add.reduceat(count[order], start)
         at, c = order[start][c >= MIN_NEXT], c[c >= MIN_NEXT]
-        pkey = _extend(short[at], last[at]) if words > 2 else last[at]
-        return pa.Table.from_arrays([pa.array(x.view(np.int64)) for x in (key[at], ctx[at], pkey, c)], names=["key", "ctx", "pkey", "c"])
+        return pa.Table.from_arrays([pa.array(x.view(np.int64)) for x in (key[at], ctx[at], pkey[at], c)], names=["key", "ctx", "pkey", "c"])
 
     return run
 
 
-def _levels(docs: DataFrame, counts: DataFrame, n: int, v: int, depth: int) -> DataFrame | None:
-    """The whole tree: (key, c, nexts, lefts, depth, suffix), a row for each run of words that is a context or a next word."""
-    spark, found, heads_, lasts = docs.sparkSession, [], [], []
+def _levels(docs: DataFrame, counts: DataFrame, frequent: np.ndarray, n: int, v: int, depth: int) -> tuple[DataFrame, list[DataFrame]] | None:
+    """The whole tree: (key, c, nexts, lefts, depth, suffix, again), a row for each context (again: its key has another) and one for each next word; and the tables that it is read from."""
+    spark, found, levels = docs.sparkSession, [], []
     # Runs of the last length: how often, their probability after their context, and the run without its oldest word.
-    last = counts.select(F.col("h").alias("key"), "c", ((F.col("c") + 1) / F.lit(n + v + 1.0)).alias("p"), F.lit(0).cast("long").alias("pkey")).filter(f"key <> {int(END.view(np.int64))}")
+    last = counts.select(F.col("h").alias("key"), "c", ((F.col("c") + 1) / F.lit(n + v + 1.0)).alias("p"), F.lit(0).cast("long").alias("pkey"), F.lit(0.0).alias("nexts")).filter(f"key <> {int(END.view(np.int64))}")
     end = counts.filter(f"h = {int(END.view(np.int64))}").select(F.col("h").alias("key"), "c", ((F.col("c") + 1) / F.lit(n + v + 1.0)).alias("p"))
     buckets = 1 << max(6, int(n // RUNS_IN_BUCKET).bit_length())
+    by = Window.partitionBy("ctx")
     for d in range(1, depth + 1):
         contexts = last.filter(F.col("c") >= MIN_CONTEXT)
-        above = last.select("key", "c", "p") if d > 1 else last.select("key", "c", "p").union(end)
-        shared = spark.sparkContext.broadcast((_filter(contexts.select("key")), _filter(above.filter(F.col("c") >= MIN_NEXT).select("key"))))
-        packed = docs.select("text").mapInArrow(_count_runs(shared, d + 1, buckets), "bucket int, n int, payload binary")
-        runs = packed.groupBy("bucket").applyInArrow(_sum_runs(d + 1), "key long, ctx long, pkey long, c long")
+        above = (last.select("key", "c", "p") if d > 1 else last.select("key", "c", "p").union(end)).filter(F.col("c") >= MIN_NEXT)
+        shared = spark.sparkContext.broadcast((_filter(contexts.select("key")), _filter(above.select("key")), frequent))
+        packed = docs.select("text").mapInArrow(_count_runs(shared, d + 1, buckets), "bucket int, n int, others int, payload binary")
+        runs = packed.groupBy("bucket").applyInArrow(_sum_runs(shared, d + 1), "key long, ctx long, pkey long, c long")
         counted = materialize(runs, "runs")
         shared.destroy()
-        del packed
+        del packed, runs
         sweep(spark)
-        runs = counted.join(contexts.select(F.col("key").alias("ctx"), F.col("c").alias("t"), F.col("pkey").alias("suffix")), "ctx")
-        runs = materialize(runs.join(above.select(F.col("key").alias("pkey"), F.col("p").alias("above")), "pkey"), "levels")
-        discard(counted)
+        # A run is no more frequent than its parts, so each finds both. The rows of a context come together once, for all that is asked of it.
+        runs = counted.join(above.select(F.col("key").alias("pkey"), F.col("p").alias("above")), "pkey")
+        runs = runs.join(contexts.select(F.col("key").alias("ctx"), F.col("c").alias("t"), F.col("pkey").alias("suffix"), (F.col("nexts") != 0).alias("again")), "ctx")
         share = F.expr(f"(c - {DISCOUNT}D) / t")
-        heads = runs.groupBy("ctx").agg(F.first("t").alias("t"), F.first("suffix").alias("suffix"), F.sum(F.expr("c * ln(c / t / above)")).alias("gain"), F.sum(share).alias("kept"), F.count("c").alias("kinds"), F.sum("c").alias("c"), F.sum("above").alias("above"))
+        sums = {"gain": F.sum(F.expr("c * ln(c / t / above)")), "kept": F.sum(share), "kinds": F.count("c"), "seen": F.sum("c"), "sure": F.sum("above"), "least": F.min("key")}
+        runs = runs.select("*", *(x.over(by).alias(k) for k, x in sums.items()))
         # The other next words count as one. A context must differ by more than its next words could by chance.
-        gain = F.col("gain") + F.expr("if(c < t, (t - c) * ln((t - c) / t / greatest(1 - above, 1e-12D)), 0D)")
-        stays = gain >= F.greatest(DIVERGENCE * F.col("t"), CHANCE + F.col("kinds"))
-        heads = materialize(heads.select("ctx", "t", "suffix", F.when(stays, 1 - F.col("kept")).otherwise(1.0).alias("left"), stays.alias("stays")), "heads")
-        last = runs.join(heads.select("ctx", "left", "stays"), "ctx").withColumn("p", F.when(F.col("stays"), share + F.col("left") * F.col("above")).otherwise(F.col("above")))
-        last = materialize(last.select("key", "c", "p", "pkey", F.when(F.col("stays"), F.log10(F.col("p") / (F.col("left") * F.col("above")))).otherwise(0.0).alias("nexts")), "tree")
-        discard(runs)
+        gain = F.col("gain") + F.expr("if(seen < t, (t - seen) * ln((t - seen) / t / greatest(1 - sure, 1e-12D)), 0D)")
+        runs = runs.withColumn("stays", gain >= F.greatest(DIVERGENCE * F.col("t"), CHANCE + F.col("kinds")))
+        runs = runs.withColumn("left", F.when(F.col("stays"), 1 - F.col("kept")).otherwise(1.0))
+        runs = runs.withColumn("p", F.when(F.col("stays"), share + F.col("left") * F.col("above")).otherwise(F.col("above")))
+        nexts = F.when(F.col("stays"), F.log10(F.col("p") / (F.col("left") * F.col("above")))).otherwise(0.0)
+        head = F.col("key") == F.col("least")  # one row of a context holds what is known of it
+        last = materialize(runs.select("key", "c", "p", "pkey", nexts.alias("nexts"), *(F.when(head, F.col(x)).alias(x) for x in ("ctx", "t", "suffix", "left", "again"))), "tree")
+        discard(counted)
+        del runs
         sweep(spark)
-        heads_.append(heads)
-        lasts.append(last)
+        levels.append(last)
         zero = F.lit(0).cast("long")
-        found.append(heads.select(F.col("ctx").alias("key"), F.col("t").alias("c"), F.lit(0.0).alias("nexts"), F.log10("left").alias("lefts"), F.lit(d).cast("long").alias("depth"), "suffix"))
-        found.append(last.filter("nexts <> 0").select("key", "c", "nexts", F.lit(0.0).alias("lefts"), zero.alias("depth"), zero.alias("suffix")))
+        found.append(last.filter("ctx is not null").select(F.col("ctx").alias("key"), F.col("t").alias("c"), F.lit(0.0).alias("nexts"), F.log10("left").alias("lefts"), F.lit(d).cast("long").alias("depth"), "suffix", "again"))
+        found.append(last.filter("nexts <> 0").select("key", "c", "nexts", F.lit(0.0).alias("lefts"), zero.alias("depth"), zero.alias("suffix"), F.lit(False).alias("again")))
         if last.isEmpty():
             break
-    if not found:
-        return None
-    both = functools.reduce(DataFrame.union, found).groupBy("key")
-    weights = materialize(both.agg(F.max("c").alias("c"), *(F.sum(x).alias(x) for x in ("nexts", "lefts")), F.max("depth").alias("depth"), F.sum("suffix").alias("suffix")), "weights")
-    discard(*heads_, *lasts)
-    return weights
+    return (functools.reduce(DataFrame.union, found), levels) if found else None
 
 
 def _grow(docs: DataFrame, depth: int, states: bool) -> tuple[Tree, DataFrame, DataFrame | None]:
-    """The hot part (with its states, if asked), the word counts (h, c), and the weights (h, weight) of the rest; None if there is no rest."""
+    """The hot part (with its states, if asked), the word counts (h, c), and the weights (h, weight) of the rest, whose rows add up; None if there is no rest."""
     spark = docs.sparkSession
     sum_up = lambda df: df.groupBy("h").agg(F.sum("c").alias("c"))
     counts = materialize(sum_up(docs.select("text").mapInArrow(_count_words, "h long, c long")), "words")
+    sweep(spark)
     size = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("c").alias("v")).first()
     frequent = counts.filter(_step() >= _most(counts, WORDS)).toArrow()
-    tree = Tree(frequent["h"].to_numpy().astype(np.int64).view(np.uint64), frequent["c"].to_numpy().astype(np.int64), size.n, size.v)
-    weights = _levels(docs, counts, size.n, size.v, depth) if size.n else None
-    if weights is None:
+    words, often = frequent["h"].to_numpy().astype(np.int64).view(np.uint64), frequent["c"].to_numpy().astype(np.int64)
+    tree = Tree(words, often, size.n, size.v)
+    grown = _levels(docs, counts, words[np.argsort(-often, kind="stable")], size.n, size.v, depth) if size.n else None
+    if grown is None:
         return tree, counts, None
-    hot = _step() >= _most(weights, HOT)
+    weights, levels = grown
+    # Both rows of a key hold the same count, so they are hot or not together.
+    hot = _step() >= _most(weights.filter("not again"), HOT)
     if states:
-        tree.fill(weights.filter(hot).select("key", "nexts", "lefts", "depth", "suffix").toArrow())
+        tree.fill(_once(weights.filter(hot).select("key", "nexts", "lefts", "depth", "suffix").toArrow()))
     else:
-        got = weights.filter(hot).select("key", (F.col("nexts") + F.col("lefts")).alias("weight")).toArrow()
+        got = _once(weights.filter(hot).select("key", (F.col("nexts") + F.col("lefts")).alias("weight")).toArrow())
         tree.keys, tree.nexts, tree.lefts = got["key"].to_numpy().astype(np.int64).view(np.uint64), got["weight"].to_numpy().astype(float), 0.0
-    rest = weights.filter(~hot).select(F.col("key").alias("h"), (F.col("nexts") + F.col("lefts")).alias("weight"))
-    cold = rest.filter("weight <> 0")
-    if cold.isEmpty():
+    rest = materialize(weights.filter(~hot).select(F.col("key").alias("h"), (F.col("nexts") + F.col("lefts")).alias("weight")), "weights")
+    discard(*levels)
+    if rest.filter("weight <> 0").isEmpty():
         return tree, counts, None
     tree.cold = _filter(rest.select("h"))  # a context of no weight leads on to longer ones
-    return tree, counts, cold
+    return tree, counts, rest.filter("weight <> 0")
+
+
+def _once(rows: pa.Table) -> pa.Table:
+    """One row for each key, the other columns summed."""
+    key = rows["key"].to_numpy()
+    order = np.argsort(key)
+    start = np.flatnonzero(np.concatenate(([True], np.diff(key[order]) != 0))) if len(key) else order
+    return pa.table({"key": key[order[start]], **{x: np.add.reduceat(rows[x].to_numpy()[order], start) if len(key) else rows[x] for x in rows.column_names[1:]}})
 
 
 def learn(docs: DataFrame, depth: int = DEPTH) -> tuple[Tree, DataFrame]:
@@ -448,11 +499,131 @@ def score_texts(docs: DataFrame, training: Column | None = None, depth: int = DE
         return _score_texts(docs, training, depth)
 
 
+#: Kinds of packed rows: uses of rare words and of runs by documents, and the tables that hold their counts and weights.
+MISSES, RUNS, COUNTS, WEIGHTS = range(4)
+_PACKED = "bucket int, kind int, chunk long, n int, payload binary"
+
+
+def _by_bucket(kind: int, chunk: int, buckets: int, keys: np.ndarray, *columns: np.ndarray) -> Iterator[tuple]:
+    """Packed rows of keys and columns, one for each bucket of keys."""
+    order = np.argsort(keys)
+    keys = keys[order]
+    edges = np.append(np.searchsorted(keys, np.arange(buckets, dtype=np.uint64) << np.uint64(64 - buckets.bit_length() + 1)), len(keys))
+    for b, (x, y) in enumerate(zip(edges, edges[1:])):
+        if y > x:
+            yield b, kind, chunk, int(y - x), _packed([np.diff(keys[x:y], prepend=np.uint64(0)), *(c[order[x:y]] for c in columns)])
+
+
+def _packed_batch(rows: list[tuple]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(("int32", "int32", "int64", "int32", "binary"))], names=["bucket", "kind", "chunk", "n", "payload"])
+
+
+def _pack_uses(buckets: int):
+    """(rid, misses, runs) to packed rows. A chunk is the documents whose rids differ in the last 16 bits only."""
+
+    def flush(chunk: int, parts: list[tuple]) -> Iterator[pa.RecordBatch]:
+        rows = []
+        for kind in (MISSES, RUNS):
+            rows += _by_bucket(kind, chunk, buckets, *(np.concatenate(x) for x in zip(*(own for k, *own in parts if k == kind))))
+        if rows:
+            yield _packed_batch(rows)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        chunk, parts, size = None, [], 0
+        for batch in batches:
+            rid = batch.column("rid").to_numpy()
+            for x, y in zip(cuts := [0, *(np.flatnonzero(np.diff(rid >> 16)) + 1).tolist()], [*cuts[1:], len(rid)]):
+                if y > x and (chunk != rid[x] >> 16 or size >= RUNS_AT_ONCE):
+                    if parts:
+                        yield from flush(chunk, parts)
+                    chunk, parts, size = int(rid[x] >> 16), [], 0
+                for kind, name in ((MISSES, "misses"), (RUNS, "runs")):
+                    lists = batch.column(name).slice(x, y - x)
+                    uses = lists.flatten()
+                    doc = np.repeat((rid[x:y] & 0xFFFF).astype(np.uint16), lists.value_lengths().to_numpy())
+                    parts.append((kind, uses.field(0).to_numpy().view(np.uint64), doc, uses.field(1).to_numpy().astype(np.uint32)))
+                    size += len(doc)
+        if parts:
+            yield from flush(chunk, parts)
+
+    return _text.lean(run)
+
+
+def _pack_table(kind: int, buckets: int):
+    """(h, value) to packed rows."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts, size = [], 0
+        for batch in batches:
+            parts.append((batch.column(0).to_numpy().view(np.uint64), batch.column(1).to_numpy()))
+            size += len(batch)
+            if size >= RUNS_AT_ONCE:
+                yield _packed_batch(list(_by_bucket(kind, 0, buckets, *(np.concatenate(x) for x in zip(*parts)))))
+                parts, size = [], 0
+        if size:
+            yield _packed_batch(list(_by_bucket(kind, 0, buckets, *(np.concatenate(x) for x in zip(*parts)))))
+
+    return run
+
+
+def _look_up(total: int, kinds: int):
+    """A bucket's uses and tables to what they add to each document of a chunk."""
+
+    def run(group: pa.Table) -> pa.Table:
+        kind, chunk, n = (group[x].to_numpy() for x in ("kind", "chunk", "n"))
+
+        def columns(i: int, *own) -> list[np.ndarray]:
+            out = _unpacked(group["payload"][i].as_py(), n[i], [np.uint64, *own])
+            return [np.cumsum(out[0], dtype=np.uint64), *out[1:]]
+
+        def table(wanted: int, value) -> tuple[np.ndarray, np.ndarray]:
+            parts = [columns(i, value) for i in np.flatnonzero(kind == wanted)] or [[np.zeros(0, np.uint64), np.zeros(0, value)]]
+            keys, at = np.unique(np.concatenate([k for k, _ in parts]), return_inverse=True)
+            sums = np.zeros(len(keys), value)
+            np.add.at(sums, at, np.concatenate([v for _, v in parts]))
+            return keys, sums
+
+        counts, weights, rows = table(COUNTS, np.int64), table(WEIGHTS, float), []
+        for i in np.flatnonzero(kind <= RUNS):
+            keys, doc, uses = columns(i, np.uint16, np.uint32)
+            if kind[i] == MISSES:
+                c = _find(counts[0], keys, counts[1], 0)
+                used = np.flatnonzero(np.bincount(doc))
+                more, add = np.bincount(doc, uses * (c > 0))[used], np.bincount(doc, uses * np.log10((c + 1) / float(total + kinds + 1)))[used]
+                own = [used.astype(np.uint16), more.astype(np.uint32), add]
+            else:
+                w = _find(weights[0], keys, weights[1], 0.0)
+                hit = w != 0
+                used = np.flatnonzero(np.bincount(doc[hit]))
+                own = [used.astype(np.uint16), np.bincount(doc[hit], uses[hit] * w[hit])[used]]
+            if len(used):
+                rows.append((int(kind[i]), int(chunk[i]), len(used), _packed(own)))
+        return pa.table([pa.array([r[i] for r in rows], t) for i, t in enumerate(("int32", "int64", "int32", "binary"))], names=["kind", "chunk", "n", "payload"])
+
+    return run
+
+
+def _add_up(group: pa.Table) -> pa.Table:
+    """What all buckets add to the documents of a chunk: (rid, more, add, runs_add)."""
+    used, more, add, runs = np.zeros(1 << 16, bool), np.zeros(1 << 16, np.int64), np.zeros(1 << 16), np.zeros(1 << 16)
+    for kind, n, payload in zip(group["kind"].to_pylist(), group["n"].to_pylist(), group["payload"]):
+        if kind == MISSES:
+            doc, m, a = _unpacked(payload.as_py(), n, [np.uint16, np.uint32, float])
+            more[doc] += m
+            add[doc] += a
+        else:
+            doc, a = _unpacked(payload.as_py(), n, [np.uint16, float])
+            runs[doc] += a
+        used[doc] = True
+    at = np.flatnonzero(used)
+    return pa.table({"rid": (group["chunk"][0].as_py() << 16) + at, "more": more[at], "add": add[at], "runs_add": runs[at]})
+
+
 def _score_texts(docs: DataFrame, training: Column | None, depth: int) -> DataFrame:
     out = held_out(F.col("doc_id"))
     learnt = docs.filter(~out if training is None else training).select("text")
     tree, counts, cold = _grow(learnt, depth, states=False)
-    total, kinds = tree.total, tree.kinds
+    total, kinds = int(tree.total), int(tree.kinds)
     shared = docs.sparkSession.sparkContext.broadcast(_Hot(tree, cold is not None))
     del tree
     schema = "doc_id long, n_tokens long, n_known long, base_score double, score double, misses array<struct<h long, uses long>>, runs array<struct<h long, uses long>>"
@@ -460,17 +631,17 @@ def _score_texts(docs: DataFrame, training: Column | None, depth: int) -> DataFr
     scored = materialize(scored.withColumn("rid", F.monotonically_increasing_id()), "scored")
     shared.destroy()
     sweep(docs.sparkSession)
-    rare = scored.select("rid", F.inline("misses")).join(counts, "h", "left")
-    chance = F.log10((F.coalesce("c", F.lit(0)) + 1) / F.lit(float(total + kinds + 1)))
-    sums = rare.groupBy("rid").agg(F.sum(F.when(F.col("c") > 0, F.col("uses")).otherwise(0)).alias("more"), F.sum(F.col("uses") * chance).alias("add"))
-    if cold is None:
-        more = F.lit(0.0)
-        scored = scored.join(sums, "rid", "left")
-    else:
-        part = scored.select("rid", F.inline("runs")).join(cold, "h").groupBy("rid").agg(F.sum(F.col("uses") * F.col("weight")).alias("runs_add"))
-        more = F.coalesce("runs_add", F.lit(0.0))
-        scored = scored.drop("runs").join(sums, "rid", "left").join(part, "rid", "left")
+    tokens = scored.agg(F.coalesce(F.sum("n_tokens"), F.lit(0))).first()[0]
+    buckets = 1 << max(2, int(tokens // TOKENS_IN_BUCKET).bit_length())
+    packed = scored.select("rid", "misses", "runs").mapInArrow(_pack_uses(buckets), _PACKED)
+    packed = packed.union(counts.select("h", "c").mapInArrow(_pack_table(COUNTS, buckets), _PACKED))
+    if cold is not None:
+        packed = packed.union(cold.select("h", "weight").mapInArrow(_pack_table(WEIGHTS, buckets), _PACKED))
+    sums = packed.groupBy("bucket").applyInArrow(_look_up(total, kinds), "kind int, chunk long, n int, payload binary")
+    sums = sums.groupBy("chunk").applyInArrow(_add_up, "rid long, more long, add double, runs_add double")
+    scored = scored.drop("misses", "runs").join(sums, "rid", "left")
+    add = F.coalesce("add", F.lit(0.0))
     return scored.select(
-        "doc_id", out.alias("held_out"), "n_tokens", (F.col("n_known") + F.coalesce("more", F.lit(0))).alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"),
-        (F.col("base_score") + F.coalesce("add", F.lit(0.0))).alias("base_score"), (F.col("score") + F.coalesce("add", F.lit(0.0)) + more).alias("score"),
+        "doc_id", out.alias("held_out"), "n_tokens", (F.col("n_known") + F.coalesce("more", F.lit(0))).alias("n_known"), F.lit(total).cast("long").alias("train_tokens"),
+        (F.col("base_score") + add).alias("base_score"), (F.col("score") + add + F.coalesce("runs_add", F.lit(0.0))).alias("score"),
     )

@@ -81,6 +81,51 @@ def test_lm_keeps_three_word_contexts(spark):
     assert len(tree.contexts) == 3
 
 
+def test_lm_packs_runs_as_places_of_words():
+    import numpy as np
+    import pyarrow as pa
+
+    rng = random.Random(9)
+    texts = [" ".join(f"w{int(rng.paretovariate(0.7)) % 4000}" for _ in range(400)) for _ in range(100)]
+    ((_, tokens, first),) = suffix_tree_lm._tokens(pa.array(texts))
+    known, often = np.unique(tokens, return_counts=True)
+    known = known[np.argsort(-often, kind="stable")]
+    known = known[: len(known) - len(known) // 50]  # some words are not among the frequent ones
+    every = np.full(suffix_tree_lm.FILTER_BITS // 8, 255, np.uint8)
+
+    class shared:
+        value = (every, every, known)
+
+    for n in (2, 3):
+        batch = pa.RecordBatch.from_arrays([pa.array(texts)], names=["text"])
+        packed = pa.Table.from_batches(list(suffix_tree_lm._count_runs(shared, n, 64)([batch])))
+        lists = [tokens[a:b].tolist() for a, b in zip(first, first[1:])]
+        wanted = Counter(tuple(x[i : i + n]) for x in lists for i in range(len(x) - n + 1))
+        key = lambda run: int(suffix_tree_lm.functools.reduce(suffix_tree_lm._extend, [np.array([x], np.uint64) for x in run]).view(np.int64)[0])
+        got = {}
+        for bucket in set(packed["bucket"].to_pylist()):
+            for r in suffix_tree_lm._sum_runs(shared, n)(packed.filter(pa.compute.equal(packed["bucket"], bucket))).to_pylist():
+                got[r["key"]] = (r["ctx"], r["pkey"], r["c"])
+        assert got == {key(x): (key(x[:-1]), key(x[1:]), c) for x, c in wanted.items() if c >= suffix_tree_lm.MIN_NEXT}
+        # As hashes the last word alone would take 8 bytes.
+        assert sum(len(x) for x in packed["payload"].to_pylist()) < (3 + 2 * n) * len(wanted)
+
+
+def test_lm_joined_words_and_runs_give_the_same_scores(spark, monkeypatch):
+    rng = random.Random(10)
+    texts = [" ".join(f"{a}{rng.randrange(6)} {a} {a}{a} u{rng.randrange(900)}" for a in rng.choices("abcdef", k=8)) for _ in range(300)] + [None, ""]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    hot = {r["doc_id"]: r for r in suffix_tree_lm.score_texts(df, depth=2).collect()}
+    monkeypatch.setattr(suffix_tree_lm, "WORDS", 10)
+    monkeypatch.setattr(suffix_tree_lm, "HOT", 10)
+    monkeypatch.setattr(suffix_tree_lm, "TOKENS_IN_BUCKET", 500)
+    monkeypatch.setattr(suffix_tree_lm, "RUNS_AT_ONCE", 200)
+    got = {r["doc_id"]: r for r in suffix_tree_lm.score_texts(df, depth=2).collect()}
+    assert got.keys() == hot.keys() and len(got) == len(texts)
+    for i, r in got.items():
+        assert r[1:5] == hot[i][1:5] and abs(r["base_score"] - hot[i]["base_score"]) < 1e-6 and abs(r["score"] - hot[i]["score"]) < 1e-6
+
+
 def test_token_counts(docs, rows, empty, spark):
     path = tokenizer_path("byte_bpe_50k.json")
     from tokenizers import Tokenizer
